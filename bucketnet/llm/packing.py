@@ -31,8 +31,8 @@ from pyspark.sql import DataFrame
 
 from bucketnet.llm import words
 
-STEP = 64
-SENTENCE_COST, HARD_COST = 4.0, 12.0
+STEP = 16
+SENTENCE_COST, HARD_COST = 2.0, 8.0
 SEPARATOR = "\x01"
 
 

@@ -1,7 +1,7 @@
 """Quality by weak supervision; DataFrame functions only.
 
-Seven rules vote good (1), bad (-1) or abstain (0) on each document. Expectation-maximisation
-over the table of vote patterns (at most 3**7 rows, whatever the corpus) estimates the share of
+Eight rules vote good (1), bad (-1) or abstain (0) on each document. Expectation-maximisation
+over the table of vote patterns (at most 3**8 rows, whatever the corpus) estimates the share of
 good documents and, for each rule and class, how often it votes which way; the posterior probability
 of good from those replaces a rule that all votes must pass.
 
@@ -59,24 +59,33 @@ def measure(docs: DataFrame) -> DataFrame:
     }).drop("__t", "__w", "__s", "__p", "__n")
 
 
-def _vote(x: Column, good: Column, bad: Column) -> Column:
-    return F.when(x.isNull(), 0).when(bad, -1).when(good, 1).otherwise(0)
+def _vote(good: Column | None, bad: Column | None) -> Column:
+    """1 or -1 where a condition holds, else (or where a share is undefined) 0."""
+    out = F.lit(0)
+    if good is not None:
+        out = F.when(F.coalesce(good, F.lit(False)), 1).otherwise(out)
+    return out if bad is None else F.when(F.coalesce(bad, F.lit(False)), -1).otherwise(out)
 
 
 def rule_votes() -> dict[str, Column]:
-    """The rules over the measured columns."""
+    """The rules over the measured columns.
+
+    A rule that looks for one kind of junk abstains where it finds none: the lack of one kind says
+    little about the others, and votes of good there would let EM call a rare kind of junk good.
+    """
     c = {k: F.col(k).cast("double") for k in FEATURES}
     share = lambda a, b: F.try_divide(c[a], c[b])
     symbols, repeats, lines = share("n_symbols", "n_words"), share("n_repeat_words", "n_words"), share("n_dup_lines", "n_lines")
     capitals, length, bangs, stops = share("n_capitals", "word_chars"), share("word_chars", "n_words"), share("n_bangs", "n_words"), share("n_stops", "n_words")
     return {
-        "symbols": _vote(symbols, symbols < 0.02, symbols > 0.1),
-        "repeats": _vote(repeats, repeats < 0.15, repeats > 0.35),
-        "lines": _vote(lines, (lines == 0) & (c["n_lines"] >= 3), lines > 0.3),
-        "capitals": _vote(capitals, capitals < 0.12, capitals > 0.3),
-        "length": _vote(length, length.between(3.0, 10.0), (length < 2.0) | (length > 16.0)),
-        "bangs": _vote(bangs, bangs < 0.05, bangs > 0.2),
-        "stops": _vote(stops, stops.between(0.02, 0.5), stops < 0.004),
+        "symbols": _vote(None, symbols > 0.1),
+        "repeats": _vote(None, repeats > 0.4),
+        "lines": _vote(None, lines > 0.5),
+        "capitals": _vote(None, capitals > 0.3),
+        "bangs": _vote(None, bangs > 0.2),
+        "stops": _vote(stops.between(0.02, 0.5), stops < 0.004),
+        "length": _vote(length.between(3.0, 12.0), (length < 2.0) | (length > 16.0)),
+        "prose": _vote((symbols < 0.02) & (capitals < 0.12) & (bangs < 0.05), None),
     }
 
 
@@ -127,7 +136,7 @@ def judge(measured: DataFrame) -> DataFrame:
     rules = rule_votes()
     names = list(rules)
     voted = measured.withColumns({f"__v_{r}": v for r, v in rules.items()})
-    counts = voted.where("n_words > 0").groupBy(*[f"__v_{r}" for r in names]).agg(F.count(F.lit(1)).alias("n")).collect()  # at most 3**7 rows
+    counts = voted.where("n_words > 0").groupBy(*[f"__v_{r}" for r in names]).agg(F.count(F.lit(1)).alias("n")).collect()  # at most 3**8 rows
     model = VoteModel(names).fit(sorted((tuple(r[:-1]), r[-1]) for r in counts))
     base = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     p = model.posterior({r: F.col(f"__v_{r}") for r in names})

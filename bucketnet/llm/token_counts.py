@@ -112,10 +112,10 @@ def count_trie(rows: np.ndarray, lengths: np.ndarray, v: Vocabulary) -> np.ndarr
         score = np.full(len(reps), -np.inf)
         tokens = np.zeros(len(reps), dtype=np.int32)
         h = np.zeros(len(reps), dtype=np.uint64)
-        grown = _STEP
+        grown = int(_STEP)
         for length in range(1, min(v.longest, d) + 1):
-            h = h + (rows[reps, d - length].astype(np.uint64) + np.uint64(1)) * grown
-            grown = grown * _STEP
+            h = h + (rows[reps, d - length].astype(np.uint64) + np.uint64(1)) * np.uint64(grown)
+            grown = grown * int(_STEP) % 2**64
             back = d - length
             if length == 1:
                 up = node[back][reps]
