@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from bucketnet.llm import fingerprint, line_dedup, packing, quality_rules, sharding, token_counts
+from bucketnet.llm import fingerprint, line_dedup, neardup, packing, quality_rules, sharding, token_counts
 from bucketnet.llm.common import table
 
 
@@ -43,6 +43,11 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.score_quality(table(spark, sf_dir, "documents"))
 
 
+def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    grouped = neardup.group_near(table(spark, sf_dir, "documents"), shingle=4, budget=4)
+    return grouped.select("doc_id", F.lpad(F.lower(F.hex("fp0")), 16, "0").alias("fingerprint"), "component_id")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (
-    op1_token_counts, op2_sharding, op3_fingerprints, op4_packing, op5_line_dedup, op6_quality_rules)}
+    op1_token_counts, op2_sharding, op3_fingerprints, op4_packing, op5_line_dedup, op6_quality_rules, op9_simhash)}
 ORACLES: dict[str, str] = {}
