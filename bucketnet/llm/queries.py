@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from bucketnet.llm import fingerprint, line_dedup, neardup, packing, quality_rules, sharding, token_counts
+from bucketnet.llm import fingerprint, langid, line_dedup, mixing, neardup, packing, quality_net, quality_rules, sharding, token_counts
 from bucketnet.llm.common import table
 
 
@@ -43,11 +43,25 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.score_quality(table(spark, sf_dir, "documents"))
 
 
+def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rated = mixing.mix_rates(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), mixing.WEIGHTS)
+    shares = [F.get("p", F.lit(i)).alias(f"p_{d}") for i, d in enumerate(mixing.DOMAINS)]
+    return rated.select("doc_id", "n_tokens", *shares, "rate", "copies")
+
+
+def op8_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.predict_language(table(spark, sf_dir, "documents"), modulus=3, rest=1)
+
+
+def op10_quality_net(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_net.score_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), modulus=5, rest=0)
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     grouped = neardup.group_near(table(spark, sf_dir, "documents"), shingle=4, budget=4)
     return grouped.select("doc_id", F.lpad(F.lower(F.hex("fp0")), 16, "0").alias("fingerprint"), "component_id")
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (
-    op1_token_counts, op2_sharding, op3_fingerprints, op4_packing, op5_line_dedup, op6_quality_rules, op9_simhash)}
+    op1_token_counts, op2_sharding, op3_fingerprints, op4_packing, op5_line_dedup, op6_quality_rules, op7_mixing, op8_langid, op9_simhash, op10_quality_net)}
 ORACLES: dict[str, str] = {}

@@ -53,13 +53,18 @@ def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarr
     return raw[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def word_spans(buf: np.ndarray, offsets: np.ndarray, space: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """starts, ends (exclusive) of all words, and the n + 1 offsets of each text's words."""
+def word_spans(buf: np.ndarray, offsets: np.ndarray, space: np.ndarray = SPACE, breaks: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """starts, ends (exclusive) of all words, and the n + 1 offsets of each text's words.
+
+    breaks: true at bytes where a new word begins although the byte before belongs to one.
+    """
     if len(buf) == 0:
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(len(offsets), np.int64)
     inside = ~space[buf]
     edge = np.zeros(len(buf) + 1, dtype=bool)  # a text begins here
     edge[offsets] = True
+    if breaks is not None:
+        edge[:-1] |= breaks
     first = inside.copy()
     first[1:] &= ~inside[:-1] | edge[1:-1]
     last = inside.copy()
