@@ -13,9 +13,11 @@ put in and taken out once. A run of documents is solved at a time; what its last
 holds goes on into the next run, so only a partition's last window is short; it is split into
 powers of two, which need no padding. There is no shuffle.
 
-Tokens: distinct words (words.py) of a run are tokenised once, between separators, and put back by
-number. That equals tokenising whole texts as long as the tokenizer's pre-tokens never cross
-ASCII white space, which holds for the public file used.
+Tokens: the distinct units of a run are tokenised once, between separators, and put back by number; a
+worker remembers up to MEMORY of them. A unit is a word (words.py) in lower case, cut where an
+ASCII letter or digit meets one of PUNCTUATION. That equals tokenising whole texts for a tokenizer
+that lower-cases and whose pre-tokens never cross white space or such a place, as with the public
+file used. Runs of documents with a special token's "<|" in them are cut at white space alone.
 """
 
 from __future__ import annotations
@@ -36,6 +38,13 @@ SENTENCE_COST, HARD_COST = 2.0, 8.0
 SEPARATOR = "\x01"
 
 
+ALNUM = np.zeros(256, dtype=bool)
+ALNUM[[*range(48, 58), *range(65, 91), *range(97, 123)]] = True
+PUNCTUATION = np.zeros(256, dtype=bool)
+PUNCTUATION[list(b".,!?;:*#$%&|")] = True
+MEMORY = 400_000
+
+
 @lru_cache(maxsize=2)
 def load_tokenizer(file: str):
     """The tokenizer and the id of the separator, a character that is a token of its own."""
@@ -49,6 +58,48 @@ def load_tokenizer(file: str):
     return t, separator
 
 
+class UnitMemory:
+    """Ids of the units met so far by this worker; forgets all of them when it is full."""
+
+    def __init__(self, tokenizer_file: str):
+        self.file = tokenizer_file
+        self._clear()
+
+    def _clear(self) -> None:
+        self.known: dict[int, int] = {}
+        self.flat, self.of = np.zeros(0, np.uint32), np.zeros(1, np.int64)
+
+    def look_up(self, hashes: np.ndarray, text_of) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For each distinct hash its number, and the ids of all numbers end to end with their offsets."""
+        if len(self.known) > MEMORY:
+            self._clear()
+        keys = hashes.tolist()
+        new = [i for i, k in enumerate(keys) if k not in self.known]
+        if new:
+            flat, of = encode_words([text_of(i) for i in new], self.file)
+            base = len(self.known)
+            self.known.update((keys[i], base + n) for n, i in enumerate(new))
+            self.flat = np.concatenate([self.flat, flat])
+            self.of = np.concatenate([self.of, self.of[-1] + of[1:]])
+        known = self.known
+        return np.fromiter((known[k] for k in keys), dtype=np.int64, count=len(keys)), self.flat, self.of
+
+
+@lru_cache(maxsize=2)
+def memory(tokenizer_file: str) -> UnitMemory:
+    return UnitMemory(tokenizer_file)
+
+
+def units(buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """The bytes to tokenise, and the units' starts, ends and offsets by text."""
+    if b"<|" in buf.tobytes():
+        return buf, *words.word_spans(buf, offsets)
+    low = words.LOWER[buf]
+    breaks = np.zeros(len(low), dtype=bool)
+    breaks[1:] = ALNUM[low[:-1]] & PUNCTUATION[low[1:]]
+    return low, *words.word_spans(low, offsets, breaks=breaks)
+
+
 def encode_words(texts: list[str], tokenizer_file: str) -> tuple[np.ndarray, np.ndarray]:
     """Ids of some white-space-free words, end to end, and the n + 1 offsets of each word's ids."""
     t, separator = load_tokenizer(tokenizer_file)
@@ -107,14 +158,14 @@ class Packer:
         self.rest: list[tuple] = []  # (doc_id, start, ids, doc_tokens) not yet in a sequence
 
     def feed(self, ids: list, column: pa.Array) -> list[tuple]:
-        buf, offsets = words.text_bytes(column)
-        starts, ends, per = words.word_spans(buf, offsets)
-        codes, first = words.distinct(words.span_hashes(buf, starts, ends))
-        raw = buf.tobytes()
-        vocabulary = [raw[a:b].decode() for a, b in zip(starts[first].tolist(), ends[first].tolist(), strict=True)]
-        flat, of = encode_words(vocabulary, self.file)
+        buf, starts, ends, per = units(*words.text_bytes(column))
+        hashes = words.span_hashes(buf, starts, ends)
+        codes, first = words.distinct(hashes)
+        s, e, raw = starts[first].tolist(), ends[first].tolist(), buf.tobytes()
+        number, flat, of = memory(self.file).look_up(hashes[first], lambda i: raw[s[i] : e[i]].decode())
         stops = np.isin(buf[ends[first] - 1], np.frombuffer(b".!?", dtype=np.uint8)) if len(first) else np.zeros(0, bool)
-        size = np.diff(of)[codes]
+        unit = number[codes]
+        size = np.diff(of)[unit]
         # the stream: the rest of the run before, then each text's words and its end id
         owner = np.repeat(np.arange(len(ids)), np.diff(per))
         lead = sum(len(x[2]) for x in self.rest)
@@ -128,7 +179,7 @@ class Packer:
             stream[:lead] = np.concatenate([x[2] for x in self.rest])
         if len(codes):
             n = int(upto[-1])
-            source = np.repeat(of[codes] - (upto - size), size) + np.arange(n)
+            source = np.repeat(of[unit] - (upto - size), size) + np.arange(n)
             stream[np.repeat(owner + lead, size) + np.arange(n)] = flat[source]
         bounds = [(d, s, n) for d, s, _, n in self.rest]
         piece_end = [*np.cumsum([len(x[2]) for x in self.rest]).tolist(), *text_end.tolist()]
