@@ -440,11 +440,9 @@ def q_wordtag_instances(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.groupBy("instance_id", "role").agg(F.count(F.lit(1)).alias("n"))
 
 
-_SPLIT = f"CASE WHEN {h32_sql('11', 'doc_id', 'word')} % 2 = 0 THEN 'train' ELSE 'test' END"
-
-
-@query(f"""WITH {WORDS}, s AS (SELECT DISTINCT doc_id, {_SPLIT} AS split, CAST({h32_sql('word')} % 4096 AS INTEGER) AS idx FROM (SELECT DISTINCT doc_id, word FROM pw)),
-c AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS label FROM documents) SELECT doc_id AS instance_id, split, idx, label FROM s JOIN c USING (doc_id)""")
+@query(f"""WITH {WORDS}, s AS (SELECT DISTINCT doc_id, CAST(v.range AS INTEGER) AS view, CAST({h32_sql('word')} % 4096 AS INTEGER) AS idx FROM (SELECT DISTINCT doc_id, word FROM pw), range(-1, {workloads.VIEWS}) v
+WHERE {h32_sql('11', 'v.range', 'doc_id', 'word')} % 2 = 0),
+c AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS label FROM documents) SELECT doc_id AS instance_id, view, idx, label FROM s JOIN c USING (doc_id)""")
 def q_knownitem_instances(spark: SparkSession, sf_dir: str) -> DataFrame:
     return workloads.known_item(spark, sf_dir, 4096).drop("val")
 
@@ -490,3 +488,64 @@ _slot = lambda *x: f"{h32_sql(*x)} % 1024"
 def q_event_instances(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = workloads.event_instances(load(spark, sf_dir, "events"), 1024)
     return e.select("event_id", "label", F.array_join(F.sort_array("feats"), ",").alias("slots"))
+
+
+# ---- whole runs: no SQL counterpart, tests/ holds their properties ----
+def _runs(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
+    from bucketnet import experiments
+
+    return experiments.time_accuracy(spark, sf_dir, rounds=3, local_steps=40, names=names).drop("wall_ms")
+
+
+@query()
+def q_train_hashed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """120 steps of the method with each strategy on the known-item workload."""
+    return _runs(spark, sf_dir, ("topk", "vanilla", "threshold"))
+
+
+@query()
+def q_train_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _runs(spark, sf_dir, ("dense",))
+
+
+@query()
+def q_train_sampled_softmax(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _runs(spark, sf_dir, ("static", "static_freq", "static_corrected", "static_20pct"))
+
+
+@query()
+def q_train_ceilings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact adaptive sparsity and random dropout."""
+    return _runs(spark, sf_dir, ("exact_topk", "dropout"))
+
+
+@query()
+def q_train_async(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four learners with stale snapshots."""
+    from bucketnet import experiments
+
+    sets = experiments.known_item_sets(spark, sf_dir)
+    arm = experiments.main_arms(sets[2], max(20, sets[2] // 200))["topk"]
+    return experiments.run_arms(spark, sets, {"learners_4": arm}, 3, 20, learners=4, logs=1).drop("wall_ms")
+
+
+@query()
+def q_train_languages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four labels, dense output."""
+    from bucketnet import experiments
+
+    return experiments.run_arms(spark, experiments.small_label_sets(spark, sf_dir, "lang"), {"lang": {"strategy": "dense"}}, 2, 30, logs=1).drop("wall_ms")
+
+
+@query()
+def q_family_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from bucketnet import experiments
+
+    return experiments.family_curve(spark, sf_dir)
+
+
+@query()
+def q_tables_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from bucketnet import experiments
+
+    return experiments.tables_sweep(spark, sf_dir)

@@ -37,13 +37,20 @@ def canonical_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.join(first, "h").select("doc_id", "canonical")
 
 
-def known_item(spark: SparkSession, sf_dir: str, dims: int, seed: int = 11) -> DataFrame:
-    """instance_id, split, idx, val, label: a random half of a document's distinct words finds the document again (label: its canonical id); the other half tests."""
+VIEWS = 4
+
+
+def known_item(spark: SparkSession, sf_dir: str, dims: int, seed: int = 11, views: int = VIEWS) -> DataFrame:
+    """instance_id, view, idx, val, label: random halves of a document's distinct words find the document again (label: its canonical id).
+
+    View -1 is the test half; views 0 .. views - 1 are other random halves, to train on.
+    """
     d = words(load(spark, sf_dir, "documents"), "doc_id").select("instance_id", "word").distinct()
-    split = F.when(h32(seed, F.col("instance_id"), F.col("word")) % 2 == 0, "train").otherwise("test")
-    slots = d.select("instance_id", split.alias("split"), (h32(F.col("word")) % dims).cast("int").alias("idx")).distinct()
+    d = d.withColumn("view", F.explode(F.sequence(F.lit(-1), F.lit(views - 1))))
+    half = d.where(h32(seed, F.col("view"), F.col("instance_id"), F.col("word")) % 2 == 0)
+    slots = half.select("instance_id", "view", (h32(F.col("word")) % dims).cast("int").alias("idx")).distinct()
     c = canonical_documents(spark, sf_dir).withColumnRenamed("canonical", "label")
-    return slots.join(c, F.col("instance_id") == F.col("doc_id")).select("instance_id", "split", "idx", F.lit(1.0).alias("val"), "label")
+    return slots.join(c, F.col("instance_id") == F.col("doc_id")).select("instance_id", "view", "idx", F.lit(1.0).alias("val"), "label")
 
 
 def strict_known_item(spark: SparkSession, sf_dir: str, dims: int, seed: int = 11) -> DataFrame:
