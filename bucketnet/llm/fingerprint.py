@@ -159,4 +159,4 @@ def fingerprint_documents(docs: DataFrame) -> DataFrame:
                 if ids:
                     yield emit(ids, texts, following)
 
-    return ordered.mapInArrow(run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return ordered.mapInArrow(words.tidy(run), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")

@@ -89,7 +89,7 @@ def fingerprints(docs: DataFrame, shingle: int = 4, seeds: tuple[int, ...] = (SE
                 found = [pa.array(simhash(*shingle_hashes(buf, offsets, shingle, s)).view(np.int64)) for s in seeds]
                 yield pa.RecordBatch.from_arrays([*[part.column(f.name) for f in kept], *found], [f.name for f in schema.fields])
 
-    return docs.withColumn("text", F.col("text").cast("string")).mapInArrow(run, schema)
+    return docs.withColumn("text", F.col("text").cast("string")).mapInArrow(words.tidy(run), schema)
 
 
 class Forest:
@@ -249,7 +249,7 @@ def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None) ->
         if held:
             yield join([np.concatenate(c) for c in zip(*held, strict=True)])
 
-    return dealt.mapInArrow(run, "u long, v long").where("u != v").distinct()
+    return dealt.mapInArrow(words.tidy(run), "u long, v long").where("u != v").distinct()
 
 
 def components(links: DataFrame) -> DataFrame:

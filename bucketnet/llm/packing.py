@@ -14,7 +14,7 @@ holds goes on into the next run, so only a partition's last window is short; it
 powers of two, which need no padding. There is no shuffle.
 
 Tokens: the distinct units of a run are tokenised once, between separators, and put back by number; a
-worker remembers up to MEMORY of them. A unit is a word (words.py) in lower case, cut where an
+task remembers up to MEMORY of them. A unit is a word (words.py) in lower case, cut where an
 ASCII letter or digit meets one of PUNCTUATION. That equals tokenising whole texts for a tokenizer
 that lower-cases and whose pre-tokens never cross white space or such a place, as with the public
 file used. Runs of documents with a special token's "<|" in them are cut at white space alone.
@@ -59,7 +59,7 @@ def load_tokenizer(file: str):
 
 
 class UnitMemory:
-    """Ids of the units met so far by this worker; forgets all of them when it is full."""
+    """Ids of the units met so far in this task; forgets all of them when it is full."""
 
     def __init__(self, tokenizer_file: str):
         self.file = tokenizer_file
@@ -265,9 +265,10 @@ def pack_documents(docs: DataFrame, tokenizer_file: str, window: int = 2048, end
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names)
 
         for batch in batches:
-            for part in words.slices(batch, limit=8 << 20):
+            for part in words.slices(batch, limit=4 << 20):
                 yield table(packer.feed(part.column("doc_id").to_pylist(), part.column("text")))
         yield table(packer.finish())
+        memory.cache_clear()
 
     rows = docs.selectExpr("cast(doc_id as long) doc_id", "cast(text as string) text")
-    return rows.mapInArrow(run, ", ".join(f"{n} long" for n in names))
+    return rows.mapInArrow(words.tidy(run), ", ".join(f"{n} long" for n in names))

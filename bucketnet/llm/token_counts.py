@@ -169,4 +169,4 @@ def count_tokens(docs: DataFrame, model_file: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(np.diff(per)), pa.array(tokens)], ["doc_id", "n_words", "n_tokens"])
 
     rows = docs.selectExpr("cast(doc_id as long) doc_id", "cast(text as string) text")
-    return rows.mapInArrow(run, "doc_id long, n_words long, n_tokens long")
+    return rows.mapInArrow(words.tidy(run), "doc_id long, n_words long, n_tokens long")
