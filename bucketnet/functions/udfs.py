@@ -7,6 +7,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, pandas_udf, udtf
 
 from bucketnet.functions.vector import GRID
@@ -21,14 +22,14 @@ MACROS = {
 }
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def logsumexp(z: pd.Series) -> float:
     """Grouped: log of the sum of exponentials."""
     top = z.max()
     return float(top + np.log(np.exp(z - top).sum())) if len(z) else float("nan")
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def vector_sum(v: pd.Series) -> list[float]:
     """Grouped: the sum of arrays of one length. A group is one task's work; sum() by element scales further."""
     return np.sum(np.stack(v.to_numpy()), axis=0).tolist()
