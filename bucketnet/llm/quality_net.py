@@ -22,6 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bucketnet.llm import words
+from bucketnet.llm.common import hash_sample
 
 BUCKETS, DIMENSION, NONZERO, REACH = 4096, 32, 4, 2
 SAMPLE_ROWS = 20_000
@@ -98,7 +99,7 @@ def corpus_vectors(docs: DataFrame) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(has), *[pa.array(total[has, d]) for d in range(DIMENSION)]], ["word", *[f"v{d}" for d in range(DIMENSION)]])
 
     names = [f"v{d}" for d in range(DIMENSION)]
-    partial = docs.selectExpr("cast(text as string) text").mapInArrow(run, "word long, " + ", ".join(f"{n} long" for n in names))
+    partial = docs.selectExpr("cast(text as string) text").mapInArrow(words.tidy(run), "word long, " + ", ".join(f"{n} long" for n in names))
     rows = partial.groupBy("word").agg(*[F.sum(n).alias(n) for n in names]).collect()  # BUCKETS rows at most
     out = np.zeros((BUCKETS, DIMENSION))
     for r in rows:
@@ -113,9 +114,17 @@ def pool(buf: np.ndarray, offsets: np.ndarray, table: np.ndarray) -> np.ndarray:
     n = np.diff(per)
     out = np.zeros((len(n), table.shape[1]), dtype=np.float64)
     has = np.flatnonzero(n)
-    if len(has):
-        out[has] = np.add.reduceat(table[word], per[:-1][has], axis=0, dtype=np.float64) / n[has][:, None]
-    return out
+    if len(has) == 0:
+        return out
+    if len(word) < 256 * len(has):  # short texts: their words' rows
+        out[has] = np.add.reduceat(table[word], per[:-1][has], axis=0, dtype=np.float64)
+    else:  # long texts: counts of buckets times the table, some texts at a time
+        for i in range(0, len(n), 256):
+            j = min(i + 256, len(n))
+            owner = np.repeat(np.arange(j - i), n[i:j])
+            counts = np.bincount(owner * BUCKETS + word[per[i] : per[j]], minlength=(j - i) * BUCKETS).reshape(-1, BUCKETS)
+            out[i:j] = counts.astype(np.float32) @ table
+    return out / np.maximum(n, 1)[:, None]
 
 
 class Network:
@@ -184,7 +193,7 @@ def score_quality(docs: DataFrame, labels: DataFrame, modulus: int = 5, rest: in
 
     marked = labels.where("quality is not null and doc_id is not null").where(~held_out(modulus, rest))
     marked = marked.groupBy(F.col("doc_id").cast("long").alias("l_id")).agg(F.round(F.avg("quality")).cast("int").alias("y"))
-    sample = marked.orderBy(F.xxhash64("l_id"), "l_id").limit(sample_rows)
+    sample = hash_sample(marked, ["l_id"], sample_rows)
 
     def pooled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -193,7 +202,7 @@ def score_quality(docs: DataFrame, labels: DataFrame, modulus: int = 5, rest: in
                 yield pa.RecordBatch.from_arrays([part.column("l_id"), part.column("y"), pa.array(list(x))], ["l_id", "y", "x"])
 
     # the sample is bounded by sample_rows, so it can go to all executors, and its vectors to the driver
-    drawn = rows.join(F.broadcast(sample), F.col("doc_id") == F.col("l_id")).select("l_id", "y", "text").mapInArrow(pooled, "l_id long, y int, x array<double>")
+    drawn = rows.join(F.broadcast(sample), F.col("doc_id") == F.col("l_id")).select("l_id", "y", "text").mapInArrow(words.tidy(pooled), "l_id long, y int, x array<double>")
     drawn = sorted((r.l_id, r.y, r.x) for r in drawn.collect())
     width = 2 * DIMENSION
     net = Network().fit(np.array([r[2] for r in drawn]).reshape(-1, width), np.array([r[1] for r in drawn], dtype=float))
@@ -204,5 +213,5 @@ def score_quality(docs: DataFrame, labels: DataFrame, modulus: int = 5, rest: in
                 s = net.score(pool(*words.text_bytes(part.column("text")), shared.value))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(s)], ["doc_id", "score"])
 
-    scored = rows.mapInArrow(run, "doc_id long, score double")
+    scored = rows.mapInArrow(words.tidy(run), "doc_id long, score double")
     return scored.select("doc_id", held_out(modulus, rest).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
