@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bucketnet.llm import words
+from bucketnet.llm.common import hash_sample
 from bucketnet.llm.quality_net import held_out
 
 SLOTS = 1 << 15
@@ -193,9 +194,11 @@ def training_sequences(texts: list[bytes], labels: np.ndarray, seed: int = 3) ->
 
 
 def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, sample_bytes: int = SAMPLE_BYTES) -> Chain | None:
-    """A chain from the sample_rows documents of smallest hash that have a lang and at most sample_bytes; None without any."""
-    rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (F.octet_length("text") <= sample_bytes))
-    drawn = rows.select("lang", "text", F.xxhash64("doc_id", "text").alias("h")).orderBy("h", "text").limit(sample_rows).collect()
+    """A chain from the sample_rows documents with a lang whose id has the smallest hash, less those over sample_bytes; None without any."""
+    rows = docs.where("lang is not null and doc_id is not null")
+    ids = hash_sample(rows.select("doc_id"), ["doc_id"], sample_rows)  # read without the texts
+    drawn = rows.join(F.broadcast(ids), "doc_id", "left_semi").where(F.octet_length("text") <= sample_bytes)
+    drawn = sorted(drawn.select("doc_id", "lang", "text").distinct().collect())
     languages = sorted({r.lang for r in drawn})
     if not languages:
         return None
@@ -246,5 +249,5 @@ def predict_language(docs: DataFrame, modulus: int = 3, rest: int = 1, sample_ro
                                 name[i], score[i] = chain.languages[best], min(1.0, p)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(name), pa.array(score)], ["doc_id", "lang_pred", "score"])
 
-    out = rows.select("doc_id", "text").mapInArrow(run, "doc_id long, lang_pred string, score double")
+    out = rows.select("doc_id", "text").mapInArrow(words.tidy(run), "doc_id long, lang_pred string, score double")
     return out.select("doc_id", held_out(modulus, rest).alias("held_out"), "lang_pred", "score")
