@@ -1,8 +1,9 @@
 """Mixing to target weights with soft membership of domains.
 
 Domains come from the labelled table: toxic (toxic = 1), junk (else quality = 0), good (else).
-A softmax regression, fitted on a bounded sample of labelled rows (sample_rows), over the token
-buckets that tell the domains apart, gives each document a posterior p over domains. With t tokens and
+A softmax regression, fitted on a bounded sample of labelled rows (sample_rows), over the presence of
+tokens that tell the domains apart (by 62-bit hashes, so that rare words do not share a place with telling
+ones), gives each document a posterior p over domains. With t tokens and
 a rate r >= 0 a document gives r * t * p expected tokens to the domains; the rates minimise
 
     sum over domains of (expected tokens - target)**2 / (all tokens)**2  +  pull * sum over documents of t * (r - 1)**2 / (all tokens)
@@ -25,11 +26,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bucketnet.llm import words
-from bucketnet.llm.common import cut
+from bucketnet.llm.common import cut, hash_sample
 from bucketnet.llm.quality_net import tokens
 
 DOMAINS = ("good", "junk", "toxic")
-BUCKETS = 1 << 16
+SPACE = 1 << 62
+SLOTS = 20  # bits of the table that most tokens are ruled out by
+EVIDENCE = 16.0  # a token counts if its seen * log(seen / expected) in a domain is above: far beyond chance among a million tokens
 FEATURES, SAMPLE_ROWS = 600, 8000
 STEPS, STEP, PULL = 40, 0.9, 1e-3
 WEIGHTS = {"good": 0.90, "junk": 0.06, "toxic": 0.04}
@@ -42,37 +45,44 @@ def domain_of(labels: DataFrame) -> DataFrame:
     return grouped.agg(F.when(toxic == 1, 2).when(quality == 0, 1).otherwise(0).alias("domain"))
 
 
-def present(buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(text, bucket) of each distinct token bucket of each text, and the texts' numbers of tokens."""
-    word, per = tokens(buf, offsets, BUCKETS)
-    n = np.diff(per)
-    both = np.unique(np.repeat(np.arange(len(n)), n) * BUCKETS + word)
-    return both // BUCKETS, both % BUCKETS, np.diff(tokens(buf, offsets, BUCKETS, shapes=False)[1])
+def token_hashes(buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of all tokens and shape words of all texts, the n + 1 offsets by text, and the texts' numbers of plain tokens."""
+    word, per = tokens(buf, offsets, SPACE)
+    return word, per, np.diff(per) - words.sum_by_text((word >= SPACE - 2).astype(np.int64), per)
 
 
 class DomainModel:
-    """Softmax regression on the presence of selected buckets; without classes to tell apart, equal posteriors."""
+    """Softmax regression on the presence of selected tokens; without classes to tell apart, equal posteriors."""
 
     def __init__(self, domains: int = len(DOMAINS)):
-        self.slot = np.full(BUCKETS, -1, dtype=np.int64)
+        self.known, self.slot = np.zeros(0, dtype=np.int64), np.zeros(1 << SLOTS, dtype=bool)
         self.weights, self.bias = np.zeros((0, domains)), np.zeros(domains)
 
+    def find(self, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which of the hashes are selected tokens, and which ones."""
+        maybe = np.flatnonzero(self.slot[word & ((1 << SLOTS) - 1)]) if len(self.known) else np.zeros(0, np.int64)
+        at = np.minimum(np.searchsorted(self.known, word[maybe]), max(0, len(self.known) - 1))
+        hit = self.known[at] == word[maybe] if len(maybe) else np.zeros(0, bool)
+        return maybe[hit], at[hit]
+
     def fit(self, rows: list[np.ndarray], y: np.ndarray, steps: int = 300, rate: float = 0.05, decay: float = 1e-3) -> DomainModel:
+        """rows: each document's distinct hashes."""
         k = len(self.bias)
         if len(set(y.tolist())) < 2:
             return self
         text = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-        bucket = np.concatenate(rows)
-        seen = np.stack([np.bincount(bucket[y[text] == c], minlength=BUCKETS) for c in range(k)], axis=1)
+        every, place = np.unique(np.concatenate(rows), return_inverse=True)
+        seen = np.stack([np.bincount(place[y[text] == c], minlength=len(every)) for c in range(k)], axis=1)
         share = np.bincount(y, minlength=k) / len(y)
         expected = seen.sum(axis=1, keepdims=True) * share + 1e-9
-        z = np.where(seen >= 3, (seen - expected) / np.sqrt(expected), 0)
-        best = np.unique(np.concatenate([np.argsort(-z[:, c])[: FEATURES // k] for c in range(k)]))
-        best = best[z[best].max(axis=1) > 3]
-        self.slot[best] = np.arange(len(best))
+        evidence = seen * np.log(np.maximum(seen, 1) / expected)
+        best = np.unique(np.concatenate([np.argsort(-evidence[:, c], kind="stable")[: FEATURES // k] for c in range(k)]))
+        best = best[evidence[best].max(axis=1) > EVIDENCE]
+        self.known = every[best]
+        self.slot[self.known & ((1 << SLOTS) - 1)] = True
         x = np.zeros((len(rows), len(best)), dtype=np.float32)
-        has = self.slot[bucket] >= 0
-        x[text[has], self.slot[bucket[has]]] = 1
+        at, which = self.find(np.concatenate(rows))
+        x[text[at], which] = 1
         truth = np.eye(k)[y]
         w, b = np.zeros((len(best), k)), np.log(share + 1e-3)
         m, v = np.zeros_like(w), np.zeros_like(w)
@@ -90,26 +100,29 @@ class DomainModel:
         p = np.exp(z - z.max(axis=1, keepdims=True))
         return p / p.sum(axis=1, keepdims=True)
 
-    def posteriors(self, text: np.ndarray, bucket: np.ndarray, n: int) -> np.ndarray:
-        s = self.slot[bucket]
-        text, s = text[s >= 0], s[s >= 0]
-        z = np.stack([np.bincount(text, weights=self.weights[s, c], minlength=n) for c in range(len(self.bias))], axis=1)
+    def posteriors(self, word: np.ndarray, per: np.ndarray) -> np.ndarray:
+        n = len(per) - 1
+        at, which = self.find(word)
+        text = np.searchsorted(per, at, side="right") - 1
+        both = np.unique(text * max(1, len(self.known)) + which)
+        text, which = both // max(1, len(self.known)), both % max(1, len(self.known))
+        z = np.stack([np.bincount(text, weights=self.weights[which, c], minlength=n) for c in range(len(self.bias))], axis=1)
         return self._softmax(z + self.bias)
 
 
 def fit_domains(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DomainModel:
     """The model from the sample_rows labelled ids of smallest hash that docs has texts for."""
-    sample = domain_of(labels).orderBy(F.xxhash64("l_id"), "l_id").limit(sample_rows)
+    sample = hash_sample(domain_of(labels), ["l_id"], sample_rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in words.slices(batch, limit=2 << 20):
-                text, bucket, _ = present(*words.text_bytes(part.column("text")))
-                lists = np.split(bucket, np.searchsorted(text, np.arange(1, part.num_rows)))
-                yield pa.RecordBatch.from_arrays([part.column("l_id"), part.column("domain"), pa.array([x.astype(np.int32) for x in lists], pa.list_(pa.int32()))], ["l_id", "domain", "x"])
+                word, per, _ = token_hashes(*words.text_bytes(part.column("text")))
+                lists = [np.unique(word[a:b]) for a, b in zip(per[:-1], per[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column("l_id"), part.column("domain"), pa.array(lists, pa.list_(pa.int64()))], ["l_id", "domain", "x"])
 
-    # bounded by sample_rows, and a row by BUCKETS
-    drawn = docs.join(F.broadcast(sample), F.col("doc_id") == F.col("l_id")).select("l_id", "domain", F.col("text").cast("string").alias("text")).mapInArrow(run, "l_id long, domain int, x array<int>")
+    # bounded by sample_rows texts
+    drawn = docs.join(F.broadcast(sample), F.col("doc_id") == F.col("l_id")).select("l_id", "domain", F.col("text").cast("string").alias("text")).mapInArrow(words.tidy(run), "l_id long, domain int, x array<long>")
     got = drawn.toArrow().sort_by("l_id")
     rows = [np.asarray(x, dtype=np.int64) for x in got.column("x").combine_chunks().to_numpy(zero_copy_only=False)] if got.num_rows else []
     return DomainModel().fit(rows, np.array(got.column("domain").to_pylist(), dtype=np.int64))
@@ -124,11 +137,11 @@ def domain_posteriors(docs: DataFrame, model: DomainModel) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in words.slices(batch, limit=2 << 20):
-                text, bucket, n = present(*words.text_bytes(part.column("text")))
-                p = shared.value.posteriors(text, bucket, part.num_rows)
+                word, per, n = token_hashes(*words.text_bytes(part.column("text")))
+                p = shared.value.posteriors(word, per)
                 yield pa.RecordBatch.from_arrays([*[part.column(c) for c in kept], pa.array(n.astype(np.int64)), pa.array(list(p), pa.list_(pa.float64()))], [*kept, "n_tokens", "p"])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(words.tidy(run), schema)
 
 
 def rate_of(p: Column, residuals: list[list[float]], pull: float = PULL, step: float = STEP) -> Column:
