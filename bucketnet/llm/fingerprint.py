@@ -105,7 +105,8 @@ def in_id_order(docs: DataFrame) -> tuple[DataFrame, int]:
     part = F.lit(0)
     if cuts:
         bounds = F.array(*[F.lit(float(c)) for c in cuts])
-        part = F.coalesce(F.size(F.filter(bounds, lambda c: c >= F.col("doc_id").cast("double"))), F.lit(len(cuts) + 1))
+        above = F.size(F.filter(bounds, lambda c: c >= F.col("doc_id").cast("double")))
+        part = F.when(F.col("doc_id").isNull(), len(cuts) + 1).otherwise(above)
     rows = docs.withColumn("part", part)
     tops = rows.groupBy("part").agg(F.max(F.struct("doc_id", F.coalesce("text", F.lit("")).alias("t"))).alias("top"))
     tops = tops.select("part", "top.doc_id", F.col("top.t").alias("text"))

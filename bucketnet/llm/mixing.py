@@ -32,7 +32,7 @@ from bucketnet.llm.quality_net import tokens
 DOMAINS = ("good", "junk", "toxic")
 SPACE = 1 << 62
 SLOTS = 20  # bits of the table that most tokens are ruled out by
-EVIDENCE = 16.0  # a token counts if its seen * log(seen / expected) in a domain is above: far beyond chance among a million tokens
+EVIDENCE = 3.0  # a token counts if its seen * log(seen / expected) in a domain is above this and the log of the number of tokens: beyond chance among so many
 FEATURES, SAMPLE_ROWS = 600, 8000
 STEPS, STEP, PULL = 40, 0.9, 1e-3
 WEIGHTS = {"good": 0.90, "junk": 0.06, "toxic": 0.04}
@@ -77,7 +77,7 @@ class DomainModel:
         expected = seen.sum(axis=1, keepdims=True) * share + 1e-9
         evidence = seen * np.log(np.maximum(seen, 1) / expected)
         best = np.unique(np.concatenate([np.argsort(-evidence[:, c], kind="stable")[: FEATURES // k] for c in range(k)]))
-        best = best[evidence[best].max(axis=1) > EVIDENCE]
+        best = best[evidence[best].max(axis=1) > EVIDENCE + np.log(len(every))]
         self.known = every[best]
         self.slot[self.known & ((1 << SLOTS) - 1)] = True
         x = np.zeros((len(rows), len(best)), dtype=np.float32)

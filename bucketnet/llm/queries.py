@@ -64,4 +64,16 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (
     op1_token_counts, op2_sharding, op3_fingerprints, op4_packing, op5_line_dedup, op6_quality_rules, op7_mixing, op8_langid, op9_simhash, op10_quality_net)}
-ORACLES: dict[str, str] = {}
+#: The other operators rest on hashes, tokenizers or fitted models that SQL does not have; tests/llm compares them with brute force.
+ORACLES: dict[str, str] = {
+    "op5_line_dedup": f"""
+WITH lines AS (SELECT doc_id, text, unnest(string_split(text, chr(10))) AS line, unnest(range(len(string_split(text, chr(10))))) AS i, len(string_split(text, chr(10))) AS n FROM documents),
+info AS (SELECT *, CAST('0x' || substr(md5(line), 1, 8) AS BIGINT) AS h, length(line) - length(replace(line, ' ', '')) + 1 AS w FROM lines),
+cuts AS (SELECT *, CASE WHEN i = n - 1 OR w >= {line_dedup.LONG_LINE} OR lead(w) OVER d >= {line_dedup.LONG_LINE} OR (coalesce(lag(h) OVER d, 0) * 31 + h) % {line_dedup.SPACING} = 0 THEN 1 ELSE 0 END AS ends
+    FROM info WINDOW d AS (PARTITION BY doc_id ORDER BY i)),
+numbered AS (SELECT *, coalesce(sum(ends) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS k FROM cuts),
+chunks AS (SELECT doc_id, k, string_agg(line, chr(10) ORDER BY i) AS t, count(*) AS size, sum(w) AS w FROM numbered GROUP BY 1, 2),
+judged AS (SELECT *, w >= {line_dedup.MIN_WORDS} AND (size >= 2 OR w >= {line_dedup.LONG_LINE}) AND row_number() OVER (PARTITION BY t ORDER BY doc_id, k) > 1 AS gone FROM chunks),
+left_over AS (SELECT doc_id, CAST(sum(size) AS BIGINT) AS n_lines, CAST(sum(CASE WHEN gone THEN size ELSE 0 END) AS BIGINT) AS lines_removed, coalesce(string_agg(t, chr(10) ORDER BY k) FILTER (NOT gone), '') AS t FROM judged GROUP BY 1)
+SELECT doc_id, n_lines, lines_removed, length(t) AS chars_left, md5(t) AS text_md5 FROM left_over""",
+}
