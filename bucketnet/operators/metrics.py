@@ -103,3 +103,14 @@ def sampling_quality(chosen: DataFrame, best: DataFrame, scored: DataFrame, beta
     s = scored.select(F.col("query_id").alias("s_q"), F.col("id").alias("s_i"), "score")
     rows = chosen.join(b, (F.col("query_id") == F.col("b_q")) & (F.col("id") == F.col("b_i")), "left").join(s, (F.col("query_id") == F.col("s_q")) & (F.col("id") == F.col("s_i")))
     return rows.groupBy("query_id").agg((F.count("b_i") / beta).alias("recall"), F.avg("score").alias("mean_score"))
+
+
+def sensitivity(rates: DataFrame, s0: float, c: float) -> DataFrame:
+    """p1: rate of equal codes (same, 0 or 1) at a similarity (sim) of s0 or more; p2: at c * s0 or less. A family suits the data if p1 > p2."""
+    return rates.agg(F.avg(F.when(F.col("sim") >= s0, F.col("same"))).alias("p1"), F.avg(F.when(F.col("sim") <= c * s0, F.col("same"))).alias("p2"))
+
+
+def label_hit_rate(active: DataFrame, labels: DataFrame) -> DataFrame:
+    """Share of instances whose own label is among their active neurons."""
+    a = active.select(F.col("instance_id").alias("a_i"), F.col("neuron_id").alias("a_n"), F.lit(1).alias("h")).distinct()
+    return labels.join(a, (F.col("instance_id") == F.col("a_i")) & (F.col("neuron_id") == F.col("a_n")), "left").agg(F.avg(F.coalesce("h", F.lit(0))).alias("value"))

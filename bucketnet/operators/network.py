@@ -150,3 +150,23 @@ def sharded_softmax(logits: DataFrame, shards: int) -> DataFrame:
     every = local.groupBy("instance_id").agg(F.max("top").alias("t"), F.collect_list(F.struct("top", "s")).alias("parts"))
     norm = every.select("instance_id", "t", F.aggregate("parts", F.lit(0.0), lambda a, x: a + x["s"] * F.exp(x["top"] - F.col("t"))).alias("n"))
     return logits.join(norm, "instance_id").select("instance_id", "neuron_id", (F.exp(F.col("z") - F.col("t")) / F.col("n")).alias("prob"))
+
+
+def forward_cogrouped(active: DataFrame, hidden: DataFrame, w_out: DataFrame, shards: int) -> DataFrame:
+    """forward_active with each shard's pairs and weights met in one task (a cogrouped Arrow map): pairs are not joined into rows.
+
+    A shard's weights and pairs must fit a task; shards is chosen for that.
+    """
+    import pyarrow as pa
+
+    h = hidden.groupBy("instance_id").agg(F.map_from_entries(F.collect_list(F.struct("unit", "a"))).alias("h"))
+    pairs = active.join(h, "instance_id", "left").withColumn("shard", F.pmod(F.col("neuron_id"), F.lit(shards)))
+    weights = w_out.groupBy("neuron_id").agg(F.map_from_entries(F.collect_list(F.struct("unit", "w"))).alias("ws")).withColumn("shard", F.pmod(F.col("neuron_id"), F.lit(shards)))
+
+    def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
+        w = {n: dict(m) for n, m in zip(right.column("neuron_id").to_pylist(), right.column("ws").to_pylist(), strict=True)}
+        ids, neurons = left.column("instance_id").to_pylist(), left.column("neuron_id").to_pylist()
+        z = [sum(a * w.get(n, {}).get(u, 0.0) for u, a in (m or [])) for n, m in zip(neurons, left.column("h").to_pylist(), strict=True)]
+        return pa.table({"instance_id": pa.array(ids, pa.int64()), "neuron_id": pa.array(neurons, pa.int32()), "z": pa.array(z, pa.float64())})
+
+    return pairs.groupBy("shard").cogroup(weights.groupBy("shard")).applyInArrow(run, "instance_id long, neuron_id int, z double")

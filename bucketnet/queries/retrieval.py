@@ -406,3 +406,104 @@ b AS (SELECT item_id AS id, list_filter(regexp_split_to_array(lower(text), '[^\\
 bs AS (SELECT DISTINCT id, unnest(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) AS e FROM b WHERE len(w) >= 5),
 n AS (SELECT id, count(*) AS n FROM bs GROUP BY 1)
 SELECT bs.id AS item_id, ds.id AS doc_id, {r6_sql('CAST(count(*) AS DOUBLE) / any_value(n.n)')} AS containment FROM bs JOIN ds USING (e) JOIN n ON n.id = bs.id GROUP BY 1, 2"""
+
+
+# ---- what the tables give, seen from other sides ----
+@query(f"{PROBES} SELECT query_id, id AS vec_id, freq FROM f")
+def q_bucket_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sampling.frequencies(_probes(spark, sf_dir)).withColumnRenamed("id", "vec_id")
+
+
+@query(f"{PROBES} SELECT query_id, id AS vec_id, freq FROM f WHERE id <> query_id")
+def q_candidate_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Self-join on the bucket: each stated query with every other vector that shares a bucket with it."""
+    return sampling.frequencies(_probes(spark, sf_dir)).where("id != query_id").withColumnRenamed("id", "vec_id")
+
+
+@query(f"{PROBES} SELECT vec_id FROM embeddings WHERE vec_id NOT IN (SELECT id FROM f WHERE freq >= 2)")
+def q_items_without_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Vectors that no query meets in two tables."""
+    found = sampling.sample_threshold(_probes(spark, sf_dir), 2).select("id").distinct()
+    return vectors(spark, sf_dir).select("id").join(found, "id", "left_anti").withColumnRenamed("id", "vec_id")
+
+
+@query(f"""{BASE}, l AS (SELECT table_id, code, count(*) AS n FROM c GROUP BY 1, 2)
+SELECT table_id, {r6_sql('stddev_samp(n)')} AS sd, {r6_sql('quantile_cont(n, 0.5)')} AS median, {r6_sql('quantile_cont(n, 0.99)')} AS p99, count(*) FILTER (n > {CAP}) AS over_cap FROM l GROUP BY 1""")
+def q_bucket_load_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    load_of = _codes(spark, sf_dir).groupBy("table_id", "code").agg(F.count(F.lit(1)).alias("n"))
+    return load_of.groupBy("table_id").agg(r6(F.stddev("n")).alias("sd"), r6(F.percentile("n", F.lit(0.5))).alias("median"), r6(F.percentile("n", F.lit(0.99))).alias("p99"), F.sum(F.when(F.col("n") > CAP, 1).otherwise(0)).alias("over_cap"))
+
+
+_TOP = f"tk AS (SELECT query_id, id FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY freq DESC, id) AS r FROM f) WHERE r <= {BETA}), th AS (SELECT query_id, id FROM f WHERE freq >= 2)"
+
+
+def _strategies(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    p = _probes(spark, sf_dir)
+    return sampling.sample_topk(p, BETA).select("query_id", "id"), sampling.sample_threshold(p, 2).select("query_id", "id")
+
+
+@query(f"{PROBES}, {_TOP} SELECT query_id, id AS vec_id FROM tk INTERSECT SELECT query_id, id FROM th")
+def q_strategy_intersect(spark: SparkSession, sf_dir: str) -> DataFrame:
+    a, b = _strategies(spark, sf_dir)
+    return a.intersect(b).withColumnRenamed("id", "vec_id")
+
+
+@query(f"{PROBES}, {_TOP} SELECT query_id, id AS vec_id FROM tk EXCEPT SELECT query_id, id FROM th")
+def q_strategy_except(spark: SparkSession, sf_dir: str) -> DataFrame:
+    a, b = _strategies(spark, sf_dir)
+    return a.exceptAll(b).withColumnRenamed("id", "vec_id")
+
+
+@query(f"""WITH {COUNTED},
+o AS (SELECT fn, idx, row_number() OVER (PARTITION BY fn ORDER BY h, idx) - 1 AS pos FROM
+    (SELECT f.range AS fn, i.range AS idx, {h32_sql(str(SEED), 'f.range', 'i.range')} AS h FROM range({K * L}) f, range({SPARSE_DIM}) i)),
+v AS (SELECT i.id, o.fn, o.pos, coalesce(feats.val, 0) AS x FROM (SELECT DISTINCT id FROM feats) i CROSS JOIN (SELECT * FROM o WHERE pos < {WTA_M}) o LEFT JOIN feats ON feats.id = i.id AND feats.idx = o.idx),
+b AS (SELECT id, fn, pos, row_number() OVER (PARTITION BY id, fn ORDER BY x DESC, pos) AS r FROM v)
+SELECT id AS doc_id, CAST(fn // {K} AS INTEGER) AS table_id, CAST(sum(pos * CAST(pow({WTA_M}, fn % {K}) AS BIGINT)) AS BIGINT) AS code FROM b WHERE r = 1 GROUP BY 1, 2""")
+def q_wta_naive_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """WTA on densified sparse rows, the baseline of DWTA: most looked-at places are zeros."""
+    rows = _counted(spark, sf_dir).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("idx", "val"))).alias("m"))
+    dense = rows.select("id", F.transform(F.sequence(F.lit(0), F.lit(SPARSE_DIM - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0))).alias("vec"))
+    return hashing.WTA(K, L, SPARSE_DIM, SEED, m=WTA_M).codes(dense, "id", "vec").withColumnRenamed("id", "doc_id")
+
+
+@query(f"""{BASE}, n AS (SELECT id, sqrt(CAST(sum(q * q) AS DOUBLE)) AS m FROM e GROUP BY id),
+s AS (SELECT a.id AS query_id, b.id, CAST(sum(a.q * b.q) AS DOUBLE) AS dot FROM e a JOIN e b USING (idx) WHERE a.id % {STEP} = 0 AND a.id <> b.id GROUP BY 1, 2),
+cs AS (SELECT query_id, s.id, dot / (x.m * y.m) AS sim FROM s JOIN n x ON x.id = query_id JOIN n y ON y.id = s.id),
+h AS (SELECT sim, CASE WHEN a.code = b.code THEN 1.0 ELSE 0.0 END AS same FROM cs JOIN c a ON a.id = query_id JOIN c b ON b.id = cs.id AND b.table_id = a.table_id)
+SELECT {r6_sql('avg(same) FILTER (sim >= 0.2)')} AS p1, {r6_sql('avg(same) FILTER (sim <= 0.5 * 0.2)')} AS p2 FROM h""")
+def q_sensitivity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(s0, c) = (0.2, 0.5): the rate of equal codes at a cosine of s0 or more, and at c * s0 or less."""
+    g = vectors(spark, sf_dir).select("id", fixed_point("vec").alias("q"))
+    g = g.withColumn("m", F.sqrt(long_dot("q", "q").cast("double"))).join(_codes(spark, sf_dir).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("table_id", "code"))).alias("c")), "id")
+    asked = every(g).select(F.col("id").alias("query_id"), F.col("q").alias("q2"), F.col("m").alias("m2"), F.col("c").alias("c2"))
+    near = g.join(F.broadcast(asked), F.col("id") != F.col("query_id"))  # the stated query set
+    rates = near.select((long_dot("q", "q2").cast("double") / (F.col("m2") * F.col("m"))).alias("sim"), F.explode(F.zip_with("c", "c2", lambda a, b: (a["code"] == b["code"]).cast("double"))).alias("same"))
+    return metrics.sensitivity(rates, 0.2, 0.5).select(r6(F.col("p1")).alias("p1"), r6(F.col("p2")).alias("p2"))
+
+
+NEAR_K, NEAR_L = 3, 20
+_nmin = ", ".join(f"min(((h % {P31}) * {1 + h32_of(SEED, 'a', f) % (P31 - 1)} + {h32_of(SEED, 'b', f) % P31}) % {P31}) AS m{f}" for f in range(NEAR_K * NEAR_L))
+_ntab = " UNION ALL ".join(f"SELECT id, {t} AS t, {h32_sql(*[f'm{t * NEAR_K + j}' for j in range(NEAR_K)])} AS code FROM m" for t in range(NEAR_L))
+
+
+@query(f"""WITH d AS (SELECT min(doc_id) AS id, any_value(list_filter(regexp_split_to_array(lower(text), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '')) AS w FROM documents GROUP BY text),
+s AS (SELECT DISTINCT id, unnest(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) AS element FROM d WHERE len(w) >= 5),
+h AS (SELECT id, {h32_sql(str(SEED), 'element')} AS h FROM s), m AS (SELECT id, {_nmin} FROM h GROUP BY id), c AS ({_ntab}),
+p AS (SELECT DISTINCT a.id AS a_id, b.id AS b_id FROM c a JOIN c b ON a.t = b.t AND a.code = b.code AND a.id < b.id),
+n AS (SELECT id, count(*) AS n FROM s GROUP BY 1), o AS (SELECT a_id, b_id, count(*) AS shared FROM p JOIN s x ON x.id = a_id JOIN s y ON y.id = b_id AND y.element = x.element GROUP BY 1, 2)
+SELECT a_id, b_id, {r6_sql('jac')} AS jaccard FROM (SELECT a_id, b_id, CAST(shared AS DOUBLE) / (x.n + y.n - shared) AS jac FROM o JOIN n x ON x.id = a_id JOIN n y ON y.id = b_id) WHERE jac >= 0.8""")
+def q_near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distinct texts (by smallest id) of a 5-word-shingle Jaccard similarity of 0.8 or more: MinHash candidates, exactly checked."""
+    docs = load(spark, sf_dir, "documents")
+    first = docs.groupBy(F.md5("text").alias("h")).agg(F.min("doc_id").alias("first"))
+    distinct_docs = docs.join(first, F.col("doc_id") == F.col("first"), "left_semi")
+    sets = workloads.shingles(distinct_docs, "doc_id", 5)
+    codes = hashing.MinHash(NEAR_K, NEAR_L, 0, SEED).codes_set(sets)
+    b = codes.select(F.col("id").alias("b_id"), F.col("table_id").alias("b_t"), F.col("code").alias("b_c"))
+    pairs = codes.join(b, (F.col("table_id") == F.col("b_t")) & (F.col("code") == F.col("b_c")) & (F.col("id") < F.col("b_id"))).select(F.col("id").alias("a_id"), "b_id").distinct()
+    whole = sets.groupBy("id").agg(F.collect_list(F.xxhash64("element")).alias("e"))
+    both = pairs.join(whole.withColumnsRenamed({"id": "i", "e": "ea"}), F.col("a_id") == F.col("i")).join(whole.withColumnsRenamed({"id": "j", "e": "eb"}), F.col("b_id") == F.col("j"))
+    from bucketnet.functions.vector import jaccard
+
+    return both.select("a_id", "b_id", jaccard("ea", "eb").alias("x")).where("x >= 0.8").select("a_id", "b_id", r6(F.col("x")).alias("jaccard"))

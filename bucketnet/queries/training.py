@@ -69,11 +69,12 @@ class Net:
         self.labels = docs.select(F.col("doc_id").alias("instance_id"), (h32("label", F.col("doc_id")) % CLASSES).cast("int").alias("neuron_id"))
         self.hidden = network.relu(network.forward_input(self.features, F.broadcast(self.w_in))).withColumn("a", F.col("a") / 10000)
 
-    def active(self) -> DataFrame:
+    def active(self, forced: bool = True) -> DataFrame:
         neurons = FAM.codes_of(FAM.project_sparse(self.w_out.select(F.col("neuron_id").alias("id"), F.col("unit").alias("idx"), F.col("w").alias("val"))))
         inputs = FAM.codes_of(FAM.project_sparse(self.hidden.select(F.col("instance_id").alias("id"), F.col("unit").alias("idx"), F.col("a").alias("val"))))
         met = sampling.sample_union(sampling.probe(inputs, index.build_index(neurons)))
-        return network.with_labels(met.select(F.col("query_id").alias("instance_id"), F.col("id").alias("neuron_id")), self.labels)
+        found = met.select(F.col("query_id").alias("instance_id"), F.col("id").alias("neuron_id"))
+        return network.with_labels(found, self.labels) if forced else found
 
     def logits(self, active: DataFrame | None = None) -> DataFrame:
         return network.forward_active(self.active() if active is None else active, self.hidden, F.broadcast(self.w_out))
@@ -103,6 +104,29 @@ def q_forward_active(spark: SparkSession, sf_dir: str) -> DataFrame:
     return Net(spark, sf_dir).logits().select("instance_id", "neuron_id", F.round(F.col("z") * 1e7).cast("long").alias("z7"))
 
 
+@query(f"{NET} SELECT instance_id, neuron_id, CAST(round(z * 1e7) AS BIGINT) AS z7 FROM z")
+def q_forward_cogrouped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    n = Net(spark, sf_dir)
+    return network.forward_cogrouped(n.active(), n.hidden, n.w_out, 4).select("instance_id", "neuron_id", F.round(F.col("z") * 1e7).cast("long").alias("z7"))
+
+
+@query(f"{NET}, a AS (SELECT DISTINCT hc.id AS instance_id, nc.id AS neuron_id FROM hc JOIN nc USING (table_id, code)) SELECT {r6_sql('avg(CASE WHEN a.instance_id IS NULL THEN 0.0 ELSE 1.0 END)')} AS value FROM lab LEFT JOIN a USING (instance_id, neuron_id)")
+def q_label_hit_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How often tables of untrained weights give the own label: near chance."""
+    n = Net(spark, sf_dir)
+    return metrics.label_hit_rate(n.active(forced=False), n.labels).select(r6(F.col("value")).alias("value"))
+
+
+@query(f"{NET} SELECT instance_id, count(DISTINCT neuron_id) AS active FROM act GROUP BY 1")
+def q_active_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return Net(spark, sf_dir).active().groupBy("instance_id").agg(F.count_distinct("neuron_id").alias("active"))
+
+
+@query(f"{NET} SELECT count(DISTINCT idx) AS used, count(*) AS nonzeros FROM feats")
+def q_feature_dim(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return Net(spark, sf_dir).features.agg(F.count_distinct("idx").alias("used"), F.count(F.lit(1)).alias("nonzeros"))
+
+
 @query(f"{NET}, {softmax_sql('pr', 'z')} SELECT instance_id, neuron_id, {r6_sql('prob')} AS prob FROM pr")
 def q_active_softmax(spark: SparkSession, sf_dir: str) -> DataFrame:
     return network.active_softmax(Net(spark, sf_dir).logits()).select("instance_id", "neuron_id", r6(F.col("prob")).alias("prob"))
