@@ -87,3 +87,16 @@ def test_exact_batches(spark):
     sizes = sorted(r["count"] for r in network.batches(d, 10, 1, exact=True).groupBy("batch_id").count().collect())
     assert sizes == [5, 10, 10]
     assert network.batches(d, 10, 1).agg(F.count_distinct("batch_id")).first()[0] <= 3
+
+
+def test_workers_elsewhere_get_the_package():
+    """A driver that runs in another folder, without PYTHONPATH, can still use Python workers."""
+    import os
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parent.parent
+    code = f"import sys; sys.path.insert(0, {str(root)!r}); from bucketnet.session import local_session; s = local_session(1, 1, '1g'); import __spark_entry__ as e; assert e.entry(s).count() > 0"
+    env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    assert subprocess.run([sys.executable, "-c", code], cwd="/tmp", env=env, timeout=120, check=False).returncode == 0
