@@ -10,6 +10,7 @@ import time
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from bucketnet import workloads
 from bucketnet.functions.seeds import h32
@@ -38,17 +39,20 @@ def known_item_sets(spark: SparkSession, sf_dir: str, dims: int = DIMS) -> tuple
 def word_tagging_sets(spark: SparkSession, sf_dir: str, dims: int = DIMS) -> tuple[DataFrame, DataFrame, int]:
     """(train, test, labels) of W2: a label is a word that two documents share; documents split 4 to 1 by md5 of their id."""
     f, lab = workloads.word_tagging(spark, sf_dir)
-    names = lab.select("word").distinct().withColumn("label", F.dense_rank().over(_order("word")) - 1)
+    names = numbered(lab.select("word").distinct(), "word", "label")
     labels = lab.join(names, "word").select("instance_id", "label")
     rows = blocks.as_instances(workloads.hashed(f, dims), labels).persist()
     held = h32(11, "split", F.col("instance_id")) % 5 == 0
     return rows.where(~held), rows.where(held), names.count()
 
 
-def _order(col: str):
-    from pyspark.sql.window import Window
-
-    return Window.orderBy(col)  # the label dimension: as long as there are labels
+def numbered(names: DataFrame, col: str, out: str, buckets: int = 64) -> DataFrame:
+    """names (distinct) with out = 0, 1, 2, ...: numbered inside hash buckets, each of which begins where the ones before end."""
+    b = names.withColumn("__b", F.pmod(F.xxhash64(col), F.lit(buckets)).cast("int"))
+    before = F.coalesce(F.sum("n").over(Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = b.groupBy(F.col("__b").alias("b")).agg(F.count(F.lit(1)).alias("n")).select("b", before.alias("at"))
+    place = F.row_number().over(Window.partitionBy("__b").orderBy(col)) - 1
+    return b.withColumn("__i", place).join(F.broadcast(starts), F.col("__b") == F.col("b")).select(col, (F.col("__i") + F.col("at")).cast("int").alias(out))
 
 
 def copurchase_sets(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, int]:

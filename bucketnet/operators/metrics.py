@@ -41,12 +41,20 @@ def log_loss(scored: DataFrame) -> DataFrame:
     return scored.agg((-F.avg(F.when(F.col("y") == 1, F.log(p)).otherwise(F.log(1 - p)))).alias("value"))
 
 
-def auc(scored: DataFrame) -> DataFrame:
-    """Chance that a positive row outranks a negative one, ties as a half; rows are first counted by score."""
-    by = scored.groupBy("p").agg(F.sum(F.when(F.col("y") == 1, 1).otherwise(0)).alias("pos"), F.sum(F.when(F.col("y") == 1, 0).otherwise(1)).alias("neg"))
-    below = F.coalesce(F.sum("neg").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    w = by.select("pos", "neg", below.alias("below"))
-    return w.agg(F.try_divide(F.sum(F.col("pos") * (F.col("below") + F.col("neg") / 2.0)), F.sum("pos") * F.sum("neg")).alias("value"))
+def auc(scored: DataFrame, bins: int = 4096) -> DataFrame:
+    """Chance that a positive row outranks a negative one, ties as a half; rows are first counted by score (p in 0 .. 1).
+
+    Negatives below a score are those of lower bins (a window over the bins' sums) and lower ones in its own bin.
+    """
+    one = lambda cond: F.sum(F.when(cond, 1).otherwise(0))
+    by = scored.groupBy("p").agg(one(F.col("y") == 1).alias("pos"), one(F.col("y") != 1).alias("neg"))
+    by = by.withColumn("bin", F.floor(F.least(F.lit(1.0), F.greatest(F.lit(0.0), F.col("p"))) * bins).cast("int"))
+    earlier = Window.unboundedPreceding, -1
+    sums = by.groupBy("bin").agg(F.sum("neg").alias("bin_neg"))
+    sums = sums.select(F.col("bin").alias("b"), F.coalesce(F.sum("bin_neg").over(Window.orderBy("bin").rowsBetween(*earlier)), F.lit(0)).alias("lower"))
+    own = F.coalesce(F.sum("neg").over(Window.partitionBy("bin").orderBy("p").rowsBetween(*earlier)), F.lit(0))
+    w = by.withColumn("own", own).join(F.broadcast(sums), F.col("bin") == F.col("b"))  # bins + 1 rows at most
+    return w.agg(F.try_divide(F.sum(F.col("pos") * (F.col("lower") + F.col("own") + F.col("neg") / 2.0)), F.sum("pos") * F.sum("neg")).alias("value"))
 
 
 def time_to_accuracy(runlog: DataFrame, targets: list[float]) -> DataFrame:
