@@ -33,7 +33,8 @@ from bucketnet.llm.common import cut
 
 SEED = 42
 CHUNK = 4096
-LEAF = 16
+FEW = 50_000  # hot keys that may be broadcast
+LEAF = 32
 PAIRS = 1 << 16
 RUN = 1 << 16
 
@@ -188,8 +189,8 @@ def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int,
     return forest
 
 
-def tables(count: int, budget: int, chunk: int = 64) -> list[int]:
-    """Masks of the bits that key each table, for about chunk of count fingerprints a key."""
+def tables(count: int, budget: int, chunk: int = 2048) -> list[int]:
+    """Masks of the bits that key each table, for at most about chunk of count fingerprints a key, in as few tables as that allows."""
     for k in range(1, 5):
         blocks = budget + k
         bounds = [64 * i // blocks for i in range(blocks + 1)]
@@ -203,34 +204,50 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None) -> DataFrame:
-    """u > v (long): links that join all rows of fps (distinct id, fp0 and, with extra_budget, fp1) within the budget into trees."""
+def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None, number=None) -> DataFrame:
+    """u > v (long): links that join all rows of fps (distinct fp0, or pairs fp0, fp1 with extra_budget) within the budget into trees.
+
+    number: from the columns of the fingerprints to that of a row's number in the links, by default fp0. A row of a table is its
+    place (table, pair of chunks, side) packed into a long, and its fingerprints; the key is cut from the
+    fingerprint on both sides of the shuffle rather than sent.
+    """
     count = fps.count()
     masks = tables(count, budget)
     width = int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    x = F.lit(0).cast("long") if extra_budget is None else F.col("fp1")
-    keyed = fps.select("id", F.col("fp0").alias("fp"), x.alias("more"), F.posexplode(F.array(*[F.lit(_signed(m)).cast("long") for m in masks])).alias("t", "mask"))
-    keyed = keyed.withColumn("key", F.col("fp").bitwiseAND(F.col("mask")))
+    number = number or (lambda fp, more: fp)
+    wide = extra_budget is not None
+    listed = F.array(*[F.lit(_signed(m)).cast("long") for m in masks])
+    keyed = fps.select(F.col("fp0").alias("fp"), *([F.col("fp1").alias("more")] if wide else []), F.explode(F.sequence(F.lit(0), F.lit(len(masks) - 1))).alias("t"))
+    keyed = keyed.withColumn("key", F.col("fp").bitwiseAND(F.element_at(listed, F.col("t") + 1)))
     hot = keyed.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > CHUNK)
-    hot = hot.select(F.col("t").alias("ht"), F.col("key").alias("hk"), F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks"))
-    rows = keyed.join(hot, (F.col("t") == F.col("ht")) & (F.col("key") == F.col("hk")), "left")
-    mine = F.pmod(F.xxhash64("id", "fp"), F.coalesce("chunks", F.lit(1))).cast("int")
-    rows = rows.withColumn("mine", mine)
-    rows = rows.withColumn("peer", F.explode(F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)))
-    lo, hi = F.least("mine", "peer"), F.greatest("mine", "peer")
+    hot = cut(hot.select(F.col("t").alias("ht"), F.col("key").alias("hk"), F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks")))
+    many = hot.count()
+    if many:  # broadcast only where they are few, and joined by a shuffle beyond that
+        rows = keyed.join(F.broadcast(hot) if many <= FEW else hot, (F.col("t") == F.col("ht")) & (F.col("key") == F.col("hk")), "left")
+    else:
+        rows = keyed.withColumn("chunks", F.lit(1))
+    chunks = F.coalesce("chunks", F.lit(1))
+    rows = rows.withColumn("mine", F.pmod(F.xxhash64(*keyed.columns[:-2]), chunks).cast("long"))
+    rows = rows.withColumn("peer", F.explode(F.sequence(F.lit(0).cast("long"), (chunks - 1).cast("long"))))
     side = F.when(F.col("mine") == F.col("peer"), 0).when(F.col("mine") < F.col("peer"), 1).otherwise(2)
-    rows = rows.select("t", "key", lo.alias("lo"), hi.alias("hi"), side.alias("side"), "id", "fp", "more")
-    unit, names = ["t", "key", "lo", "hi"], rows.columns
+    # table below 2**10, chunks below 2**25 each, side below 2**2
+    place = ((F.col("t").cast("long") * (1 << 25) + F.least("mine", "peer")) * (1 << 25) + F.greatest("mine", "peer")) * 4 + side
+    rows = rows.select(place.alias("place"), *keyed.columns[:-2])
+    names = rows.columns
+    unit = [F.floor(F.col("place") / 4), F.col("fp").bitwiseAND(F.element_at(listed, F.floor(F.col("place") / (1 << 52)).cast("int") + 1))]
     dealt = rows.repartition(max(width, -(-count * len(masks) // 500_000)), *unit).sortWithinPartitions(*unit)
+    mask_of = np.array(masks, dtype=np.uint64)
+    sent = [f"{x}_{n}" for x in ("a", "b") for n in names[1:]]
+
+    def units(cols: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        return cols[0] >> 2, cols[1].view(np.uint64) & mask_of[cols[0] >> 52]
 
     def join(cols: list[np.ndarray]) -> pa.RecordBatch:
-        *parts, side, ids, fp, more = cols
-        new = np.any([p[1:] != p[:-1] for p in parts], axis=0)
-        forest = trie_join(np.cumsum(np.concatenate([[True], new])), fp.view(np.uint64), side, budget, None if extra_budget is None else more.view(np.uint64), extra_budget or 0)
-        root = forest.flat()
+        a, b = units(cols)
+        new = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+        root = trie_join(np.cumsum(new), cols[1].view(np.uint64), cols[0] & 3, budget, cols[2].view(np.uint64) if wide else None, extra_budget or 0).flat()
         linked = np.flatnonzero(root != np.arange(len(root)))
-        a, b = ids[linked], ids[root[linked]]
-        return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["u", "v"])
+        return pa.RecordBatch.from_arrays([pa.array(c[at]) for at in (linked, root[linked]) for c in cols[1:]], sent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Whole units at a time, RUN rows or one unit at least."""
@@ -241,15 +258,17 @@ def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None) ->
             if sum(len(h[0]) for h in held) < RUN:
                 continue
             cols = [np.concatenate(c) for c in zip(*held, strict=True)]
-            last = np.all([p == p[-1] for p in cols[:4]], axis=0)
-            begin = len(last) - int(last.sum())
+            a, b = units(cols)
+            begin = len(a) - int(((a == a[-1]) & (b == b[-1])).sum())
             if begin:
                 yield join([c[:begin] for c in cols])
             held = [[c[begin:] for c in cols]]
         if held:
             yield join([np.concatenate(c) for c in zip(*held, strict=True)])
 
-    return dealt.mapInArrow(words.tidy(run), "u long, v long").where("u != v").distinct()
+    links = dealt.mapInArrow(words.tidy(run), ", ".join(f"{c} long" for c in sent))
+    one, two = (number(F.col(f"{x}_fp"), F.col(f"{x}_more") if wide else None) for x in ("a", "b"))
+    return links.select(F.greatest(one, two).alias("u"), F.least(one, two).alias("v")).where("u != v").distinct()
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -280,7 +299,8 @@ def group_near(docs: DataFrame, shingle: int = 4, budget: int = 4, extra_budget:
     """doc_id, fp0 (and fp1, under another seed, with extra_budget), component_id for every row of docs.
 
     component_id: the smallest doc_id reachable by links, its own included. A link: at most budget bits between the
-    fingerprints, and at most extra_budget between the second ones. Texts without a word (null, empty,
+    fingerprints; with extra_budget, at most budget bits between one pair of fingerprints and at most extra_budget
+    between the other, which tells near texts apart from chance at a larger budget. Texts without a word (null, empty,
     white space) have fingerprint 0 and link like any other. Rows that share a doc_id stand for themselves each;
     null ids are never the smallest. An empty table gives no rows; other columns are not read.
     """
@@ -291,11 +311,17 @@ def group_near(docs: DataFrame, shingle: int = 4, budget: int = 4, extra_budget:
     classes = rows.groupBy(*names).agg(F.min("doc_id").alias("least"))
     number = F.col("fp0") if extra_budget is None else F.xxhash64(*names)
     classes = cut(classes.withColumn("id", number))
-    comp = components(near_links(classes.select("id", *names), budget, extra_budget))
+    if extra_budget is None:
+        links = near_links(classes.select("fp0"), budget)
+    else:
+        turned = classes.select(F.col("fp1").alias("fp0"), F.col("fp0").alias("fp1"))
+        links = near_links(classes.select(*names), budget, extra_budget, lambda fp, more: F.xxhash64(fp, more))
+        links = links.unionByName(near_links(turned, budget, extra_budget, lambda fp, more: F.xxhash64(more, fp)))
+    comp = components(links)
     rooted = classes.join(comp, F.col("id") == F.col("node"), "left").withColumn("root", F.coalesce("root", "id"))
     rooted = cut(rooted.select(*[F.col(n).alias(f"c_{n}") for n in names], "least", "root"))
-    final = rooted.groupBy("root").agg(F.min("least").alias("component_id")).withColumnRenamed("root", "r")
-    by_class = rooted.join(final, F.col("root") == F.col("r")).select(*[f"c_{n}" for n in names], "component_id")
+    final = cut(rooted.groupBy("root").agg(F.min("least").alias("component_id")).withColumnRenamed("root", "r"))
+    by_class = cut(rooted.join(final, F.col("root") == F.col("r")).select(*[f"c_{n}" for n in names], "component_id"))
     cond = F.col("fp0") == F.col("c_fp0")
     for n in names[1:]:
         cond = cond & (F.col(n) == F.col(f"c_{n}"))
