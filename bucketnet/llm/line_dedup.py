@@ -54,11 +54,12 @@ def repeated_chunks(docs: DataFrame, long_line: int = LONG_LINE, min_words: int
     chunks = _chunked(rows, long_line, min_words, spacing)
     parts = chunks.select("__id", "__th", F.explode(F.filter("__c", lambda c: c["counts"])).alias("c"))
     parts = parts.select("__id", "__th", F.col("c.k").alias("k"), F.col("c.t").alias("t"), F.xxhash64("c.t").alias("h"))
-    again = parts.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("h").alias("rh"))
+    # written, so that the joins read exchanges on both sides, whose hot keys Spark can split
+    again = cut(parts.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("h").alias("rh")))
     found = cut(parts.join(again, F.col("h") == F.col("rh"), "left_semi"))
     place = F.struct("__id", "__th", "k")
-    first = (found.groupBy("h", "t").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
-             .select(F.col("h").alias("fh"), F.col("t").alias("ft"), "first"))
+    first = cut(found.groupBy("h", "t").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+                .select(F.col("h").alias("fh"), F.col("t").alias("ft"), "first"))
     later = found.join(first, (F.col("h") == F.col("fh")) & (F.col("t") == F.col("ft"))).where(~place.eqNullSafe(F.col("first")))
     return later.groupBy("__id", "__th").agg(F.collect_set("k").alias("__gone"))
 
