@@ -6,11 +6,13 @@ tokens that tell the domains apart (by 62-bit hashes, so that rare words do not
 ones), gives each document a posterior p over domains. With t tokens and
 a rate r >= 0 a document gives r * t * p expected tokens to the domains; the rates minimise
 
-    sum over domains of (expected tokens - target)**2 / (all tokens)**2  +  pull * sum over documents of t * (r - 1)**2 / (all tokens)
+    sum over domains of c * (expected tokens - target)**2 / (all tokens)**2  +  pull * sum over documents of t * (r - 1)**2 / (all tokens)
 
-by projected gradient in the metric of t. A step needs the domains' expected totals alone, one distributed
-sum of as many numbers as there are domains; a document's rate after all steps is a fold over the list of
-those residuals, so no rates are stored between steps.
+where c is 1, but for a domain whose share of all tokens is below FLOOR, FLOOR / share: otherwise the pull would outweigh a rare
+domain. A projected-gradient step in the metric of t leaves the rates where they are when r = max(0, 1 - p . y)
+with y = c * (expected tokens - target) / (all tokens) / pull, one number a domain; these few numbers are found by
+Newton steps with a line search until the equations hold to CLOSE. A step needs one distributed sum of
+few numbers, and no rates are stored between steps.
 
 Null and empty texts have no tokens and rate 1. Rows are kept one for one by mix_rates. Without labels every
 posterior is equal and rates only meet the total. Rows with equal doc_id and text get equal rates.
@@ -35,6 +37,7 @@ SLOTS = 20  # bits of the table that most tokens are ruled out by
 EVIDENCE = 3.0  # a token counts if its seen * log(seen / expected) in a domain is above this and the log of the number of tokens: beyond chance among so many
 FEATURES, SAMPLE_ROWS = 600, 8000
 STEPS, STEP, PULL = 40, 0.9, 1e-3
+FLOOR, CLOSE, MOST = 0.01, 1e-9, 100  # of shares of all tokens; equations' error; Newton steps that are not expected to be needed
 WEIGHTS = {"good": 0.90, "junk": 0.06, "toxic": 0.04}
 
 
@@ -158,7 +161,10 @@ def rate_of(p: Column, residuals: list[list[float]], pull: float = PULL, step: f
 
 
 def fit_rates(measured: DataFrame, weights: dict[str, float], total: float | None = None, steps: int = STEPS) -> list[list[float]]:
-    """Residuals of the projected-gradient steps. measured: durable, with n_tokens and p. total: of the mix, by default that of measured."""
+    """Residuals of so many plain projected-gradient steps (c = 1), which need not have converged: settle_rates does.
+
+    measured: durable, with n_tokens and p. total: of the mix, by default that of measured.
+    """
     have = float(measured.agg(F.sum("n_tokens")).first()[0] or 0)
     if not have:
         return []
@@ -171,6 +177,47 @@ def fit_rates(measured: DataFrame, weights: dict[str, float], total: float | Non
     return residuals
 
 
+def settled_rate(p: Column, y: np.ndarray) -> Column:
+    """The rate at which a projected-gradient step moves nothing."""
+    return F.greatest(F.lit(0.0), F.lit(1.0) - sum((F.get(p, F.lit(i)) * F.lit(float(x)) for i, x in enumerate(y)), F.lit(0.0)))
+
+
+def settle_rates(measured: DataFrame, weights: dict[str, float], total: float | None = None, pull: float = PULL, floor: float = FLOOR) -> np.ndarray:
+    """y of the rates that minimise. measured: durable, with n_tokens and p. total: of the mix, by default that of measured."""
+    k = len(DOMAINS)
+    p = [F.get("p", F.lit(i)) for i in range(k)]
+    have, *now = (float(x or 0) for x in measured.agg(F.sum("n_tokens"), *[F.sum(F.col("n_tokens") * x) for x in p]).first())
+    y = np.zeros(k)
+    if not have:
+        return y
+    want = np.array([weights[d] for d in DOMAINS]) * (1.0 if total is None else total / have) / sum(weights.values())
+    c = np.maximum(1.0, floor / np.maximum(np.array(now) / have, 1e-9))
+
+    def at(y: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+        """Value, gradient and second derivatives of the convex dual."""
+        r, t = settled_rate(F.col("p"), y), F.col("n_tokens") / have
+        pairs = [(i, j) for i in range(k) for j in range(i, k)]
+        got = measured.agg(F.sum(t * r * r), *[F.sum(t * r * x) for x in p], *[F.sum(F.when(r > 0, t * p[i] * p[j]).otherwise(0.0)) for i, j in pairs]).first()
+        second = np.diag(pull / c)
+        for (i, j), x in zip(pairs, got[1 + k :], strict=True):
+            second[i, j] += x
+            if i != j:
+                second[j, i] += x
+        return got[0] / 2 + want @ y + pull * (y * y / c).sum() / 2, pull * y / c + want - np.array(got[1 : 1 + k]), second
+
+    value, slope, second = at(y)
+    for _ in range(MOST):
+        if np.abs(slope).max() <= CLOSE:
+            return y
+        move, size = -np.linalg.solve(second, slope), 1.0
+        new = at(y + move)
+        while new[0] > value + 1e-4 * size * (slope @ move) + 1e-15 and size > 1e-9:
+            size /= 2
+            new = at(y + size * move)
+        y, (value, slope, second) = y + size * move, new
+    raise RuntimeError(f"rates have not settled in {MOST} steps: {np.abs(slope).max()} left")
+
+
 def copies_of(rate: Column, key: Column) -> Column:
     """Whole copies whose mean over keys is the rate: the whole part, and one more with the chance of the rest."""
     chance = F.pmod(F.xxhash64(key, F.lit("mixing")), F.lit(1 << 30)) / float(1 << 30)
@@ -181,25 +228,29 @@ def mix_rates(docs: DataFrame, labels: DataFrame, weights: dict[str, float] | No
     """doc_id, text hash (__th), n_tokens, p, rate, copies for every row of docs."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("__th"), F.col("text").cast("string").alias("text"))
     measured = cut(domain_posteriors(rows, fit_domains(rows, labels, sample_rows)))
-    residuals = fit_rates(measured, weights or WEIGHTS, total)
-    rated = measured.withColumn("rate", F.when(F.col("n_tokens") == 0, 1.0).otherwise(rate_of(F.col("p"), residuals)))
+    y = settle_rates(measured, weights or WEIGHTS, total)
+    rated = measured.withColumn("rate", F.when(F.col("n_tokens") == 0, 1.0).otherwise(settled_rate(F.col("p"), y)))
     return rated.withColumn("copies", copies_of(F.col("rate"), F.coalesce("doc_id", F.lit(-1))))
 
 
-def without_domain(docs: DataFrame, labels: DataFrame, domain: str = "toxic", sample_rows: int = SAMPLE_ROWS) -> DataFrame:
+def without_domain(docs: DataFrame, labels: DataFrame, domain: str = "toxic", sample_rows: int = SAMPLE_ROWS, model: DomainModel | None = None) -> DataFrame:
     """docs mixed so that domain goes and all else stays as it is: the rows whose rate rounds to 1 or more, as often.
 
-    The targets are the other domains' present expected totals, and 0. A rate is rounded to the nearest
-    whole number, not at random, so that no document is lost to chance.
+    Each document counts for its most likely domain alone: the small posteriors of many clean documents add up to a
+    total that only clean documents could be taken out for. The targets are the other domains' present totals, and 0. A rate is
+    rounded to the nearest whole number, not at random, so that no document is lost to chance.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("__th"), F.col("text").cast("string").alias("text"))
-    measured = cut(domain_posteriors(rows, fit_domains(rows, labels, sample_rows)))
+    soft = domain_posteriors(rows, model or fit_domains(rows, labels, sample_rows))
+    best = F.transform("p", lambda x: (x == F.array_max("p")).cast("double"))
+    ties = F.aggregate(best, F.lit(0.0), lambda s, x: s + x)
+    measured = cut(soft.withColumn("p", F.transform(best, lambda x: x / ties)))
     now = measured.agg(*[F.sum(F.col("n_tokens") * F.get("p", F.lit(i))) for i in range(len(DOMAINS))]).first()
     weights = {d: 0.0 if d == domain else float(s or 0) for d, s in zip(DOMAINS, now, strict=True)}
     if not sum(weights.values()):
         return docs
-    residuals = fit_rates(measured, weights, sum(weights.values()))
-    rate = F.when(F.col("n_tokens") == 0, 1.0).otherwise(rate_of(F.col("p"), residuals))
+    y = settle_rates(measured, weights, sum(weights.values()))
+    rate = F.when(F.col("n_tokens") == 0, 1.0).otherwise(settled_rate(F.col("p"), y))
     rated = measured.select(F.col("doc_id").alias("__id"), F.col("__th").alias("__gth"), F.floor(rate + 0.5).cast("int").alias("__copies"))
     gone = rated.where("__copies != 1").distinct()
     joined = docs.withColumn("__th", F.xxhash64("text")).join(gone, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__th") == F.col("__gth")), "left")

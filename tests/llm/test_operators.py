@@ -404,6 +404,50 @@ def test_toxic_goes_and_clean_stays(more):
     assert np.mean([i in left for i, t in of.items() if t == 1]) < 0.5
 
 
+def rates_of(spark, p, t, weights, total=None):
+    d = spark.createDataFrame([(int(n), x) for n, x in zip(t, p.tolist(), strict=True)], "n_tokens long, p array<double>")
+    y = mixing.settle_rates(d, dict(zip(mixing.DOMAINS, weights, strict=True)), total)
+    return np.array([x[0] for x in d.select(mixing.settled_rate(F.col("p"), y)).collect()])
+
+
+def test_rates_settle(spark):
+    """A further projected-gradient step moves no rate."""
+    rng = np.random.default_rng(2)
+    p, t = rng.dirichlet((1, 1, 0.2), 300), rng.integers(1, 50, 300)
+    w = np.array([0.2, 0.3, 0.5])
+    r = rates_of(spark, p, t, w)
+    g = ((r * t) @ p - w * t.sum()) / t.sum()
+    assert np.allclose(np.maximum(0, r - mixing.STEP * (p @ g + mixing.PULL * (r - 1))), r, atol=1e-5)
+
+
+@pytest.mark.parametrize("share", [0.1, 0.005, 0.0002])
+def test_rare_domain_goes(spark, share):
+    n = 10_000
+    toxic = int(n * share)
+    p = np.tile([0.97, 0.0298, 0.0002 * share], (n, 1))
+    p[:toxic] = [0.2, 0.1, 0.7]
+    t = np.full(n, 100)
+    now = t @ p
+    r = rates_of(spark, p, t, [now[0], now[1], 0.0], now[0] + now[1])
+    assert (r[:toxic] < 0.5).all() and (abs(r[toxic:] - 1) < 0.1).all()
+
+
+def test_rare_toxic_documents_go(more):
+    """Half a percent of toxic documents."""
+    docs, labels = more
+    toxic = labels.where("toxic = 1").select("doc_id")
+    n = docs.count()
+    measured = mixing.domain_posteriors(docs.select("doc_id", "text"), mixing.fit_domains(docs, labels))
+    likely = [r.doc_id for r in measured.where("p[2] > p[0] and p[2] > p[1] and n_tokens < 200").select("doc_id").collect()]
+    few = likely[: max(2, n // 400)]
+    rest = measured.where("p[2] < 0.3").select("doc_id").join(toxic, "doc_id", "left_anti")
+    thin = docs.join(rest, "doc_id", "left_semi").unionByName(docs.where(F.col("doc_id").isin(few)))
+    model = mixing.fit_domains(docs, labels)
+    kept = {r.doc_id for r in mixing.without_domain(thin, labels, model=model).collect()}
+    assert few and not kept & set(few)
+    assert len(kept) >= 0.99 * rest.count()
+
+
 def test_mixing_edges(odd, empty, labels):
     none = labels.where("false")
     assert mixing.mix_rates(odd, labels).count() == odd.count() and mixing.mix_rates(odd, none).count() == odd.count()
