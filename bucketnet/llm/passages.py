@@ -1,0 +1,95 @@
+"""Removal of repeated passages: runs of whole lines of at least MIN_WORDS words that an earlier place has as well.
+
+From each line on, the fewest lines that have min_words words are a window, and so are the fewest lines that have them up to each line.
+Which lines these are depends on the run alone and not on what stands around it, and the windows inside a run cover it, its first and
+last line too; so of a repeated run every line lies in a repeated window, however the run is broken into lines.
+Of equal windows (128 bits of BLAKE2b) the one with the smallest (doc_id, text hash, line) stays, and the lines of the others go, within
+a document too. Each line that goes has an equal one at an earlier place, and the first of these stays. Words of a
+line are its spaces plus one.
+
+Null texts stay null; rows with equal doc_id and text change alike; a document can end empty, and stays.
+"""
+
+from __future__ import annotations
+
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from bucketnet.llm import words
+from bucketnet.llm.common import cut
+
+MIN_WORDS = 51
+
+
+def windows(raw: bytes, min_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First and last lines of a text's windows, and their digests as (n, 2) longs."""
+    buf = np.frombuffer(raw, dtype=np.uint8)
+    breaks = np.flatnonzero(buf == 0x0A)
+    begin, end = np.concatenate([[0], breaks + 1]), np.concatenate([breaks, [len(buf)]])
+    spaces = np.concatenate([[0], np.cumsum(buf == 0x20)])
+    total = np.concatenate([[0], np.cumsum(spaces[end] - spaces[begin] + 1)])
+    n = len(begin)
+    ahead = np.stack([np.arange(n), np.searchsorted(total, total[:-1] + min_words, side="left")])
+    back = np.stack([np.searchsorted(total, total[1:] - min_words, side="right") - 1, np.arange(1, n + 1)])
+    first, after = np.unique(np.concatenate([ahead[:, ahead[1] <= n], back[:, back[0] >= 0]], axis=1), axis=1)
+    digests = b"".join(hashlib.blake2b(raw[a:b], digest_size=16).digest() for a, b in zip(begin[first].tolist(), end[after - 1].tolist(), strict=True))
+    return first, after - 1, np.frombuffer(digests, dtype="<i8").reshape(-1, 2)
+
+
+def merged(spans: list[dict]) -> list[tuple[int, int]]:
+    """Disjoint spans of the same lines, in order."""
+    out: list[tuple[int, int]] = []
+    for a, b in sorted((s["a"], s["b"]) for s in spans):
+        if out and a <= out[-1][1] + 1:
+            out[-1] = (out[-1][0], max(b, out[-1][1]))
+        else:
+            out.append((a, b))
+    return out
+
+
+def repeated_spans(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """One row per document with lines to remove: __id, __th (hash of its text), __spans (first and last lines)."""
+    rows = docs.where("text is not null").select(F.col("doc_id").cast("long").alias("__id"), F.xxhash64("text").alias("__th"), F.col("text").cast("string").alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in words.slices(batch, limit=2 << 20):
+                found = [windows(t.encode(), min_words) for t in part.column("text").to_pylist()]
+                row = pa.array(np.repeat(np.arange(len(found)), [len(f[0]) for f in found]))
+                if len(row) == 0:
+                    continue
+                a, b, h = (np.concatenate(x) for x in zip(*found, strict=True))
+                cols = [part.column("__id").take(row), part.column("__th").take(row), pa.array(a, pa.int32()), pa.array(b, pa.int32()), pa.array(h[:, 0]), pa.array(h[:, 1])]
+                yield pa.RecordBatch.from_arrays(cols, ["__id", "__th", "a", "b", "h", "g"])
+
+    # written, so that texts are read once and the joins read exchanges on both sides, whose hot keys Spark can split
+    parts = cut(rows.mapInArrow(words.tidy(run), "__id long, __th long, a int, b int, h long, g long"))
+    place = F.struct("__id", "__th", "a")
+    first = parts.groupBy("h", "g").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    first = cut(first.select(F.col("h").alias("fh"), F.col("g").alias("fg"), "first"))
+    later = parts.join(first, (F.col("h") == F.col("fh")) & (F.col("g") == F.col("fg"))).where(~place.eqNullSafe(F.col("first")))
+    spans = later.groupBy("__id", "__th").agg(F.collect_set(F.struct("a", "b")).alias("s"))
+    kind = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
+
+    def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            done = [[{"a": a, "b": b} for a, b in merged(s)] for s in batch.column("s").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("__id"), batch.column("__th"), pa.array(done, kind)], ["__id", "__th", "__spans"])
+
+    return spans.mapInArrow(words.tidy(join), "__id long, __th long, __spans array<struct<a:int,b:int>>")
+
+
+def dedup_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """docs, all columns and rows, with text less its repeated passages and _passage_lines, the number of lines removed (long), beside."""
+    gone = cut(repeated_spans(docs, min_words)).withColumnsRenamed({"__id": "__gid", "__th": "__gth"})
+    rows = docs.withColumn("__th", F.xxhash64("text"))
+    rows = rows.join(gone, F.col("doc_id").eqNullSafe(F.col("__gid")) & (F.col("__th") == F.col("__gth")), "left")
+    left = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.exists("__spans", lambda s: i.between(s["a"], s["b"])))
+    count = F.aggregate("__spans", F.lit(0).cast("long"), lambda n, s: n + (s["b"] - s["a"] + 1).cast("long"))
+    rows = rows.withColumns({"_passage_lines": F.coalesce(count, F.lit(0).cast("long")), "text": F.when(F.col("__spans").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))})
+    return rows.select(*docs.columns, "_passage_lines")

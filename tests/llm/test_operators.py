@@ -12,7 +12,7 @@ import pytest
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bucketnet.llm import fingerprint, langid, line_dedup, mixing, neardup, packing, quality_net, quality_rules, queries, sharding, token_counts, words
+from bucketnet.llm import fingerprint, langid, line_dedup, mixing, neardup, packing, passages, quality_net, quality_rules, queries, sharding, token_counts, words
 from bucketnet.llm.common import dense_rank_by, hash_sample
 
 SMALL = "/root/testdata/sf0.001"
@@ -322,6 +322,44 @@ def test_line_dedup_edges(odd, empty, spark):
     assert dict(pairs(line_dedup.dedup_lines(d))) == {0: f"a b\n{long}\nc", 1: "", 2: "", 3: long.upper()}
 
 
+def repeated_runs(rows):
+    """How many lines of all texts lie in a run of over 50 words that an earlier place has, trying every pair of line places."""
+    lines = [(k, i, x) for k, t in enumerate(rows) for i, x in enumerate(t.split("\n"))]
+    bad = set()
+    for p, (k, i, x) in enumerate(lines):
+        for q in range(p):
+            j, n, w = lines[q][0], 0, 0
+            while p + n < len(lines) and lines[p + n][0] == k and lines[q + n][0] == j and lines[p + n][2] == lines[q + n][2]:
+                w += lines[p + n][2].count(" ") + 1
+                n += 1
+            if w > 50:
+                bad |= {(k, i + m) for m in range(n)}
+    return bad
+
+
+def test_passages(spark):
+    rng = random.Random(4)
+    line = lambda n: " ".join(f"w{rng.randrange(9999)}" for _ in range(n))
+    pool = [[line(rng.choice((1, 3, 10, 25))) for _ in range(rng.randrange(2, 9))] for _ in range(12)]
+    texts = []
+    for _ in range(40):
+        piece = [[line(5) for _ in range(rng.randrange(3))] + rng.choice(pool) for _ in range(2)]
+        texts.append("\n".join(x for p in piece for x in p))
+    texts += ["\n".join(["a b c", x, y, "end " + x]) for x, y in [(line(25), line(25) + "\n" + line(3))] * 2]
+    d = spark.createDataFrame(rows_of(texts), SCHEMA).repartition(3)
+    want = repeated_runs(texts)
+    got = passages.dedup_passages(d).collect()
+    assert {r.doc_id: r.text for r in got} == {k: "\n".join(x for i, x in enumerate(t.split("\n")) if (k, i) not in want) for k, t in enumerate(texts)}
+    assert sum(r._passage_lines for r in got) == len(want) > 50
+
+
+def test_passage_edges(odd, empty):
+    got = passages.dedup_passages(odd)
+    assert got.columns == [*odd.columns, "_passage_lines"]
+    assert Counter(pairs(got)) == Counter(pairs(odd))
+    assert passages.dedup_passages(empty).count() == 0
+
+
 # ---- 6 quality rules ----
 def plain_measures(t):
     w = WORD.findall(t)
