@@ -1,12 +1,15 @@
 """Order-independent document fingerprints: wide vectors of paragraphs, summed modulo powers of two.
 
 A paragraph is a line. Its vector has 32 lanes modulo 2**16 from a 512-bit digest of its bytes,
-which tell multisets of paragraphs apart, and 256 lanes modulo 2**12 of signed counts of its
+which tell multisets of paragraphs apart, and 256 lanes modulo 2**32 of signed counts of its
 word pairs (of its word, if it has one), from which likeness can be read. A document's
 fingerprint is the sum over its paragraphs, so the order of paragraphs does not matter and a
-paragraph can be put in or taken out by adding or subtracting its vector (add, remove).
+paragraph can be put in or taken out by adding or subtracting its vector (add, remove). Counts are read back
+signed, so likeness is right up to 2**31 equal pairs in a text, more than a Spark string holds.
 
-Null and empty texts have one empty paragraph. Equal texts have equal fingerprints.
+Null and empty texts have one empty paragraph. Equal texts have equal fingerprints; likeness is 1 for equal fingerprints and
+0 where one of two different ones has no word. An empty table gives no rows. A text longer than a run (2 MB) is a run of its own: a
+task then holds it, its edited form and its successor.
 """
 
 from __future__ import annotations
@@ -16,13 +19,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from bucketnet.llm import words
 
-DIGEST, LANES, LANE_BITS = 32, 256, 12
+DIGEST, LANES, LANE_BITS = 32, 256, 32
+PART_ROWS = 200_000  # of a task at most, but for rows of equal id and text
 LINE_END = np.zeros(256, dtype=bool)
 LINE_END[0x0A] = True
 
@@ -43,18 +47,15 @@ class Sketch:
         return Sketch(self.digest[i], self.pairs[i])
 
     def text(self) -> list[str]:
-        """Hexadecimal, 4 digits a digest lane and then 3 a likeness lane."""
-        low = self.pairs.astype(np.uint16)
-        nibbles = np.stack([low >> 8, (low >> 4) & 15, low & 15], axis=2).reshape(len(low), -1).astype(np.uint8)
-        tail = (nibbles[:, 0::2] << 4) | nibbles[:, 1::2]
-        head = self.digest.astype(">u2").view(np.uint8).reshape(len(low), -1)
+        """Hexadecimal, 4 digits a digest lane and then 8 a likeness lane."""
+        head, tail = (x.astype(kind).view(np.uint8).reshape(len(x), -1) for x, kind in ((self.digest, ">u2"), (self.pairs, ">u4")))
         return [row.tobytes().hex() for row in np.concatenate([head, tail], axis=1)]
 
     def likeness(self, other: Sketch) -> np.ndarray:
         """Cosine of the likeness lanes, 0 at least; 1 where the fingerprints are equal."""
         half = 1 << (LANE_BITS - 1)
-        a, b = ((x.pairs ^ half) - half for x in (self, other))  # signed again
-        norm = np.sqrt((a * a).sum(axis=1, dtype=np.float64) * (b * b).sum(axis=1, dtype=np.float64))
+        a, b = (((x.pairs ^ half) - half).astype(np.float64) for x in (self, other))  # signed again
+        norm = np.sqrt((a * a).sum(axis=1)) * np.sqrt((b * b).sum(axis=1))
         cosine = np.divide((a * b).sum(axis=1), norm, out=np.zeros(len(a)), where=norm > 0)
         same = (self.digest == other.digest).all(axis=1) & (self.pairs == other.pairs).all(axis=1)
         return np.where(same, 1.0, np.clip(cosine, 0.0, 1.0))
@@ -93,41 +94,69 @@ def edited(text: str, following: str) -> str:
     return text[: len(text) - k] + following[:k]
 
 
+def layout(bounds: list[float]) -> tuple[list[float], list[int], int]:
+    """Distinct bounds from the largest down, for each how many parts its own id gets (0: none of its own), and the number of parts.
+
+    bounds: quantiles of the ids; one that comes up several times is an id with so many parts' worth of rows.
+    """
+    distinct = sorted(set(bounds), reverse=True)
+    own = [bounds.count(c) if bounds.count(c) > 1 else 0 for c in distinct] if len(distinct) < len(bounds) else [0] * len(distinct)
+    return distinct, own, len(distinct) + sum(own) + 2
+
+
+def part_of(distinct: list[float], own: list[int]) -> Column:
+    """A row's part by doc_id and th: ids from the largest down, nulls last; an id with parts of its own is dealt by ranges of th.
+
+    Bounds are looked up in two steps of about the root of their number.
+    """
+    x = F.col("doc_id").cast("double")
+    start, places = 1, []  # of each bound: the part of ids next to it from above, plus 1
+    for n in own:
+        places.append(start)
+        start += n + 1
+    last = start
+    width = max(1, int(len(distinct) ** 0.5))
+    rows = [[(c, p, n) for c, p, n in zip(distinct[i : i + width], places[i : i + width], own[i : i + width], strict=True)] for i in range(0, len(distinct), width)]
+    made = F.array(*[F.array(*[F.struct(F.lit(c).alias("c"), F.lit(p).alias("p"), F.lit(n).alias("n")) for c, p, n in row]) for row in rows])
+    group = F.get(made, F.size(F.filter(F.array(*[F.lit(row[0][0]) for row in rows]), lambda c: c >= x)) - 1)
+    bound = F.get(group, F.size(F.filter(group, lambda b: b["c"] >= x)) - 1)  # the smallest bound that is not below the id
+    share = F.least(F.floor((F.col("th").cast("double") / 2.0**64 + 0.5) * bound["n"]), bound["n"] - 1).cast("int")
+    inside = F.when((bound["c"] == x) & (bound["n"] > 0), bound["p"] + share).otherwise(bound["p"] + bound["n"])
+    return F.when(F.col("doc_id").isNull(), F.lit(last)).otherwise(F.coalesce(inside, F.lit(0)))
+
+
 def in_id_order(docs: DataFrame) -> tuple[DataFrame, int]:
-    """docs with their place: part (ranges of descending id) and halo, true for a copy of the row that a part's last row needs next.
+    """docs with their place: part (ranges of descending id, then of the text's hash th) and halo, true for a copy of the row that a part's last row needs next; and the number of parts.
 
     Ranges come from quantiles of the ids alone; the halo has a row a part.
     """
-    spark = docs.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = docs.withColumn("th", F.xxhash64("text"))
+    wanted = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-docs.count() // PART_ROWS))
     ids = docs.select(F.col("doc_id").cast("double").alias("x")).where("x is not null")
-    cuts = sorted(set(ids.approxQuantile("x", [i / parts for i in range(1, parts)], 0.2 / parts))) if parts > 1 else []
-    part = F.lit(0)
-    if cuts:
-        bounds = F.array(*[F.lit(float(c)) for c in cuts])
-        above = F.size(F.filter(bounds, lambda c: c >= F.col("doc_id").cast("double")))
-        part = F.when(F.col("doc_id").isNull(), len(cuts) + 1).otherwise(above)
-    rows = docs.withColumn("part", part)
-    tops = rows.groupBy("part").agg(F.max(F.struct("doc_id", F.coalesce("text", F.lit("")).alias("t"))).alias("top"))
-    tops = tops.select("part", "top.doc_id", F.col("top.t").alias("text"))
+    bounds = ids.approxQuantile("x", [i / wanted for i in range(1, wanted)], 0.2 / wanted) if wanted > 1 else []
+    distinct, own, parts = layout([float(x) for x in bounds])
+    part = part_of(distinct, own) if distinct else F.when(F.col("doc_id").isNull(), 1).otherwise(0)
+    rows = rows.withColumn("part", part)
+    tops = rows.groupBy("part").agg(F.max(F.struct("doc_id", F.bitwise_not("th").alias("down"), "text")).alias("top"))
+    tops = tops.select("part", "top.doc_id", F.bitwise_not("top.down").alias("th"), F.col("top.text").alias("text"))
     # the part that comes before each part, around the end: as many rows as parts
     w = Window.orderBy("part")
     order = tops.select("part", F.lag("part").over(w).alias("to"), F.max("part").over(Window.partitionBy(F.lit(1))).alias("end"))
     halo = tops.join(order.select(F.col("part").alias("p"), F.coalesce("to", "end").alias("to")), F.col("part") == F.col("p"))
-    halo = halo.select("doc_id", "text", F.col("to").alias("part"), F.lit(True).alias("halo"))
-    return rows.select("doc_id", "text", "part", F.lit(False).alias("halo")).unionByName(halo), parts
+    halo = halo.select("doc_id", "text", "th", F.col("to").alias("part"), F.lit(True).alias("halo"))
+    return rows.select("doc_id", "text", "th", "part", F.lit(False).alias("halo")).unionByName(halo), parts
 
 
 def fingerprint_documents(docs: DataFrame) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next of every row.
 
-    The next document is the next row by descending doc_id (rows of one id by descending text, null
+    The next document is the next row by descending doc_id (rows of one id by the hash of their text, null
     ids last, nulls count as empty text); after the last comes the first. One shuffle by ranges of
-    ids; a range is read as a sorted stream, so a task holds a batch and a row.
+    ids, a part a task; a part is read as a sorted stream, so a task holds a batch and a row.
     """
-    rows, parts = in_id_order(docs.selectExpr("cast(doc_id as long) doc_id", "cast(text as string) text"))
-    rows = rows.withColumn("text", F.coalesce("text", F.lit("")))
-    ordered = rows.repartition(parts, "part").sortWithinPartitions("part", "halo", F.desc_nulls_last("doc_id"), F.desc("text"))
+    texts = docs.selectExpr("cast(doc_id as long) doc_id", "coalesce(cast(text as string), '') text")
+    rows, parts = in_id_order(texts)
+    ordered = rows.repartitionById(parts, F.col("part")).sortWithinPartitions("part", "halo", F.desc_nulls_last("doc_id"), "th", F.desc("text"))
 
     def emit(ids: list, texts: list[str], following: list[str]) -> pa.RecordBatch:
         new = [edited(a, b) for a, b in zip(texts, following, strict=True)]

@@ -3,13 +3,16 @@
 A word is a run of letters (ASCII letters and all bytes from 0x80), lower-cased. Its features are the 2-, 3- and
 4-grams of its bytes between marks for begin and end, so those with a mark are affixes, and the word
 itself (lexicon), all hashed into one table of weights per language. Transitions between languages are
-learned with them. Training sequences come from a bounded sample of labelled documents: windows of
-a document, and windows spliced from documents of several languages, as code-switching is. Marginals come from
+learned with them, by the gradient of the conditional likelihood: expected words and pairs of neighbours, both from the same
+forward and backward messages, less the true ones. Training sequences come from a bounded sample of labelled documents: at most WINDOWS windows of
+BLOCK words of each, spread over its whole text, and windows spliced from documents of several languages, as code-switching is. Marginals come from
 forward-backward over the whole word chain of a text: products of transfer matrices over blocks of
 BLOCK words, a scan over blocks, and passes within all blocks at once.
 
 A document's language has the largest mean marginal over its words, which is its score. Null texts and texts without a
-letter are `und` with score 0. With no labelled document every text is `und`.
+letter are `und` with score 0. Of equally likely languages the first by name is taken. With no labelled document every text is `und`;
+an empty table gives no rows. A text longer than a run (2 MB) is a run of its own, so a task then holds its features (some 100 bytes a byte of distinct words) and
+messages (about 8 numbers a word and language).
 """
 
 from __future__ import annotations
@@ -27,7 +30,7 @@ from bucketnet.llm.quality_net import held_out
 
 SLOTS = 1 << 15
 BLOCK = 32
-SAMPLE_ROWS, SAMPLE_BYTES = 2000, 20_000
+SAMPLE_ROWS, WINDOWS = 2000, 8
 OTHER = np.ones(256, dtype=bool)
 OTHER[list(range(65, 91)) + list(range(97, 123)) + list(range(128, 256))] = False
 BEGIN, END = 1, 2
@@ -72,10 +75,35 @@ class Chain:
 
     def marginals(self, e: np.ndarray, per: np.ndarray) -> np.ndarray:
         """Marginals of each word; e: emissions of all words, text after text, per: the texts' n + 1 offsets."""
+        forward, backward = self.messages(e, per)
+        both = forward * backward
+        return both / both.sum(axis=1, keepdims=True) if len(e) else both
+
+    def pairs(self, e: np.ndarray, per: np.ndarray, forward: np.ndarray, backward: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Numbers of the words that follow another one of their text, and the joint marginals of the word before and them."""
+        after = np.ones(len(e), dtype=bool)
+        after[per[:-1][np.diff(per) > 0]] = False
+        j = np.flatnonzero(after)
+        into = np.exp(e[j] - e[j].max(axis=1, keepdims=True)) * backward[j] if len(j) else e[j]
+        joint = forward[j - 1][:, :, None] * np.exp(self.moves - self.moves.max())[None] * into[:, None, :]
+        return j, joint / joint.sum(axis=(1, 2), keepdims=True)
+
+    def gradients(self, e: np.ndarray, per: np.ndarray, labels: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of the negative log likelihood of the labels: by each word's emissions, and by the transitions."""
+        k = e.shape[1]
+        forward, backward = self.messages(e, per)
+        both = forward * backward
+        m = both / both.sum(axis=1, keepdims=True)
+        j, joint = self.pairs(e, per, forward, backward)
+        true = np.bincount(labels[j - 1] * k + labels[j], minlength=k * k).reshape(k, k)
+        return m - np.eye(k)[labels], joint.sum(axis=0) - true
+
+    def messages(self, e: np.ndarray, per: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Forward messages of each word, its emission included, and backward ones, without it; each word's up to a factor."""
         k = e.shape[1]
         n = np.diff(per)
         if len(e) == 0:
-            return np.zeros((0, k))
+            return np.zeros((0, k)), np.zeros((0, k))
         power, step = np.exp(e - e.max(axis=1, keepdims=True)), np.exp(self.moves - self.moves.max())
         blocks = -(-n // BLOCK)
         nb = int(blocks.sum())
@@ -123,13 +151,12 @@ class Chain:
                 u = (v * padded[:, t + 1]) @ step.T
                 v = np.where(last, out, u / u.max(axis=1, keepdims=True))
             behind[:, t] = v
-        both = (ahead * behind)[where]
-        result = np.empty_like(e)
-        result[at] = both / both.sum(axis=1, keepdims=True)
-        return result
+        forward, backward = np.empty_like(e), np.empty_like(e)
+        forward[at], backward[at] = ahead[where], behind[where]
+        return forward, backward
 
     def fit(self, sequences: list[tuple[np.ndarray, np.ndarray]], features: tuple[np.ndarray, np.ndarray], epochs: int = 2, batch: int = 64, rate: float = 0.1, seed: int = 5) -> Chain:
-        """AdaGrad on the conditional likelihood. sequences: (word numbers, labels) of at most BLOCK words."""
+        """AdaGrad on the conditional likelihood. sequences: (word numbers, labels)."""
         slots, count = features
         begin = np.cumsum(count) - count
         k = len(self.languages)
@@ -144,43 +171,34 @@ class Chain:
                 size = count[ids]
                 own = slots[np.repeat(begin[ids] - np.cumsum(size) + size, size) + np.arange(size.sum())]
                 e = self.emissions(own, size)
-                m = self.marginals(e, per)
-                truth = np.eye(k)[labels]
-                g = np.repeat((m - truth) / len(part), size, axis=0)
+                by_word, by_move = self.gradients(e, per, labels)
+                g = np.repeat(by_word / len(part), size, axis=0)
                 touched, back = np.unique(own, return_inverse=True)
                 grad = np.stack([np.bincount(back, weights=g[:, c], minlength=len(touched)) for c in range(k)], axis=1)
                 seen[touched] += grad**2
                 self.weights[touched] -= rate * grad / np.sqrt(seen[touched])
-                # expected and true moves between neighbours; pair marginals from the parts at each word
-                inside = np.ones(len(ids), dtype=bool)
-                inside[per[:-1]] = False
-                j = np.flatnonzero(inside)
-                pair = m[j - 1][:, :, None] * np.exp(self.moves)[None] * m[j][:, None, :]
-                pair /= pair.sum(axis=(1, 2), keepdims=True)
-                true = np.zeros((k, k))
-                np.add.at(true, (labels[j - 1], labels[j]), 1)
-                gm = (pair.sum(axis=0) - true) / len(part)
+                gm = by_move / len(part)
                 seen_moves += gm**2
                 self.moves -= rate * gm / np.sqrt(seen_moves)
         return self
 
 
 def training_sequences(texts: list[bytes], labels: np.ndarray, seed: int = 3) -> tuple[list[tuple[np.ndarray, np.ndarray]], tuple[np.ndarray, np.ndarray]]:
-    """Windows of one document and windows spliced from several, and the distinct words' features."""
+    """texts: windows of documents. Those, windows spliced from several of them, and the distinct words' features."""
     buf = words.LOWER[np.frombuffer(b"".join(texts), dtype=np.uint8)]
     offsets = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
     starts, ends, per = words.word_spans(buf, offsets, space=OTHER)
-    codes, first = words.distinct(words.span_hashes(buf, starts, ends))
+    codes, first = words.distinct_spans(buf, starts, ends)
     features = word_features(buf, starts[first], ends[first])
     rng = np.random.default_rng(seed)
     out = []
     full = np.flatnonzero(np.diff(per) > 0)
     for d in full:
         a, b = per[d], per[d + 1]
-        for s in range(a, min(b, a + 8 * BLOCK), BLOCK):
+        for s in range(a, b, BLOCK):
             w = codes[s : min(b, s + BLOCK)]
             out.append((w, np.full(len(w), labels[d])))
-    for _ in range(len(full)):
+    for _ in range(-(-len(full) // 4)):
         w, y = [], []
         while sum(map(len, w)) < BLOCK:
             d = full[rng.integers(len(full))]
@@ -193,25 +211,49 @@ def training_sequences(texts: list[bytes], labels: np.ndarray, seed: int = 3) ->
     return out, features
 
 
-def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, sample_bytes: int = SAMPLE_BYTES) -> Chain | None:
-    """A chain from the sample_rows documents with a lang whose id has the smallest hash, less those over sample_bytes; None without any."""
+def windows_of(buf: np.ndarray, offsets: np.ndarray, count: int, seed: int = 11) -> list[list[bytes]]:
+    """At most count windows of BLOCK words of each text: all of a short text, else one at a drawn place in each of count equal stretches."""
+    starts, ends, per = words.word_spans(words.LOWER[buf], offsets, space=OTHER)
+    raw, out = buf.tobytes(), []
+    for i, (a, b) in enumerate(zip(per[:-1].tolist(), per[1:].tolist(), strict=True)):
+        if b - a <= count * BLOCK:
+            at = np.arange(a, b, BLOCK)
+        else:  # drawn by the text's length alone, so any partitioning gives the same
+            draw = np.random.default_rng([seed, int(offsets[i + 1] - offsets[i])]).random(count)
+            at = a + ((np.arange(count) + draw) * (b - a - BLOCK) / count).astype(np.int64)
+        out.append([raw[starts[s] : ends[min(s + BLOCK, b) - 1]] for s in at.tolist()])
+    return out
+
+
+def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, windows: int = WINDOWS) -> Chain | None:
+    """A chain from windows of the documents with a lang whose ids have the smallest hashes (sample_rows ids, at most twice as many rows); None without any."""
     rows = docs.where("lang is not null and doc_id is not null")
     ids = hash_sample(rows.select("doc_id"), ["doc_id"], sample_rows)  # read without the texts
-    drawn = rows.join(F.broadcast(ids), "doc_id", "left_semi").where(F.octet_length("text") <= sample_bytes)
-    drawn = sorted(drawn.select("doc_id", "lang", "text").distinct().collect())
-    languages = sorted({r.lang for r in drawn})
+    drawn = rows.join(F.broadcast(ids), "doc_id", "left_semi").select("doc_id", "lang", "text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in words.slices(batch, limit=2 << 20):
+                found = windows_of(*words.text_bytes(part.column("text")), windows)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("lang"), pa.array(found, pa.list_(pa.binary()))], ["doc_id", "lang", "windows"])
+
+    cut_out = drawn.mapInArrow(words.tidy(run), "doc_id long, lang string, windows array<binary>")
+    found = cut_out.orderBy("doc_id", "lang", F.xxhash64("windows")).limit(2 * sample_rows).collect()
+    found = sorted({(r.doc_id, r.lang, tuple(bytes(w) for w in r.windows)) for r in found})
+    languages = sorted({lang for _, lang, _ in found})
     if not languages:
         return None
+    texts = [(w, lang) for _, lang, all_windows in found for w in all_windows]
     at = {x: i for i, x in enumerate(languages)}
-    sequences, features = training_sequences([r.text.encode() for r in drawn], np.array([at[r.lang] for r in drawn]))
-    return Chain(languages).fit(sequences, features)
+    sequences, features = training_sequences([w for w, _ in texts], np.array([at[lang] for _, lang in texts], dtype=np.int64))
+    return Chain(languages).fit(sequences, features) if sequences else Chain(languages)
 
 
 def word_marginals(chain: Chain, buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """starts, ends and marginals of all words of all texts, and the texts' n + 1 offsets of words."""
     low = words.LOWER[buf]
     starts, ends, per = words.word_spans(low, offsets, space=OTHER)
-    codes, first = words.distinct(words.span_hashes(low, starts, ends))
+    codes, first = words.distinct_spans(low, starts, ends)
     e = chain.emissions(*word_features(low, starts[first], ends[first]))
     return starts, ends, chain.marginals(e[codes] if len(codes) else e, per), per
 

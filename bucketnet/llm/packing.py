@@ -66,19 +66,18 @@ class UnitMemory:
         self._clear()
 
     def _clear(self) -> None:
-        self.known: dict[int, int] = {}
+        self.known: dict[bytes, int] = {}
         self.flat, self.of = np.zeros(0, np.uint32), np.zeros(1, np.int64)
 
-    def look_up(self, hashes: np.ndarray, text_of) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """For each distinct hash its number, and the ids of all numbers end to end with their offsets."""
+    def look_up(self, keys: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For each of some distinct units its number, and the ids of all numbers end to end with their offsets."""
         if len(self.known) > MEMORY:
             self._clear()
-        keys = hashes.tolist()
-        new = [i for i, k in enumerate(keys) if k not in self.known]
+        new = [k for k in keys if k not in self.known]
         if new:
-            flat, of = encode_words([text_of(i) for i in new], self.file)
+            flat, of = encode_words([k.decode() for k in new], self.file)
             base = len(self.known)
-            self.known.update((keys[i], base + n) for n, i in enumerate(new))
+            self.known.update((k, base + n) for n, k in enumerate(new))
             self.flat = np.concatenate([self.flat, flat])
             self.of = np.concatenate([self.of, self.of[-1] + of[1:]])
         known = self.known
@@ -159,10 +158,9 @@ class Packer:
 
     def feed(self, ids: list, column: pa.Array) -> list[tuple]:
         buf, starts, ends, per = units(*words.text_bytes(column))
-        hashes = words.span_hashes(buf, starts, ends)
-        codes, first = words.distinct(hashes)
-        s, e, raw = starts[first].tolist(), ends[first].tolist(), buf.tobytes()
-        number, flat, of = memory(self.file).look_up(hashes[first], lambda i: raw[s[i] : e[i]].decode())
+        codes, first = words.distinct_spans(buf, starts, ends)
+        raw = buf.tobytes()
+        number, flat, of = memory(self.file).look_up([raw[a:b] for a, b in zip(starts[first].tolist(), ends[first].tolist(), strict=True)])
         stops = np.isin(buf[ends[first] - 1], np.frombuffer(b".!?", dtype=np.uint8)) if len(first) else np.zeros(0, bool)
         unit = number[codes]
         size = np.diff(of)[unit]
@@ -250,8 +248,10 @@ class Packer:
 def pack_documents(docs: DataFrame, tokenizer_file: str, window: int = 2048, end_id: int = 1) -> DataFrame:
     """doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset: one row per piece of every row of docs.
 
-    Null and empty texts have the end id alone. Repeated rows are packed each. A partition's
-    sequences are numbered from its number * 2**40. window must be over STEP.
+    Null and empty texts have the end id alone. Repeated rows are packed each. Of equally cheap cuts the one whose
+    last window is shortest is taken. A partition's
+    sequences are numbered from its number * 2**40. window must be over STEP. An empty table gives no rows; other columns are
+    not read. A text longer than a run (4 MB) is a run of its own, so a task then holds that text, its ids and its cuts.
     """
     names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 

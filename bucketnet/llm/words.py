@@ -99,7 +99,10 @@ def word_spans(buf: np.ndarray, offsets: np.ndarray, space: np.ndarray = SPACE,
 
 
 def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, block: int = 1 << 21) -> np.ndarray:
-    """A 64-bit hash of each span; spans are in order and do not overlap. Works in blocks of bytes."""
+    """A 64-bit hash of each span; spans are in order and do not overlap. Works in blocks of bytes.
+
+    A polynomial modulo 2**64, for features alone: texts can be built whose hashes meet. distinct_spans tells words apart.
+    """
     out = np.empty(len(starts), dtype=np.uint64)
     i = 0
     while i < len(starts):
@@ -115,13 +118,21 @@ def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, block: in
     return out
 
 
-def distinct(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each hash its number among the distinct ones, and where each distinct one first stands."""
-    import pandas as pd
-
-    codes, _ = pd.factorize(hashes)
-    codes = codes.astype(np.int64)
-    first = np.zeros(int(codes.max()) + 1 if len(codes) else 0, dtype=np.int64)
+def distinct_spans(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each span its number among the distinct ones by their bytes, and where each distinct one first stands; spans are in order and do not overlap."""
+    if len(starts) == 0:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    edge = np.zeros(len(buf) + 1, dtype=np.int8)
+    edge[starts] = 1
+    edge[ends] -= 1
+    flat = buf[np.cumsum(edge[:-1], dtype=np.int8).view(bool)]
+    wide = len(flat) >= 1 << 31
+    at = np.zeros(len(starts) + 1, dtype=np.int64 if wide else np.int32)
+    np.cumsum(ends - starts, out=at[1:])
+    spans = pa.Array.from_buffers(pa.large_binary() if wide else pa.binary(), len(starts), [None, pa.py_buffer(at), pa.py_buffer(flat)])
+    found = spans.dictionary_encode()
+    codes = found.indices.to_numpy().astype(np.int64)
+    first = np.zeros(len(found.dictionary), dtype=np.int64)
     first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)  # the last write to a place stays: the smallest
     return codes, first
 
