@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import zlib
 
@@ -17,10 +18,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Uses the session's spark.checkpoint.dir; a private folder only where none is set (tests)."""
+    """Uses the session's spark.checkpoint.dir; a private folder only where none is set and all of Spark is one process."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="bucketnet-"))
+        shared = spark.conf.get("spark.checkpoint.dir", None)
+        if not shared and not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="bucketnet-"))
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -29,6 +33,23 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, with more underscores before where df has such a column, in any case."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for x in names:
+        while x.lower() in taken:
+            x = f"_{x}"
+        taken.add(x.lower())
+        out.append(x)
+    return out
+
+
+def columns_of(df: DataFrame) -> list[Column]:
+    """The columns of df by name, whatever signs are in the names."""
+    return [F.col("`" + c.replace("`", "``") + "`") for c in df.columns]
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -4,78 +4,106 @@ Line hashes (32 bits of md5) roll over two lines: a chunk ends after line i wher
 31 * hash(i - 1) + hash(i) leaves no rest modulo spacing, so boundaries depend on the lines beside
 them and move with the text when lines are put in before. A line of at least long_line words is
 a chunk of its own. A chunk counts if it has min_words words and either two lines or a long one; words of a
-line are its spaces plus one. Of chunks whose bytes are equal, the one with the smallest (doc_id, text hash,
-place) stays and the others go, within a document too.
+line are its spaces plus one.
 
-Candidates are found by an aggregate of 64-bit chunk hashes; only chunks whose hash repeats carry their
-text into the comparison, which groups and joins on the bytes themselves.
+The lines at both ends of a repeated passage lie in chunks that hold some of what stands around it, and a short passage may have no whole
+chunk. So from each line on, the fewest lines of passage_words words are a chunk as well, and so are the fewest lines of as many words up to
+each line: these depend on the passage alone, and those inside a passage cover it, its first and last line too. Every repeated run of
+whole lines of passage_words words or more goes, however it is broken into lines.
 
-Null texts stay null; empty texts and texts without a countable chunk are unchanged; rows with equal doc_id
-and text are one document and change alike; a document can end empty, and stays.
+Of chunks that are equal line by line, the one with the smallest (doc_id, text hash, line) stays and the lines of the others go, within a
+document too. A line that goes has an equal one at an earlier place, and the first of these stays.
+
+Lines travel as 64-bit hashes. Chunks that repeat are compared by their whole sequence of hashes, and the lines in
+them byte by byte: if two different lines have one hash, no chunk with that hash is removed. All steps but the last work on a row per line,
+so time grows with the number of lines, and a document's chunks are at most 3 rows a line.
+
+Null texts stay null; empty texts and texts without a repeated chunk are unchanged; rows with equal doc_id
+and text are one document and change alike; a document can end empty, and stays. An empty table gives no rows. A task holds a document's line
+hashes (some 50 bytes a line) and, where lines go, its lines.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from bucketnet.llm.common import columns_of, cut, fresh
+
+LONG_LINE, MIN_WORDS, SPACING, PASSAGE_WORDS = 50, 20, 2, 51
+
+
+def lines_of(docs: DataFrame) -> DataFrame:
+    """id, th (hash of the text), i, h (hash of the line), m (what rolls), w (words): a row per line of each distinct document."""
+    rows = docs.where("text is not null").select(F.col("doc_id").alias("id"), F.xxhash64("text").alias("th"), F.posexplode(F.split("text", "\n", -1)).alias("i", "x"))
+    words = F.octet_length("x") - F.octet_length(F.replace("x", F.lit(" "), F.lit(""))) + 1
+    rows = rows.select("id", "th", "i", F.xxhash64("x").alias("h"), F.conv(F.substring(F.md5("x"), 1, 8), 16, 10).cast("long").alias("m"), words.cast("long").alias("w"))
+    return rows.groupBy("id", "th", "i").agg(*[F.min(c).alias(c) for c in ("h", "m", "w")])
+
 
-from bucketnet.llm.common import cut
-
-LONG_LINE, MIN_WORDS, SPACING = 50, 20, 2
-
-
-def _chunked(docs: DataFrame, long_line: int, min_words: int, spacing: int) -> DataFrame:
-    """docs with __c: its chunks, as structs of text, number, and whether it counts."""
-    lined = docs.withColumn("__l", F.split("text", "\n", -1))
-    info = F.transform("__l", lambda x: F.struct(
-        F.conv(F.substring(F.md5(x), 1, 8), 16, 10).cast("long").alias("h"),
-        (F.octet_length(x) - F.octet_length(F.replace(x, F.lit(" "), F.lit(""))) + 1).alias("w")))
-    lined = lined.withColumn("__i", info)
-    at = lambda i: F.get("__i", i)
-    n = F.size("__i")
-    boundary = lambda i: (
-        (i == n - 1) | (at(i)["w"] >= long_line) | (at(i + 1)["w"] >= long_line)
-        | (F.pmod(F.coalesce(at(i - 1)["h"], F.lit(0)) * 31 + at(i)["h"], F.lit(spacing)) == 0))
-    lined = lined.withColumn("__e", F.filter(F.sequence(F.lit(0), n - 1), boundary))
-
-    def chunk(end: Column, k: Column) -> Column:
-        begin = F.when(k == 0, 0).otherwise(F.get("__e", k - 1) + 1)
-        size = end - begin + 1
-        w = F.aggregate(F.slice("__i", begin + 1, size), F.lit(0), lambda a, x: a + x["w"])
-        counts = (w >= min_words) & ((size >= 2) | (w >= long_line))
-        return F.struct(F.array_join(F.slice("__l", begin + 1, size), "\n").alias("t"), k.alias("k"), size.alias("lines"), counts.alias("counts"))
-
-    return lined.withColumn("__c", F.transform("__e", chunk)).drop("__i", "__e")
-
-
-def repeated_chunks(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING) -> DataFrame:
-    """One row per document with chunks to remove: __id, __th (hash of its text), __gone (their numbers)."""
-    rows = docs.select(F.col("doc_id").alias("__id"), F.xxhash64("text").alias("__th"), "text")
-    chunks = _chunked(rows, long_line, min_words, spacing)
-    parts = chunks.select("__id", "__th", F.explode(F.filter("__c", lambda c: c["counts"])).alias("c"))
-    parts = parts.select("__id", "__th", F.col("c.k").alias("k"), F.col("c.t").alias("t"), F.xxhash64("c.t").alias("h"))
+def chunks_of(lines: DataFrame, long_line: int, min_words: int, spacing: int, passage_words: int) -> DataFrame:
+    """id, th, a, b (first and last line) and s (hashes of the lines) of each chunk that counts."""
+    doc = Window.partitionBy("id", "th")
+    before = doc.orderBy("i").rowsBetween(Window.unboundedPreceding, -1)
+    placed = lines.withColumn("from", F.coalesce(F.sum("w").over(before), F.lit(0))).withColumn("to", F.col("from") + F.col("w"))
+    ahead, back = doc.orderBy("from").rangeBetween(0, passage_words - 1), doc.orderBy("to").rangeBetween(1 - passage_words, 0)
+    after = F.lead("w").over(doc.orderBy("i"))
+    ends = after.isNull() | (F.col("w") >= long_line) | (after >= long_line) | (F.pmod(F.coalesce(F.lag("m").over(doc.orderBy("i")), F.lit(0)) * 31 + F.col("m"), F.lit(spacing)) == 0)
+    placed = cut(placed.withColumn("ends", ends.cast("int")).withColumns({
+        "k": F.coalesce(F.sum("ends").over(before), F.lit(0)),
+        "f": F.struct(F.col("i").alias("a"), F.max("i").over(ahead).alias("b"), (F.max("to").over(ahead) - F.col("from")).alias("n"), F.collect_list("h").over(ahead).alias("s")),
+        # less the line's own words: with fewer than passage_words before it, the run is that of its first line
+        "g": F.struct(F.min("i").over(back).alias("a"), F.col("i").alias("b"), (F.col("from") - F.min("from").over(back)).alias("n"), F.collect_list("h").over(back).alias("s")),
+    }).select("id", "th", "i", "h", "w", "k", "f", "g"))
+    runs = placed.select("id", "th", F.explode(F.filter(F.array("f", "g"), lambda c: c["n"] >= passage_words)).alias("c"))
+    cuts = placed.groupBy("id", "th", "k").agg(F.min("i").alias("a"), F.max("i").alias("b"), F.sum("w").alias("n"), F.max("w").alias("most"), F.array_sort(F.collect_list(F.struct("i", "h"))).alias("s"))
+    cuts = cuts.where((F.col("n") >= min_words) & ((F.col("b") > F.col("a")) | (F.col("most") >= long_line)))
+    cuts = cuts.where((F.col("b") > F.col("a")) | (F.col("most") < passage_words))  # else a run of its own already
+    return runs.select("id", "th", "c.a", "c.b", "c.s").unionByName(cuts.select("id", "th", "a", "b", F.transform("s", lambda x: x["h"]).alias("s")))
+
+
+def false_friends(docs: DataFrame, spans: DataFrame) -> DataFrame:
+    """h: the hashes that two different lines among the spans (id, th, spans) share; not expected to have a row."""
+    rows = docs.select(F.col("doc_id").alias("d_id"), F.xxhash64("text").alias("d_th"), "text")
+    rows = rows.join(spans, F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th")))
+    at = F.array_distinct(F.flatten(F.transform("spans", lambda c: F.sequence(c["a"], c["b"]))))
+    lines = rows.withColumn("lines", F.split("text", "\n", -1)).select(F.explode(F.transform(at, lambda i: F.get("lines", i))).alias("x"))
+    return lines.groupBy(F.xxhash64("x").alias("h")).agg(F.min("x").alias("least"), F.max("x").alias("most")).where("least <> most").select("h")
+
+
+def repeated_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING, passage_words: int = PASSAGE_WORDS) -> DataFrame:
+    """id, th (hash of the text) and gone (numbers of the lines to remove) of each document with any."""
     # written, so that the joins read exchanges on both sides, whose hot keys Spark can split
+    parts = cut(chunks_of(lines_of(docs), long_line, min_words, spacing, passage_words).withColumn("h", F.xxhash64("s")))
     again = cut(parts.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("h").alias("rh")))
     found = cut(parts.join(again, F.col("h") == F.col("rh"), "left_semi"))
-    place = F.struct("__id", "__th", "k")
-    first = cut(found.groupBy("h", "t").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
-                .select(F.col("h").alias("fh"), F.col("t").alias("ft"), "first"))
-    later = found.join(first, (F.col("h") == F.col("fh")) & (F.col("t") == F.col("ft"))).where(~place.eqNullSafe(F.col("first")))
-    return later.groupBy("__id", "__th").agg(F.collect_set("k").alias("__gone"))
-
-
-def dedup_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING) -> DataFrame:
-    """docs, all columns and rows, with text less its repeated chunks and _lines, _lines_removed (long) beside."""
-    gone = repeated_chunks(docs, long_line, min_words, spacing).withColumnsRenamed({"__id": "__gid", "__th": "__gth"})
-    rows = docs.withColumn("__th", F.xxhash64("text"))
-    rows = rows.join(gone, F.col("doc_id").eqNullSafe(F.col("__gid")) & (F.col("__th") == F.col("__gth")), "left")
-    rows = _chunked(rows, long_line, min_words, spacing)
-    left = F.filter("__c", lambda c: ~F.array_contains("__gone", c["k"]))
-    taken = F.filter("__c", lambda c: F.array_contains("__gone", c["k"]))
-    count = F.aggregate(taken, F.lit(0).cast("long"), lambda a, c: a + c["lines"].cast("long"))
-    rows = rows.withColumns({
-        "_lines": F.coalesce(F.size("__l"), F.lit(0)).cast("long"),
-        "_lines_removed": F.when(F.col("__gone").isNull(), F.lit(0)).otherwise(count).cast("long"),
-        "text": F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(left, lambda c: c["t"]), "\n")),
-    })
-    return rows.select(*docs.columns, "_lines", "_lines_removed")
+    place = F.struct("id", "th", "a")
+    first = found.groupBy("h", "s").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    first = cut(first.select(F.col("h").alias("fh"), F.col("s").alias("fs"), "first"))
+    spans = found.join(first, (F.col("h") == F.col("fh")) & (F.col("s") == F.col("fs"))).groupBy("id", "th").agg(F.collect_set(F.struct("a", "b")).alias("spans"))
+    mixed = cut(false_friends(docs, spans))
+    if not mixed.isEmpty():
+        hit = first.select("fh", "fs", F.explode("fs").alias("x")).join(mixed, F.col("x") == F.col("h")).select("fh", "fs")
+        first = cut(first.join(hit, ["fh", "fs"], "left_anti"))
+    later = found.join(first, (F.col("h") == F.col("fh")) & (F.col("s") == F.col("fs"))).where(~place.eqNullSafe(F.col("first")))
+    return later.select("id", "th", F.explode(F.sequence("a", "b")).alias("i")).groupBy("id", "th").agg(F.collect_set("i").alias("gone"))
+
+
+def dedup_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING, passage_words: int = PASSAGE_WORDS) -> DataFrame:
+    """docs, all columns and rows, with text less its repeated chunks, and two long columns last: its lines, and how many of them were removed.
+
+    They are called _lines and _lines_removed, with more underscores before where docs has such columns.
+    """
+    g_id, g_th, gone, th, lines = fresh(docs, "__id", "__th", "__gone", "__text_hash", "__split")
+    count, removed = fresh(docs, "_lines", "_lines_removed")
+    by = repeated_lines(docs.select("doc_id", "text"), long_line, min_words, spacing, passage_words)
+    by = by.select(F.col("id").alias(g_id), F.col("th").alias(g_th), F.col("gone").alias(gone))
+    rows = docs.withColumn(th, F.xxhash64("text"))
+    rows = rows.join(by, F.col("doc_id").eqNullSafe(F.col(g_id)) & (F.col(th) == F.col(g_th)), "left").withColumn(lines, F.split("text", "\n", -1))
+    kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), gone)
+    text: Column = F.array_join(F.transform(kept, lambda i: F.get(lines, i)), "\n")
+    number = F.coalesce(F.size(lines), F.lit(0)).cast("long")
+    none = F.col(gone).isNull()
+    rows = rows.withColumns({count: number, removed: F.when(none, 0).otherwise(F.size(gone)).cast("long"), "text": F.when(none, F.col("text")).otherwise(text)})
+    return rows.select(*columns_of(docs), count, removed)

@@ -15,7 +15,8 @@ Newton steps with a line search until the equations hold to CLOSE. A step needs
 few numbers, and no rates are stored between steps.
 
 Null and empty texts have no tokens and rate 1. Rows are kept one for one by mix_rates. Without labels every
-posterior is equal and rates only meet the total. Rows with equal doc_id and text get equal rates.
+posterior is equal and rates only meet the total. Rows with equal doc_id and text get equal rates. An empty table gives no rows. A text longer than a
+run (2 MB) is a run of its own, and a task then holds its tokens' hashes (8 bytes a token).
 """
 
 from __future__ import annotations
@@ -28,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bucketnet.llm import words
-from bucketnet.llm.common import cut, hash_sample
+from bucketnet.llm.common import columns_of, cut, fresh, hash_sample
 from bucketnet.llm.quality_net import tokens
 
 DOMAINS = ("good", "junk", "toxic")
@@ -251,9 +252,10 @@ def without_domain(docs: DataFrame, labels: DataFrame, domain: str = "toxic", sa
         return docs
     y = settle_rates(measured, weights, sum(weights.values()))
     rate = F.when(F.col("n_tokens") == 0, 1.0).otherwise(settled_rate(F.col("p"), y))
-    rated = measured.select(F.col("doc_id").alias("__id"), F.col("__th").alias("__gth"), F.floor(rate + 0.5).cast("int").alias("__copies"))
-    gone = rated.where("__copies != 1").distinct()
-    joined = docs.withColumn("__th", F.xxhash64("text")).join(gone, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__th") == F.col("__gth")), "left")
-    times = F.coalesce("__copies", F.lit(1))
-    repeated = joined.where(times > 0).withColumn("__n", F.explode(F.sequence(F.lit(1), times)))
-    return repeated.select(*docs.columns)
+    g_id, g_th, times, th, n = fresh(docs, "__id", "__th", "__copies", "__text_hash", "__n")
+    rated = measured.select(F.col("doc_id").alias(g_id), F.col("__th").alias(g_th), F.floor(rate + 0.5).cast("int").alias(times))
+    gone = rated.where(F.col(times) != 1).distinct()
+    joined = docs.withColumn(th, F.xxhash64("text")).join(gone, F.col("doc_id").eqNullSafe(F.col(g_id)) & (F.col(th) == F.col(g_th)), "left")
+    copies = F.coalesce(times, F.lit(1))
+    repeated = joined.where(copies > 0).withColumn(n, F.explode(F.sequence(F.lit(1), copies)))
+    return repeated.select(*columns_of(docs))

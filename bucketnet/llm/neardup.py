@@ -15,21 +15,31 @@ what leaves a task is a link per fingerprint at most.
 
 Components: alternating large-star and small-star rounds over the links, written to the checkpoint
 folder each round; nothing but counts reaches the driver.
+
+group_near stops at the fingerprints: a link is a budget of bits. group_similar confirms: it takes two
+fingerprints, lets the tries of the same tables go further than their keys promise (reach) and
+takes a pair as a candidate if all 128 bits differ in at most SPREAD places; each row names its nearest candidate and its smallest, per
+table, and a link is a candidate whose shingle sets have a similarity of at least 0.8, counted exactly. Candidates are
+counted in order of nearness, and those inside one component by then are passed over, so a large group of near copies costs about
+a comparison a member, not one a pair.
+
+A text is read whole; one longer than a run (2 MB) is a run of its own, and a task then holds its shingle hashes (8 bytes a word and 64 while bits are counted).
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
 from bucketnet.llm import words
-from bucketnet.llm.common import cut
+from bucketnet.llm.common import columns_of, cut, fresh
 
 SEED = 42
 CHUNK = 4096
@@ -37,6 +47,8 @@ FEW = 50_000  # hot keys that may be broadcast
 LEAF = 32
 PAIRS = 1 << 16
 RUN = 1 << 16
+BUDGET, REACH, SPREAD = 8, 22, 38  # bits: never missed in a fingerprint's tables, followed in them, of both fingerprints together
+TURNS = (2, 8, 32)  # candidates a row has counted before the next look at components
 
 
 def shingle_hashes(buf: np.ndarray, offsets: np.ndarray, size: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
@@ -78,17 +90,17 @@ def simhash(hashes: np.ndarray, upto: np.ndarray) -> np.ndarray:
     return out
 
 
-def fingerprints(docs: DataFrame, shingle: int = 4, seeds: tuple[int, ...] = (SEED,)) -> DataFrame:
-    """docs (without its text) with fp0, fp1, ... (long), a fingerprint for each seed."""
+def fingerprints(docs: DataFrame, shingle: int = 4, count: int = 1) -> DataFrame:
+    """docs (without its text) with fp0, fp1, ... (long): fp0 from the hashes themselves, others from the hashes mixed anew."""
     kept = [f for f in docs.schema.fields if f.name != "text"]
-    schema = T.StructType([*kept, *[T.StructField(f"fp{i}", T.LongType()) for i in range(len(seeds))]])
+    schema = T.StructType([*kept, *[T.StructField(f"fp{i}", T.LongType()) for i in range(count)]])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in words.slices(batch, limit=2 << 20):
-                buf, offsets = words.text_bytes(part.column("text"))
-                found = [pa.array(simhash(*shingle_hashes(buf, offsets, shingle, s)).view(np.int64)) for s in seeds]
-                yield pa.RecordBatch.from_arrays([*[part.column(f.name) for f in kept], *found], [f.name for f in schema.fields])
+                hashes, upto = shingle_hashes(*words.text_bytes(part.column("text")), shingle, SEED)
+                found = [simhash(words.mix(hashes + np.uint64(i)) if i else hashes, upto) for i in range(count)]
+                yield pa.RecordBatch.from_arrays([*[part.column(f.name) for f in kept], *[pa.array(x.view(np.int64)) for x in found]], [f.name for f in schema.fields])
 
     return docs.withColumn("text", F.col("text").cast("string")).mapInArrow(words.tidy(run), schema)
 
@@ -118,16 +130,14 @@ class Forest:
         return self.roots(np.arange(len(self.parent)))
 
 
-def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int, extra: np.ndarray | None = None, extra_budget: int = 0) -> Forest:
-    """Links all rows of equal group that differ in at most budget bits.
+def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int, found: Callable[[np.ndarray, np.ndarray, np.ndarray], None]) -> None:
+    """Calls found(i, j, bits) with all pairs of rows of equal group that differ in at most budget bits, many at a time.
 
-    side: 0, or 1 and 2 for rows of which only pairs of different side are wanted. extra: other
-    fingerprints, which must differ in at most extra_budget bits as well.
+    side: 0, or 1 and 2 for rows of which only pairs of different side are wanted.
     """
     n = len(fp)
-    forest = Forest(n)
     if n < 2:
-        return forest
+        return
     order = np.lexsort((fp, group))
     key, rank = fp[order], group[order]
     ones: dict[int, np.ndarray] = {}
@@ -143,7 +153,6 @@ def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int,
     lo, hi = lo[many], hi[many]
     stack = [(0, lo, hi, lo, hi, np.zeros(len(lo), dtype=np.int64))]
     sides = side[order]
-    other = None if extra is None else extra[order]
 
     def settle(alo, ahi, blo, bhi) -> None:
         """Row pairs of small node pairs, tested on all bits."""
@@ -155,10 +164,10 @@ def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int,
         near = (i < j) | (np.repeat(alo, total) != np.repeat(blo, total))
         near &= (sides[i] != sides[j]) | (sides[i] == 0)
         i, j = i[near], j[near]
-        good = np.bitwise_count(key[i] ^ key[j]) <= budget
-        if other is not None:
-            good &= np.bitwise_count(other[i] ^ other[j]) <= extra_budget
-        forest.link(order[i[good]], order[j[good]])
+        bits = np.bitwise_count(key[i] ^ key[j])
+        good = np.flatnonzero(bits <= budget)
+        if len(good):
+            found(order[i[good]], order[j[good]], bits[good])
 
     while stack:
         d, alo, ahi, blo, bhi, diff = stack.pop()
@@ -186,7 +195,36 @@ def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int,
         go = (ahi > alo) & (bhi > blo) & (diff <= budget) & ((alo != blo) | (ahi - alo > 1))
         if go.any():
             stack.append((d + 1, alo[go], ahi[go], blo[go], bhi[go], diff[go]))
-    return forest
+
+
+class Partners:
+    """Of each row its nearest candidate, and the candidate of smallest weight if that is below its own; ties by weight, so any order of rows gives the same."""
+
+    def __init__(self, fp: np.ndarray, more: np.ndarray, weight: np.ndarray, spread: int):
+        self.fp, self.more, self.weight, self.spread = fp, more, weight, spread
+        self.nearest = np.full(len(fp), NONE, dtype=np.uint64)
+        self.least = weight.copy()
+
+    def found(self, i: np.ndarray, j: np.ndarray, bits: np.ndarray) -> None:
+        bits = bits + np.bitwise_count(self.more[i] ^ self.more[j])
+        good = np.flatnonzero(bits <= self.spread)
+        i, j, bits = i[good], j[good], bits[good].astype(np.uint64) << np.uint64(56)
+        for a, b in ((i, j), (j, i)):
+            np.minimum.at(self.nearest, a, bits | (self.weight[b] >> np.uint64(8)))
+            np.minimum.at(self.least, a, self.weight[b])
+
+    def pairs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Rows, their partners and the bits of both fingerprints in which they differ."""
+        order = np.argsort(self.weight)
+        sorted_weight = self.weight[order]
+        a, b = np.flatnonzero(self.nearest != NONE), np.flatnonzero(self.least < self.weight)
+        near = order[np.searchsorted(sorted_weight >> np.uint64(8), self.nearest[a] & np.uint64((1 << 56) - 1))]
+        low = order[np.searchsorted(sorted_weight, self.least[b])]
+        i, j = np.concatenate([a, b]), np.concatenate([near, low])
+        return i, j, np.bitwise_count(self.fp[i] ^ self.fp[j]).astype(np.int64) + np.bitwise_count(self.more[i] ^ self.more[j])
+
+
+NONE = np.uint64(2**64 - 1)
 
 
 def tables(count: int, budget: int, chunk: int = 2048) -> list[int]:
@@ -204,20 +242,17 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None, number=None) -> DataFrame:
-    """u > v (long): links that join all rows of fps (distinct fp0, or pairs fp0, fp1 with extra_budget) within the budget into trees.
+def dealt(fps: DataFrame, budget: int, chunk: int) -> tuple[DataFrame, np.ndarray]:
+    """The rows of fps (fp, and more of longs) in each table of the budget, units together in a task, and the tables' masks.
 
-    number: from the columns of the fingerprints to that of a row's number in the links, by default fp0. A row of a table is its
-    place (table, pair of chunks, side) packed into a long, and its fingerprints; the key is cut from the
+    A row of a table is its place (table, pair of chunks, side) packed into a long, and its columns; the key is cut from the
     fingerprint on both sides of the shuffle rather than sent.
     """
     count = fps.count()
-    masks = tables(count, budget)
+    masks = tables(count, budget, chunk)
     width = int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    number = number or (lambda fp, more: fp)
-    wide = extra_budget is not None
     listed = F.array(*[F.lit(_signed(m)).cast("long") for m in masks])
-    keyed = fps.select(F.col("fp0").alias("fp"), *([F.col("fp1").alias("more")] if wide else []), F.explode(F.sequence(F.lit(0), F.lit(len(masks) - 1))).alias("t"))
+    keyed = fps.select("*", F.explode(F.sequence(F.lit(0), F.lit(len(masks) - 1))).alias("t"))
     keyed = keyed.withColumn("key", F.col("fp").bitwiseAND(F.element_at(listed, F.col("t") + 1)))
     hot = keyed.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > CHUNK)
     hot = cut(hot.select(F.col("t").alias("ht"), F.col("key").alias("hk"), F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks")))
@@ -227,30 +262,29 @@ def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None, num
     else:
         rows = keyed.withColumn("chunks", F.lit(1))
     chunks = F.coalesce("chunks", F.lit(1))
-    rows = rows.withColumn("mine", F.pmod(F.xxhash64(*keyed.columns[:-2]), chunks).cast("long"))
+    rows = rows.withColumn("mine", F.pmod(F.xxhash64(*fps.columns), chunks).cast("long"))
     rows = rows.withColumn("peer", F.explode(F.sequence(F.lit(0).cast("long"), (chunks - 1).cast("long"))))
     side = F.when(F.col("mine") == F.col("peer"), 0).when(F.col("mine") < F.col("peer"), 1).otherwise(2)
     # table below 2**10, chunks below 2**25 each, side below 2**2
     place = ((F.col("t").cast("long") * (1 << 25) + F.least("mine", "peer")) * (1 << 25) + F.greatest("mine", "peer")) * 4 + side
-    rows = rows.select(place.alias("place"), *keyed.columns[:-2])
-    names = rows.columns
+    rows = rows.select(place.alias("place"), *fps.columns)
     unit = [F.floor(F.col("place") / 4), F.col("fp").bitwiseAND(F.element_at(listed, F.floor(F.col("place") / (1 << 52)).cast("int") + 1))]
-    dealt = rows.repartition(max(width, -(-count * len(masks) // 500_000)), *unit).sortWithinPartitions(*unit)
-    mask_of = np.array(masks, dtype=np.uint64)
-    sent = [f"{x}_{n}" for x in ("a", "b") for n in names[1:]]
+    return rows.repartition(max(width, -(-count * len(masks) // 500_000)), *unit).sortWithinPartitions(*unit), np.array(masks, dtype=np.uint64)
+
+
+def by_unit(rows: DataFrame, masks: np.ndarray, join: Callable[[np.ndarray, list[np.ndarray]], list[np.ndarray]], schema: str) -> DataFrame:
+    """join(numbers of the units, columns of rows) over whole units, RUN rows or one unit at least at a time; it returns columns of longs."""
+    names, sent = rows.columns, [x.split()[0] for x in schema.split(", ")]
 
     def units(cols: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        return cols[0] >> 2, cols[1].view(np.uint64) & mask_of[cols[0] >> 52]
+        return cols[0] >> 2, cols[1].view(np.uint64) & masks[cols[0] >> 52]
 
-    def join(cols: list[np.ndarray]) -> pa.RecordBatch:
+    def out(cols: list[np.ndarray]) -> pa.RecordBatch:
         a, b = units(cols)
         new = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
-        root = trie_join(np.cumsum(new), cols[1].view(np.uint64), cols[0] & 3, budget, cols[2].view(np.uint64) if wide else None, extra_budget or 0).flat()
-        linked = np.flatnonzero(root != np.arange(len(root)))
-        return pa.RecordBatch.from_arrays([pa.array(c[at]) for at in (linked, root[linked]) for c in cols[1:]], sent)
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in join(np.cumsum(new), cols)], sent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Whole units at a time, RUN rows or one unit at least."""
         held: list[list[np.ndarray]] = []
         for batch in batches:
             if batch.num_rows:
@@ -261,14 +295,49 @@ def near_links(fps: DataFrame, budget: int, extra_budget: int | None = None, num
             a, b = units(cols)
             begin = len(a) - int(((a == a[-1]) & (b == b[-1])).sum())
             if begin:
-                yield join([c[:begin] for c in cols])
+                yield out([c[:begin] for c in cols])
             held = [[c[begin:] for c in cols]]
         if held:
-            yield join([np.concatenate(c) for c in zip(*held, strict=True)])
+            yield out([np.concatenate(c) for c in zip(*held, strict=True)])
+
+    return rows.mapInArrow(words.tidy(run), schema)
+
+
+def near_links(fps: DataFrame, budget: int) -> DataFrame:
+    """u > v (long): links that join all rows of fps (distinct fp0) within the budget into trees."""
+    rows, masks = dealt(fps.select(F.col("fp0").alias("fp")), budget, 2048)
+
+    def join(unit: np.ndarray, cols: list[np.ndarray]) -> list[np.ndarray]:
+        forest = Forest(len(unit))
+        trie_join(unit, cols[1].view(np.uint64), cols[0] & 3, budget, lambda i, j, bits: forest.link(i, j))
+        root = forest.flat()
+        linked = np.flatnonzero(root != np.arange(len(root)))
+        return [cols[1][linked], cols[1][root[linked]]]
+
+    links = by_unit(rows, masks, join, "a long, b long")
+    return links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct()
+
 
-    links = dealt.mapInArrow(words.tidy(run), ", ".join(f"{c} long" for c in sent))
-    one, two = (number(F.col(f"{x}_fp"), F.col(f"{x}_more") if wide else None) for x in ("a", "b"))
-    return links.select(F.greatest(one, two).alias("u"), F.least(one, two).alias("v")).where("u != v").distinct()
+def near_candidates(classes: DataFrame, budget: int = BUDGET, reach: int = REACH, spread: int = SPREAD) -> DataFrame:
+    """a, b (numbers of classes) and bits: of each class of classes (distinct fp0, fp1) its candidates by either fingerprint's tables."""
+    sent = "a0 long, a1 long, b0 long, b1 long, bits long"
+
+    def of(first: str, second: str) -> DataFrame:
+        rows, masks = dealt(classes.select(F.col(first).alias("fp"), F.col(second).alias("more")), budget, 256)
+
+        def join(unit: np.ndarray, cols: list[np.ndarray]) -> list[np.ndarray]:
+            x, y = cols[1].view(np.uint64), cols[2].view(np.uint64)
+            one, two = (x, y) if first == "fp0" else (y, x)
+            partners = Partners(x, y, words.mix(one + words.mix(two)), spread)
+            trie_join(unit, x, cols[0] & 3, reach, partners.found)
+            i, j, bits = partners.pairs()
+            one, two = (c.view(np.int64) for c in (one, two))
+            return [one[i], two[i], one[j], two[j], bits]
+
+        return by_unit(rows, masks, join, sent)
+
+    both = of("fp0", "fp1").unionByName(of("fp1", "fp0"))
+    return both.select(F.xxhash64("a0", "a1").alias("a"), F.xxhash64("b0", "b1").alias("b"), "bits").where("a != b").distinct()
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -296,43 +365,98 @@ def components(links: DataFrame) -> DataFrame:
     return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select("v", F.col("v").alias("root")).distinct().withColumnRenamed("v", "node"))
 
 
-def group_near(docs: DataFrame, shingle: int = 4, budget: int = 4, extra_budget: int | None = None) -> DataFrame:
-    """doc_id, fp0 (and fp1, under another seed, with extra_budget), component_id for every row of docs.
+def group_near(docs: DataFrame, shingle: int = 4, budget: int = 4) -> DataFrame:
+    """doc_id, fp0, component_id for every row of docs.
 
     component_id: the smallest doc_id reachable by links, its own included. A link: at most budget bits between the
-    fingerprints; with extra_budget, at most budget bits between one pair of fingerprints and at most extra_budget
-    between the other, which tells near texts apart from chance at a larger budget. Texts without a word (null, empty,
+    fingerprints. Texts without a word (null, empty,
     white space) have fingerprint 0 and link like any other. Rows that share a doc_id stand for themselves each;
     null ids are never the smallest. An empty table gives no rows; other columns are not read.
     """
-    seeds = (SEED,) if extra_budget is None else (SEED, SEED + 1)
-    names = [f"fp{i}" for i in range(len(seeds))]
-    rows = cut(fingerprints(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), shingle, seeds))
-    # a class: equal fingerprints. Its number is the first fingerprint, or a hash of both with its smallest id kept beside
-    classes = rows.groupBy(*names).agg(F.min("doc_id").alias("least"))
-    number = F.col("fp0") if extra_budget is None else F.xxhash64(*names)
-    classes = cut(classes.withColumn("id", number))
-    if extra_budget is None:
-        links = near_links(classes.select("fp0"), budget)
-    else:
-        turned = classes.select(F.col("fp1").alias("fp0"), F.col("fp0").alias("fp1"))
-        links = near_links(classes.select(*names), budget, extra_budget, lambda fp, more: F.xxhash64(fp, more))
-        links = links.unionByName(near_links(turned, budget, extra_budget, lambda fp, more: F.xxhash64(more, fp)))
-    comp = components(links)
-    rooted = classes.join(comp, F.col("id") == F.col("node"), "left").withColumn("root", F.coalesce("root", "id"))
-    rooted = cut(rooted.select(*[F.col(n).alias(f"c_{n}") for n in names], "least", "root"))
+    rows = cut(fingerprints(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), shingle))
+    classes = cut(rows.groupBy("fp0").agg(F.min("doc_id").alias("least")))
+    comp = components(near_links(classes.select("fp0"), budget))
+    rooted = classes.join(comp, F.col("fp0") == F.col("node"), "left").withColumn("root", F.coalesce("root", "fp0"))
+    rooted = cut(rooted.select(F.col("fp0").alias("c_fp0"), "least", "root"))
     final = cut(rooted.groupBy("root").agg(F.min("least").alias("component_id")).withColumnRenamed("root", "r"))
-    by_class = cut(rooted.join(final, F.col("root") == F.col("r")).select(*[f"c_{n}" for n in names], "component_id"))
-    cond = F.col("fp0") == F.col("c_fp0")
-    for n in names[1:]:
-        cond = cond & (F.col(n) == F.col(f"c_{n}"))
-    return rows.join(by_class, cond).select("doc_id", *names, "component_id")
-
-
-def keep_one(docs: DataFrame, shingle: int = 5, budget: int = 8, extra_budget: int = 14) -> DataFrame:
-    """One row of docs for each near-duplicate component: that of the smallest doc_id (of equal ids, one row)."""
-    grouped = group_near(docs, shingle, budget, extra_budget)
-    first = grouped.select(F.col("component_id").alias("__first")).where("__first is not null").distinct()
-    heads = docs.join(first, F.col("doc_id") == F.col("__first"), "left_semi").dropDuplicates(["doc_id"])
-    # rows without an id cannot be told apart by one: each text stays once
-    return heads.unionByName(docs.where("doc_id is null").dropDuplicates(["text"])).select(*docs.columns)
+    by_class = cut(rooted.join(final, F.col("root") == F.col("r")).select("c_fp0", "component_id"))
+    return rows.join(by_class, F.col("fp0") == F.col("c_fp0")).select("doc_id", "fp0", "component_id")
+
+
+def shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """texts (node, text) with s, the distinct hashes of the shingles, instead of the text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in words.slices(batch, limit=2 << 20):
+                hashes, upto = shingle_hashes(*words.text_bytes(part.column("text")), shingle, SEED)
+                sets = [np.unique(hashes[a:b]).view(np.int64) for a, b in zip(upto[:-1], upto[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column("node"), pa.array(sets, pa.list_(pa.int64()))], ["node", "s"])
+
+    return texts.mapInArrow(words.tidy(run), "node long, s array<long>")
+
+
+def likeness(a: Column, b: Column, measure: str) -> Column:
+    """Of two sets: cosine, shared / root of the product of sizes, or jaccard, shared / all."""
+    shared = F.size(F.array_intersect(a, b))
+    if measure == "cosine":
+        return F.try_divide(shared, F.sqrt(F.size(a).cast("double") * F.size(b)))
+    if measure == "jaccard":
+        return F.try_divide(shared, F.size(a) + F.size(b) - shared)
+    raise ValueError(f"no such measure: {measure}")
+
+
+def group_similar(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, measure: str = "cosine") -> DataFrame:
+    """doc_id, th (hash of the text) and head_id, head_th, those of the group's first row, for every distinct pair of doc_id and th in docs.
+
+    Linked are rows whose two fingerprints are equal, and candidates (near_candidates) whose sets of distinct shingles have at least this
+    similarity. The cosine is what a SimHash estimates; it is at least as large as the Jaccard similarity, so pairs of Jaccard 0.8 are all
+    within a cosine of 0.8. Groups are components of links; a group's first row is that of smallest doc_id (nulls last) and then th.
+    Texts without a word (null, empty, white space) are equal in words, and so one group. Rows of one doc_id with other texts are rows of their own.
+    An empty table gives no rows. A link is missed only if neither fingerprint's tables hold the pair, or both rows name others first in all of them: at Jaccard
+    0.8 the tables hold 97 % (of 10**8 classes) to 99.9 % (of 10**4), by simulation.
+    """
+    rows = cut(fingerprints(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text"), shingle, 2))
+    place = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "th")
+    classes = cut(rows.groupBy("fp0", "fp1").agg(F.min(place).alias("first")).withColumn("id", F.xxhash64("fp0", "fp1")))
+    found = cut(near_candidates(classes.where("fp0 != 0 or fp1 != 0").select("fp0", "fp1")))
+    nodes = found.select(F.col("a").alias("n")).unionByName(found.select(F.col("b").alias("n"))).distinct()
+    wanted = classes.join(nodes, F.col("id") == F.col("n")).select(F.col("id").alias("node"), F.col("first.doc_id").alias("w_id"), F.col("first.th").alias("w_th"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("d_id"), F.xxhash64("text").alias("d_th"), F.col("text").cast("string").alias("text"))
+    texts = texts.join(wanted, F.col("d_id").eqNullSafe(F.col("w_id")) & (F.col("d_th") == F.col("w_th"))).select("node", "text")
+    sets = cut(shingle_sets(texts, shingle).groupBy("node").agg(F.first("s").alias("s")))  # repeated rows have one set
+    turn = F.row_number().over(Window.partitionBy("a").orderBy("bits", "b"))  # a row names two candidates a table at most
+    ranked = cut(found.withColumn("turn", turn))
+    links, comp = None, None
+    for lo, hi in zip((0, *TURNS), (*TURNS, None), strict=True):
+        now = ranked.where(F.col("turn") > lo) if hi is None else ranked.where((F.col("turn") > lo) & (F.col("turn") <= hi))
+        pairs = now.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
+        if comp is not None:
+            for x in ("u", "v"):
+                pairs = pairs.join(comp.select(F.col("node").alias(f"n_{x}"), F.col("root").alias(f"r_{x}")), F.col(x) == F.col(f"n_{x}"), "left")
+            pairs = pairs.where(F.coalesce("r_u", "u") != F.coalesce("r_v", "v")).select("u", "v")
+        pairs = cut(pairs)
+        if pairs.isEmpty():
+            continue
+        one, two = (sets.select(F.col("node").alias(f"n_{x}"), F.col("s").alias(f"s_{x}")) for x in ("u", "v"))
+        judged = pairs.join(one, F.col("u") == F.col("n_u")).join(two, F.col("v") == F.col("n_v"))
+        new = judged.where(likeness(F.col("s_u"), F.col("s_v"), measure) >= similarity).select("u", "v")
+        links = cut(new if links is None else links.unionByName(new))
+        comp = cut(components(links))
+    rooted = classes if comp is None else classes.join(comp, F.col("id") == F.col("node"), "left")
+    rooted = rooted.withColumn("root", F.lit(None).cast("long") if comp is None else F.col("root")).withColumn("root", F.coalesce("root", "id"))
+    rooted = cut(rooted.select(F.col("fp0").alias("c_fp0"), F.col("fp1").alias("c_fp1"), "first", "root"))
+    heads = cut(rooted.groupBy("root").agg(F.min("first").alias("head")).withColumnRenamed("root", "r"))
+    by_class = cut(rooted.join(heads, F.col("root") == F.col("r")).select("c_fp0", "c_fp1", F.col("head.doc_id").alias("head_id"), F.col("head.th").alias("head_th")))
+    distinct = rows.distinct()
+    return distinct.join(by_class, (F.col("fp0") == F.col("c_fp0")) & (F.col("fp1") == F.col("c_fp1"))).select("doc_id", "th", "head_id", "head_th")
+
+
+def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, measure: str = "cosine") -> DataFrame:
+    """One row of docs for each group of group_similar: its first; of rows equal in doc_id and text one. All columns stay."""
+    grouped = group_similar(docs, shingle, similarity, measure)
+    h_id, h_th, th = fresh(docs, "__id", "__th", "__text_hash")
+    first = grouped.where(F.col("doc_id").eqNullSafe(F.col("head_id")) & (F.col("th") == F.col("head_th"))).select(F.col("head_id").alias(h_id), F.col("head_th").alias(h_th))
+    rows = docs.withColumn(th, F.xxhash64("text"))
+    kept = rows.join(first, F.col("doc_id").eqNullSafe(F.col(h_id)) & (F.col(th) == F.col(h_th)), "left_semi")
+    return kept.dropDuplicates(["doc_id", th]).select(*columns_of(docs))

@@ -9,7 +9,8 @@ network is fitted with numpy on a bounded sample of labelled rows (sample_rows),
 seventh of them that it did not see.
 
 Null and empty texts pool to zero and are scored like any other; without labels of both kinds every score is the
-share of label 1 (0.5 without labels). Rows are kept one for one; other columns are not read.
+share of label 1 (0.5 without labels). Rows are kept one for one; other columns are not read; an empty table gives no rows. A score of just THRESHOLD
+is predicted 1. A text longer than a run (2 MB) is a run of its own, and a task then holds its words' numbers and context rows (some 80 bytes a word).
 """
 
 from __future__ import annotations

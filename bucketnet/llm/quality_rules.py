@@ -6,7 +6,8 @@ good documents and, for each rule and class, how often it votes which way; the p
 of good from those replaces a rule that all votes must pass.
 
 Null and empty texts have no words, fail the base test and are not kept. Repeated rows are counted and
-returned each. On an empty table nothing is estimated and the starting values hold.
+returned each. A posterior of just KEEP is kept. On an empty table nothing is estimated, no rows are returned and the starting values hold.
+A task holds a row's words and its 3-word windows (some 20 bytes a window) at a time, whatever the text's length.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from bucketnet.llm.common import cut
+from bucketnet.llm.common import columns_of, cut, fresh
 
 WHITE = r"[\x20\x09-\x0D]+"
 MIN_WORDS, KEEP = 50, 0.5
@@ -154,8 +155,9 @@ def keep_good(docs: DataFrame) -> DataFrame:
 
     Verdicts are joined back by doc_id and text hash, so rows of one id with other texts have their own.
     """
+    g_id, g_th, th = fresh(docs, "__id", "__th", "__text_hash")
     key = docs.select("doc_id", F.xxhash64("text").alias("__th"), "text")
     measured = cut(measure(key).drop("text"))
-    good = judge(measured).where("kept").select(F.col("doc_id").alias("__id"), F.col("__th").alias("__gth")).distinct()
-    rows = docs.withColumn("__th", F.xxhash64("text"))
-    return rows.join(good, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__th") == F.col("__gth")), "left_semi").select(*docs.columns)
+    good = judge(measured).where("kept").select(F.col("doc_id").alias(g_id), F.col("__th").alias(g_th)).distinct()
+    rows = docs.withColumn(th, F.xxhash64("text"))
+    return rows.join(good, F.col("doc_id").eqNullSafe(F.col(g_id)) & (F.col(th) == F.col(g_th)), "left_semi").select(*columns_of(docs))
