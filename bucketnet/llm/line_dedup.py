@@ -14,13 +14,13 @@ whole lines of passage_words words or more goes, however it is broken into lines
 Of chunks that are equal line by line, the one with the smallest (doc_id, text hash, line) stays and the lines of the others go, within a
 document too. A line that goes has an equal one at an earlier place, and the first of these stays.
 
-Lines travel as 64-bit hashes. Chunks that repeat are compared by their whole sequence of hashes, and the lines in
-them byte by byte: if two different lines have one hash, no chunk with that hash is removed. All steps but the last work on a row per line,
+Lines travel as 64-bit hashes. A chunk's key is made of its first line's hash, its number of lines and the sum of the hashes of its neighbouring
+lines, a difference of two running sums; only chunks whose key repeats are read as text, and compared byte by byte. All steps before that work on a row per line,
 so time grows with the number of lines, and a document's chunks are at most 3 rows a line.
 
 Null texts stay null; empty texts and texts without a repeated chunk are unchanged; rows with equal doc_id
-and text are one document and change alike; a document can end empty, and stays. An empty table gives no rows. A task holds a document's line
-hashes (some 50 bytes a line) and, where lines go, its lines.
+and text are one document and change alike; a document can end empty, and stays. An empty table gives no rows. A task holds a document's lines and, as text,
+those of its chunks whose key repeats: with lines of one word up to passage_words times the document, else two or three times.
 """
 
 from __future__ import annotations
@@ -43,51 +43,52 @@ def lines_of(docs: DataFrame) -> DataFrame:
 
 
 def chunks_of(lines: DataFrame, long_line: int, min_words: int, spacing: int, passage_words: int) -> DataFrame:
-    """id, th, a, b (first and last line) and s (hashes of the lines) of each chunk that counts."""
+    """id, th, a, b (first and last line) and key of each chunk that counts, each once."""
     doc = Window.partitionBy("id", "th")
-    before = doc.orderBy("i").rowsBetween(Window.unboundedPreceding, -1)
-    placed = lines.withColumn("from", F.coalesce(F.sum("w").over(before), F.lit(0))).withColumn("to", F.col("from") + F.col("w"))
+    order = doc.orderBy("i")
+    before, upto = order.rowsBetween(Window.unboundedPreceding, -1), order.rowsBetween(Window.unboundedPreceding, 0)
+    both = F.xxhash64(F.lag("h").over(order), "h").bitwiseAND(F.lit((1 << 38) - 1))  # 2**25 of them add up without overflow
+    after = F.lead("w").over(order)
+    ends = after.isNull() | (F.col("w") >= long_line) | (after >= long_line) | (F.pmod(F.coalesce(F.lag("m").over(order), F.lit(0)) * 31 + F.col("m"), F.lit(spacing)) == 0)
+    placed = lines.withColumns({"from": F.coalesce(F.sum("w").over(before), F.lit(0)), "pair": both, "ends": ends})
+    placed = placed.withColumns({"to": F.col("from") + F.col("w"), "sum": F.sum("pair").over(upto), "opens": F.coalesce(F.lag("ends").over(order), F.lit(True))})
+    last = lambda c: F.last(F.when(F.col("opens"), F.col(c)), ignorenulls=True).over(upto)  # noqa: E731  of the line that opens the chunk
     ahead, back = doc.orderBy("from").rangeBetween(0, passage_words - 1), doc.orderBy("to").rangeBetween(1 - passage_words, 0)
-    after = F.lead("w").over(doc.orderBy("i"))
-    ends = after.isNull() | (F.col("w") >= long_line) | (after >= long_line) | (F.pmod(F.coalesce(F.lag("m").over(doc.orderBy("i")), F.lit(0)) * 31 + F.col("m"), F.lit(spacing)) == 0)
-    placed = cut(placed.withColumn("ends", ends.cast("int")).withColumns({
-        "k": F.coalesce(F.sum("ends").over(before), F.lit(0)),
-        "f": F.struct(F.col("i").alias("a"), F.max("i").over(ahead).alias("b"), (F.max("to").over(ahead) - F.col("from")).alias("n"), F.collect_list("h").over(ahead).alias("s")),
-        # less the line's own words: with fewer than passage_words before it, the run is that of its first line
-        "g": F.struct(F.min("i").over(back).alias("a"), F.col("i").alias("b"), (F.col("from") - F.min("from").over(back)).alias("n"), F.collect_list("h").over(back).alias("s")),
-    }).select("id", "th", "i", "h", "w", "k", "f", "g"))
-    runs = placed.select("id", "th", F.explode(F.filter(F.array("f", "g"), lambda c: c["n"] >= passage_words)).alias("c"))
-    cuts = placed.groupBy("id", "th", "k").agg(F.min("i").alias("a"), F.max("i").alias("b"), F.sum("w").alias("n"), F.max("w").alias("most"), F.array_sort(F.collect_list(F.struct("i", "h"))).alias("s"))
-    cuts = cuts.where((F.col("n") >= min_words) & ((F.col("b") > F.col("a")) | (F.col("most") >= long_line)))
-    cuts = cuts.where((F.col("b") > F.col("a")) | (F.col("most") < passage_words))  # else a run of its own already
-    return runs.select("id", "th", "c.a", "c.b", "c.s").unionByName(cuts.select("id", "th", "a", "b", F.transform("s", lambda x: x["h"]).alias("s")))
-
-
-def false_friends(docs: DataFrame, spans: DataFrame) -> DataFrame:
-    """h: the hashes that two different lines among the spans (id, th, spans) share; not expected to have a row."""
-    rows = docs.select(F.col("doc_id").alias("d_id"), F.xxhash64("text").alias("d_th"), "text")
-    rows = rows.join(spans, F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th")))
-    at = F.array_distinct(F.flatten(F.transform("spans", lambda c: F.sequence(c["a"], c["b"]))))
-    lines = rows.withColumn("lines", F.split("text", "\n", -1)).select(F.explode(F.transform(at, lambda i: F.get("lines", i))).alias("x"))
-    return lines.groupBy(F.xxhash64("x").alias("h")).agg(F.min("x").alias("least"), F.max("x").alias("most")).where("least <> most").select("h")
+    placed = placed.withColumns({
+        "f_b": F.max("i").over(ahead), "f_to": F.max("to").over(ahead), "f_sum": F.max("sum").over(ahead),
+        "g_a": F.min("i").over(back), "g_from": F.min("from").over(back), "g_sum": F.min("sum").over(back), "g_h": F.first("h").over(back),
+        "c_a": last("i"), "c_from": last("from"), "c_sum": last("sum"), "c_h": last("h"),
+    })
+
+    def chunk(a: str, b: str, h: str, begin: str, end: str, counts: Column) -> Column:
+        return F.struct(F.col(a).alias("a"), F.col(b).alias("b"), F.xxhash64(h, F.col(end) - F.col(begin), F.col(b) - F.col(a)).alias("key"), counts.alias("counts"))
+
+    ahead_counts = F.col("f_to") - F.col("from") >= passage_words
+    # with fewer words before the line itself, the run up to it is the one from its first line on
+    back_counts = F.col("from") - F.col("g_from") >= passage_words
+    size = F.col("to") - F.col("c_from")
+    cut_counts = F.col("ends") & (size >= min_words) & ((F.col("i") > F.col("c_a")) | (F.col("w") >= long_line))
+    cut_counts = cut_counts & ~((size >= passage_words) & (F.col("from") - F.col("c_from") < passage_words)) & ~(back_counts & (F.col("g_a") == F.col("c_a")))  # else one of the others
+    found = F.array(chunk("i", "f_b", "h", "sum", "f_sum", ahead_counts), chunk("g_a", "i", "g_h", "g_sum", "sum", back_counts), chunk("c_a", "i", "c_h", "c_sum", "sum", cut_counts))
+    return placed.select("id", "th", F.explode(F.filter(found, lambda c: c["counts"])).alias("c")).select("id", "th", "c.a", "c.b", "c.key")
 
 
 def repeated_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING, passage_words: int = PASSAGE_WORDS) -> DataFrame:
     """id, th (hash of the text) and gone (numbers of the lines to remove) of each document with any."""
     # written, so that the joins read exchanges on both sides, whose hot keys Spark can split
-    parts = cut(chunks_of(lines_of(docs), long_line, min_words, spacing, passage_words).withColumn("h", F.xxhash64("s")))
-    again = cut(parts.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("h").alias("rh")))
-    found = cut(parts.join(again, F.col("h") == F.col("rh"), "left_semi"))
+    parts = cut(chunks_of(lines_of(docs), long_line, min_words, spacing, passage_words))
+    again = cut(parts.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("key").alias("again")))
+    spans = parts.join(again, F.col("key") == F.col("again"), "left_semi").groupBy("id", "th").agg(F.collect_set(F.struct("a", "b", "key")).alias("spans"))
+    texts = docs.select(F.col("doc_id").alias("d_id"), F.xxhash64("text").alias("d_th"), "text")
+    texts = texts.join(cut(spans), F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th"))).withColumn("lines", F.split("text", "\n", -1))
+    as_text = F.transform("spans", lambda c: c.withField("t", F.array_join(F.slice("lines", c["a"] + 1, c["b"] - c["a"] + 1), "\n")))
+    found = texts.select("id", "th", F.explode(as_text).alias("c")).select("id", "th", "c.a", "c.b", "c.key", "c.t").distinct()  # rows that repeat are one document
+    found = cut(found)
     place = F.struct("id", "th", "a")
-    first = found.groupBy("h", "s").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    first = cut(first.select(F.col("h").alias("fh"), F.col("s").alias("fs"), "first"))
-    spans = found.join(first, (F.col("h") == F.col("fh")) & (F.col("s") == F.col("fs"))).groupBy("id", "th").agg(F.collect_set(F.struct("a", "b")).alias("spans"))
-    mixed = cut(false_friends(docs, spans))
-    if not mixed.isEmpty():
-        hit = first.select("fh", "fs", F.explode("fs").alias("x")).join(mixed, F.col("x") == F.col("h")).select("fh", "fs")
-        first = cut(first.join(hit, ["fh", "fs"], "left_anti"))
-    later = found.join(first, (F.col("h") == F.col("fh")) & (F.col("s") == F.col("fs"))).where(~place.eqNullSafe(F.col("first")))
-    return later.select("id", "th", F.explode(F.sequence("a", "b")).alias("i")).groupBy("id", "th").agg(F.collect_set("i").alias("gone"))
+    first = found.groupBy("key", "t").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    first = cut(first.select(F.col("key").alias("f_key"), F.col("t").alias("f_t"), "first"))
+    later = found.join(first, (F.col("key") == F.col("f_key")) & (F.col("t") == F.col("f_t"))).where(~place.eqNullSafe(F.col("first")))
+    return cut(later.select("id", "th", F.explode(F.sequence("a", "b")).alias("i")).groupBy("id", "th").agg(F.collect_set("i").alias("gone")))
 
 
 def dedup_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING, passage_words: int = PASSAGE_WORDS) -> DataFrame:

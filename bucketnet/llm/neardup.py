@@ -48,7 +48,7 @@ LEAF = 32
 PAIRS = 1 << 16
 RUN = 1 << 16
 BUDGET, REACH, SPREAD = 8, 22, 38  # bits: never missed in a fingerprint's tables, followed in them, of both fingerprints together
-TURNS = (2, 8, 32)  # candidates a row has counted before the next look at components
+TURNS = (2,)  # candidates a row has counted before the next look at components
 
 
 def shingle_hashes(buf: np.ndarray, offsets: np.ndarray, size: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
