@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from bucketnet.llm.common import columns_of, cut, fresh
+from bucketnet.llm.common import columns_of, cut, free_shuffles, fresh
 
 LONG_LINE, MIN_WORDS, SPACING, PASSAGE_WORDS = 50, 20, 2, 51
 
@@ -73,21 +73,38 @@ def chunks_of(lines: DataFrame, long_line: int, min_words: int, spacing: int, pa
     return placed.select("id", "th", F.explode(F.filter(found, lambda c: c["counts"])).alias("c")).select("id", "th", "c.a", "c.b", "c.key")
 
 
+def chunk_texts(docs: DataFrame, parts: DataFrame, keys: DataFrame) -> DataFrame:
+    """key, t (text), id, th, a, b of the chunks in parts whose key is in keys (again); rows of docs that repeat give theirs again."""
+    spans = parts.join(keys, F.col("key") == F.col("again"), "left_semi").groupBy("id", "th").agg(F.collect_set(F.struct("a", "b", "key")).alias("spans"))
+    texts = docs.select(F.col("doc_id").alias("d_id"), F.xxhash64("text").alias("d_th"), "text")
+    texts = texts.join(spans, F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th"))).withColumn("lines", F.split("text", "\n", -1))
+    as_text = F.transform("spans", lambda c: c.withField("t", F.array_join(F.slice("lines", c["a"] + 1, c["b"] - c["a"] + 1), "\n")))
+    return texts.select("id", "th", F.explode(as_text).alias("c")).select("c.key", "c.t", "id", "th", "c.a", "c.b")
+
+
+def compared(docs: DataFrame, parts: DataFrame) -> DataFrame:
+    """key, texts (how many different ones), first and last place of each key that repeats."""
+    again = cut(parts.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("key").alias("again")))
+    place = F.struct("id", "th", "a")
+    by_text = chunk_texts(docs, parts, again).groupBy("key", "t").agg(F.min(place).alias("first"), F.max(place).alias("last"))
+    return cut(by_text.groupBy("key").agg(F.count(F.lit(1)).alias("texts"), F.min("first").alias("first"), F.max("last").alias("last")))
+
+
 def repeated_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MIN_WORDS, spacing: int = SPACING, passage_words: int = PASSAGE_WORDS) -> DataFrame:
     """id, th (hash of the text) and gone (numbers of the lines to remove) of each document with any."""
     # written, so that the joins read exchanges on both sides, whose hot keys Spark can split
     parts = cut(chunks_of(lines_of(docs), long_line, min_words, spacing, passage_words))
-    again = cut(parts.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("key").alias("again")))
-    spans = parts.join(again, F.col("key") == F.col("again"), "left_semi").groupBy("id", "th").agg(F.collect_set(F.struct("a", "b", "key")).alias("spans"))
-    texts = docs.select(F.col("doc_id").alias("d_id"), F.xxhash64("text").alias("d_th"), "text")
-    texts = texts.join(cut(spans), F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th"))).withColumn("lines", F.split("text", "\n", -1))
-    as_text = F.transform("spans", lambda c: c.withField("t", F.array_join(F.slice("lines", c["a"] + 1, c["b"] - c["a"] + 1), "\n")))
-    found = texts.select("id", "th", F.explode(as_text).alias("c")).select("id", "th", "c.a", "c.b", "c.key", "c.t").distinct()  # rows that repeat are one document
-    found = cut(found)
-    place = F.struct("id", "th", "a")
-    first = found.groupBy("key", "t").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    first = cut(first.select(F.col("key").alias("f_key"), F.col("t").alias("f_t"), "first"))
-    later = found.join(first, (F.col("key") == F.col("f_key")) & (F.col("t") == F.col("f_t"))).where(~place.eqNullSafe(F.col("first")))
+    keys = compared(docs, parts)
+    free_shuffles(docs.sparkSession)
+    place, spans = F.struct("id", "th", "a"), ["id", "th", "a", "b"]
+    one = keys.where((F.col("texts") == 1) & ~F.col("first").eqNullSafe(F.col("last"))).select(F.col("key").alias("f_key"), "first")
+    later = parts.join(one, F.col("key") == F.col("f_key")).where(~place.eqNullSafe(F.col("first"))).select(spans)
+    mixed = keys.where("texts > 1").select(F.col("key").alias("again"))
+    if not mixed.isEmpty():  # other texts of the same key: by key and text
+        found = cut(chunk_texts(docs, parts, mixed))
+        first = found.groupBy("key", "t").agg(F.min(place).alias("first")).select(F.col("key").alias("f_key"), F.col("t").alias("f_t"), "first")
+        found = found.join(cut(first), (F.col("key") == F.col("f_key")) & (F.col("t") == F.col("f_t"))).where(~place.eqNullSafe(F.col("first")))
+        later = later.unionByName(found.select(spans))
     return cut(later.select("id", "th", F.explode(F.sequence("a", "b")).alias("i")).groupBy("id", "th").agg(F.collect_set("i").alias("gone")))
 
 
