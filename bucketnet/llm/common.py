@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import re
 import tempfile
+import time
 import zlib
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -36,8 +37,10 @@ def cut(df: DataFrame) -> DataFrame:
 
 def free_shuffles(spark: SparkSession) -> None:
     """Lets Spark's cleaner delete the shuffles of plans that are done with: it learns of them when the driver's JVM collects garbage, which may be long after."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # what the first frees holds more that only the second can free
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def fresh(df: DataFrame, *names: str) -> list[str]:
