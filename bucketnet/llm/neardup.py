@@ -18,8 +18,8 @@ folder each round; nothing but counts reaches the driver.
 
 group_near stops at the fingerprints: a link is a budget of bits. group_similar confirms: it takes two
 fingerprints, lets the tries of the same tables go further than their keys promise (reach) and
-takes a pair as a candidate if all 128 bits differ in at most SPREAD places; each row names its nearest candidate and its smallest, per
-table, and a link is a candidate whose shingle sets have a similarity of at least 0.8, counted exactly. Candidates are
+takes a pair as a candidate if all 128 bits differ in at most SPREAD places; of its candidates before it, in an order by hash, each row names the nearest, per
+table, and a link is a named pair whose shingle sets have a similarity of at least 0.8, counted exactly. Candidates are
 counted in order of nearness, and those inside one component by then are passed over, so a large group of near copies costs about
 a comparison a member, not one a pair.
 
@@ -39,7 +39,7 @@ from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from bucketnet.llm import words
-from bucketnet.llm.common import columns_of, cut, fresh
+from bucketnet.llm.common import columns_of, cut, free_shuffles, fresh
 
 SEED = 42
 CHUNK = 4096
@@ -198,29 +198,25 @@ def trie_join(group: np.ndarray, fp: np.ndarray, side: np.ndarray, budget: int,
 
 
 class Partners:
-    """Of each row its nearest candidate, and the candidate of smallest weight if that is below its own; ties by weight, so any order of rows gives the same."""
+    """Of each row its nearest candidate among those of smaller weight; ties by weight, so any order of rows gives the same."""
 
     def __init__(self, fp: np.ndarray, more: np.ndarray, weight: np.ndarray, spread: int):
         self.fp, self.more, self.weight, self.spread = fp, more, weight, spread
         self.nearest = np.full(len(fp), NONE, dtype=np.uint64)
-        self.least = weight.copy()
 
     def found(self, i: np.ndarray, j: np.ndarray, bits: np.ndarray) -> None:
         bits = bits + np.bitwise_count(self.more[i] ^ self.more[j])
         good = np.flatnonzero(bits <= self.spread)
         i, j, bits = i[good], j[good], bits[good].astype(np.uint64) << np.uint64(56)
-        for a, b in ((i, j), (j, i)):
-            np.minimum.at(self.nearest, a, bits | (self.weight[b] >> np.uint64(8)))
-            np.minimum.at(self.least, a, self.weight[b])
+        turned = self.weight[i] < self.weight[j]
+        i, j = np.where(turned, j, i), np.where(turned, i, j)
+        np.minimum.at(self.nearest, i, bits | (self.weight[j] >> np.uint64(8)))
 
     def pairs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Rows, their partners and the bits of both fingerprints in which they differ."""
         order = np.argsort(self.weight)
-        sorted_weight = self.weight[order]
-        a, b = np.flatnonzero(self.nearest != NONE), np.flatnonzero(self.least < self.weight)
-        near = order[np.searchsorted(sorted_weight >> np.uint64(8), self.nearest[a] & np.uint64((1 << 56) - 1))]
-        low = order[np.searchsorted(sorted_weight, self.least[b])]
-        i, j = np.concatenate([a, b]), np.concatenate([near, low])
+        i = np.flatnonzero(self.nearest != NONE)
+        j = order[np.searchsorted(self.weight[order] >> np.uint64(8), self.nearest[i] & np.uint64((1 << 56) - 1))]
         return i, j, np.bitwise_count(self.fp[i] ^ self.fp[j]).astype(np.int64) + np.bitwise_count(self.more[i] ^ self.more[j])
 
 
@@ -323,7 +319,7 @@ def near_candidates(classes: DataFrame, budget: int = BUDGET, reach: int = REACH
     sent = "a0 long, a1 long, b0 long, b1 long, bits long"
 
     def of(first: str, second: str) -> DataFrame:
-        rows, masks = dealt(classes.select(F.col(first).alias("fp"), F.col(second).alias("more")), budget, 256)
+        rows, masks = dealt(classes.select(F.col(first).alias("fp"), F.col(second).alias("more")), budget, 2048)
 
         def join(unit: np.ndarray, cols: list[np.ndarray]) -> list[np.ndarray]:
             x, y = cols[1].view(np.uint64), cols[2].view(np.uint64)
@@ -413,7 +409,7 @@ def group_similar(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, me
     similarity. The cosine is what a SimHash estimates; it is at least as large as the Jaccard similarity, so pairs of Jaccard 0.8 are all
     within a cosine of 0.8. Groups are components of links; a group's first row is that of smallest doc_id (nulls last) and then th.
     Texts without a word (null, empty, white space) are equal in words, and so one group. Rows of one doc_id with other texts are rows of their own.
-    An empty table gives no rows. A link is missed only if neither fingerprint's tables hold the pair, or both rows name others first in all of them: at Jaccard
+    An empty table gives no rows. A link is missed only if neither fingerprint's tables hold the pair, or the later row names a nearer one in all that do: at Jaccard
     0.8 the tables hold 97 % (of 10**8 classes) to 99.9 % (of 10**4), by simulation.
     """
     rows = cut(fingerprints(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text"), shingle, 2))
@@ -425,7 +421,8 @@ def group_similar(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, me
     texts = docs.select(F.col("doc_id").cast("long").alias("d_id"), F.xxhash64("text").alias("d_th"), F.col("text").cast("string").alias("text"))
     texts = texts.join(wanted, F.col("d_id").eqNullSafe(F.col("w_id")) & (F.col("d_th") == F.col("w_th"))).select("node", "text")
     sets = cut(shingle_sets(texts, shingle).groupBy("node").agg(F.first("s").alias("s")))  # repeated rows have one set
-    turn = F.row_number().over(Window.partitionBy("a").orderBy("bits", "b"))  # a row names two candidates a table at most
+    free_shuffles(docs.sparkSession)
+    turn = F.row_number().over(Window.partitionBy("a").orderBy("bits", "b"))  # a row names one candidate a table at most
     ranked = cut(found.withColumn("turn", turn))
     links, comp = None, None
     for lo, hi in zip((0, *TURNS), (*TURNS, None), strict=True):
