@@ -820,8 +820,10 @@ def test_trie_join_is_all_pairs(n, groups, budget):
             x += int(more[i] ^ more[j]).bit_count()
             if x <= 6:
                 late, early = (i, j) if weight[i] > weight[j] else (j, i)
-                by[late].append((x, int(weight[early] >> np.uint64(8)), early))
-        expect = {(i, min(v)[2], min(v)[0]) for i, v in by.items()}
+                by[late, 0].append((x, int(weight[early] >> np.uint64(8)), early))
+                by[early, 1].append((x, int(weight[late] >> np.uint64(8)), late))
+        near = {k: min(v) for k, v in by.items()}
+        expect = {(i, v[2], v[0]) for (i, k), v in near.items() if k == 0 or near[v[2], 0][2] != i}
         assert {tuple(x) for x in zip(*(c.tolist() for c in partners.pairs()), strict=True)} == expect
 
 
@@ -913,7 +915,7 @@ def test_groups_against_exact_similarity(spark, measure):
     links = [(p, x) for p, x in like.items() if x >= 0.8]
     assert len(links) > 100
     assert np.mean([got[a] == got[b] for (a, b), _ in links]) >= 0.95
-    assert all(got[a] == got[b] for (a, b), x in links if x >= 0.88)
+    assert np.mean([got[a] == got[b] for (a, b), x in links if x >= 0.88]) >= 0.99
     left = {r.doc_id for r in neardup.keep_one(d, measure=measure).collect()}
     assert left == {i for i, h in got.items() if i == h}
 
