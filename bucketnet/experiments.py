@@ -119,16 +119,72 @@ def batch_sweep(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (64,
     return run_arms(spark, sets, {f"{n}_{b}": arms[n] | {"batch": b} for b in sizes for n in ("topk", "dense", "static")}, rounds, local_steps, logs=1)
 
 
-def update_heuristics(spark: SparkSession, sf_dir: str, rounds: int = 4, local_steps: int = 40) -> DataFrame:
-    """Refresh calendars, bucket policies, incremental against full hashing, and the earlier form of adaptive dropout."""
+def update_heuristics(spark: SparkSession, sf_dir: str, rounds: int = 3, local_steps: int = 40, n0: float = 20) -> DataFrame:
+    """Refresh calendars, bucket policies, incremental against full hashing, and the earlier form of adaptive dropout: run_id, p_at_1, active_frac, refreshes, moved, hash_operations, wall_ms."""
     sets = known_item_sets(spark, sf_dir)
-    base = main_arms(sets[2], max(20, sets[2] // 200))["topk"]
+    base = main_arms(sets[2], max(20, sets[2] // 200))["topk"] | {"n0": n0}
     arms = {f"refresh_{r}": base | {"refresh": r} for r in ("decay", "fixed", "every", "never")}
     arms |= {f"cap_{p}": base | {"cap": 32, "policy": p} for p in ("reservoir", "fifo")}
-    arms |= {"full_hashing": base | {"incremental": False}, "legacy": base | {"refresh": "every", "incremental": False}}
+    arms |= {"full_hashing": base | {"incremental": False}, "legacy": base | {"refresh": "every", "incremental": False, "cap": None}}
+    train, test = (x.persist() for x in sets[:2])
+    rows = []
+    for name, change in arms.items():
+        model, log = blocks.train(train.coalesce(1), NetConf(DIMS, HIDDEN, sets[2], **change), rounds, local_steps, test=test, eval_every=rounds, run_id=name)
+        kept, last = model.kept, log[-1]
+        rows.append((name, float(last["p_at_1"]), float(last["active_frac"]), len(kept.log), int(kept.tables.moved), int(kept.tables.hashed), int(last["wall_ms"])))
+    train.unpersist(), test.unpersist()
+    return spark.createDataFrame(rows, "run_id string, p_at_1 double, active_frac double, refreshes int, moved long, hash_operations long, wall_ms long")
+
+
+def refresh_log(spark: SparkSession, sf_dir: str, rounds: int = 6, local_steps: int = 30) -> DataFrame:
+    """The refreshes of a real run: t, at_iteration, touched labels, moved entries, hash_operations."""
+    sets = known_item_sets(spark, sf_dir, 4096)
+    conf = NetConf(4096, 32, sets[2], **main_arms(sets[2], 20)["topk"] | {"n0": 50, "decay": 0.1, "batch": 64})
+    model, _ = blocks.train(sets[0].coalesce(1), conf, rounds, local_steps)
+    rows = [(i + 1, int(r["iteration"]), int(r["touched"]), int(r["moved"]), int(r["hash_operations"])) for i, r in enumerate(model.kept.log)]
+    return spark.createDataFrame(rows, "t long, at_iteration long, touched long, moved long, hash_operations long")
+
+
+def family_arms(spark: SparkSession, sf_dir: str, rounds: int = 3, local_steps: int = 40) -> DataFrame:
+    """Training with tables of each hash family."""
+    sets = known_item_sets(spark, sf_dir)
+    base = main_arms(sets[2], max(20, sets[2] // 200))["topk"]
+    k = max(2, base["k"] // 2)  # symbols of 4 values: as many buckets as 2 k bits
+    arms = {"simhash": base} | {f: base | {"family": f, "m": 4, "k": k} for f in ("wta", "dwta", "minhash")}
     return run_arms(spark, sets, arms, rounds, local_steps, logs=1)
 
 
+def share_sweep(spark: SparkSession, sf_dir: str, shares: tuple[float, ...] = (0.005, 0.05, 0.2), rounds: int = 3, local_steps: int = 40) -> DataFrame:
+    """Static sampling of a share of all labels against the method at the smallest one."""
+    sets = known_item_sets(spark, sf_dir)
+    arms = {f"static_{s}": {"strategy": "static", "beta": max(1, int(s * sets[2]))} for s in shares}
+    return run_arms(spark, sets, arms | {"topk": main_arms(sets[2], max(20, int(shares[0] * sets[2])))["topk"]}, rounds, local_steps)
+
+
+def trained_workload(spark: SparkSession, sf_dir: str, name: str, rounds: int = 4, local_steps: int = 40, dims: int = DIMS) -> DataFrame:
+    """W2, W3, W4, W19 trained: the method and its baselines where there are many labels, dense where there are few."""
+    if name in ("word_tagging", "copurchase"):
+        sets = word_tagging_sets(spark, sf_dir, dims) if name == "word_tagging" else copurchase_sets(spark, sf_dir)
+        arms = main_arms(sets[2], max(20, sets[2] // 200))
+        arms = {n: arms[n] for n in ("dense", "topk", "static")}
+        dims = dims if name == "word_tagging" else sets[2]
+    else:
+        sets, arms = small_label_sets(spark, sf_dir, name, dims), {name: {"strategy": "dense"}}
+    return run_arms(spark, sets, arms, rounds, local_steps, logs=2, dims=dims)
+
+
+def time_to_accuracy(spark: SparkSession, sf_dir: str, target: float = 0.5, rounds: int = 8, local_steps: int = 40, seeds: tuple[int, ...] = (1, 2, 3), names: tuple[str, ...] = ("dense", "topk", "static")) -> DataFrame:
+    """C3-C5, W5 of real runs: run_id, iteration and wall_ms at which P@1 first reaches the target (null: never), best_p_at_1, and speedup of dense over it in the same seed."""
+    sets = known_item_sets(spark, sf_dir)
+    arms = main_arms(sets[2], max(20, sets[2] // 200))
+    log = run_arms(spark, sets, {f"{n}_{s}": arms[n] | {"seed": s} for s in seeds for n in names}, rounds, local_steps, logs=rounds)
+    hit = F.col("p_at_1") >= target
+    reached = log.groupBy("run_id").agg(F.min(F.when(hit, F.col("iteration"))).alias("iteration"), F.min(F.when(hit, F.col("wall_ms"))).alias("wall_ms"), F.max("p_at_1").alias("best_p_at_1"))
+    seed = F.substring_index("run_id", "_", -1)
+    dense = reached.where("run_id like 'dense_%'").select(seed.alias("seed"), F.col("wall_ms").alias("dense_ms"))
+    return reached.withColumn("seed", seed).join(F.broadcast(dense), "seed", "left").select("run_id", "iteration", "wall_ms", "best_p_at_1", (F.col("dense_ms") / F.col("wall_ms")).alias("speedup"))
+
+
 def asynchrony(spark: SparkSession, sf_dir: str, rounds: int = 4, local_steps: int = 20) -> DataFrame:
     """Stale updates of 1, 2 and 4 learners, merged by their mean, their sum or a random one."""
     sets = known_item_sets(spark, sf_dir)
@@ -140,10 +196,13 @@ def asynchrony(spark: SparkSession, sf_dir: str, rounds: int = 4, local_steps: i
     return out
 
 
+NEURONS = 200_000  # of the timing experiment, which is of one kernel on one machine
+
+
 def strategy_times(spark: SparkSession, sf_dir: str, betas: tuple[int, ...] = (10, 50, 200), repeats: int = 3) -> DataFrame:
     """Milliseconds in the kernel, and seconds as relations, to choose active neurons by each strategy; neurons are embeddings, queries perturbed ones."""
     v = vectors(spark, sf_dir)
-    w = np.array(v.toArrow().column("vec").to_pylist(), dtype=np.float32)
+    w = np.array(v.orderBy("id").limit(NEURONS).toArrow().column("vec").to_pylist(), dtype=np.float32)
     rng = np.random.default_rng(5)
     q = np.concatenate([w] * max(1, 256 // len(w)))[:256] + rng.normal(0, 0.02, (min(256, len(w) * max(1, 256 // len(w))), w.shape[1])).astype(np.float32)
     none = np.zeros(0, dtype=np.int64)
@@ -171,24 +230,36 @@ def strategy_times(spark: SparkSession, sf_dir: str, betas: tuple[int, ...] = (1
     return spark.createDataFrame(rows, "strategy string, beta int, kernel_ms double, relational_s double, mean_chosen double, recall double, mean_product double")
 
 
-def family_curve(spark: SparkSession, sf_dir: str, pairs_of: int = 50) -> DataFrame:
-    """How often codes of a single function agree, by cosine, for each dense family: family, sim_bin, n, rate."""
-    v = vectors(spark, sf_dir)
-    fams = {"simhash": hashing.SimHash(1, 64, 64, 11), "simhash_third": hashing.SimHash(1, 64, 64, 11, sixths=2), "gaussian": hashing.GaussianHash(1, 64, 64, 11), "wta": hashing.WTA(1, 64, 64, 11, m=4)}
-    x = np.array(v.orderBy("id").toArrow().column("vec").to_pylist(), dtype=np.float64)
-    rng = np.random.default_rng(3)
-    base = x[:: max(1, len(x) // pairs_of)]
-    rows = []
-    for name, fam in fams.items():
-        noise = [(i, (base[i % len(base)] + s * rng.normal(0, 1 / 8, base.shape[1])).tolist(), i % len(base)) for i, s in enumerate(np.tile(np.repeat([0.0, 0.3, 0.6, 1.0, 2.0, 4.0], len(base)), 1))]
-        a = spark.createDataFrame([(i, b.tolist()) for i, b in enumerate(base)], "id long, vec array<float>")
-        b = spark.createDataFrame([(i, vec) for i, vec, _ in noise], "id long, vec array<float>")
-        ca, cb = fam.codes(a, "id", "vec"), fam.codes(b, "id", "vec").withColumnsRenamed({"id": "n_id", "code": "n_code"})
-        cos = {i: float(np.dot(vec, base[o]) / (np.linalg.norm(vec) * np.linalg.norm(base[o]))) for i, vec, o in noise}
-        link = spark.createDataFrame([(i, o, int(np.floor(min(0.999999, cos[i]) * 5))) for i, _, o in noise], "n_id long, id long, sim_bin int")
-        hits = cb.join(F.broadcast(link), "n_id").join(ca, ["id", "table_id"]).groupBy("sim_bin").agg(F.count(F.lit(1)).alias("n"), F.avg((F.col("code") == F.col("n_code")).cast("double")).alias("rate"))
-        rows += [(name, r.sim_bin, r.n, r.rate) for r in hits.collect()]
-    return spark.createDataFrame(rows, "family string, sim_bin int, n long, rate double")
+def family_curve(spark: SparkSession, sf_dir: str, levels: tuple[float, ...] = (0.0, 0.3, 0.6, 1.0, 2.0, 4.0)) -> DataFrame:
+    """How often codes of a single function agree, by cosine, for each family: family, sim_bin (fifths of cosine; of Jaccard for minhash), n, rate.
+
+    Every embedding is compared with itself under noise of each level, drawn by hashes of (id, level, place); all of it stays on the executors.
+    """
+    v = vectors(spark, sf_dir).select(F.col("id").cast("long").alias("id"), F.transform("vec", lambda x: x.cast("double")).alias("vec"))
+    noisy = v.withColumn("level", F.explode(F.array(*[F.lit(x) for x in levels])))
+    drawn = lambda i: (h32(3, F.col("id"), F.col("level").cast("string"), i) / 2.0**32 - 0.5) * (12**0.5 / 8)
+    noisy = noisy.withColumn("other", F.transform("vec", lambda x, i: x + F.col("level") * drawn(i)))
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+    cos = dot("vec", "other") / F.sqrt(dot("vec", "vec") * dot("other", "other"))
+    key = F.col("id") * len(levels) + F.array_position(F.array(*[F.lit(x) for x in levels]), F.col("level")).cast("long") - 1
+    both = noisy.select(key.alias("id"), "vec", "other", cos.alias("like"))
+    one, two = (both.select("id", F.transform(c, lambda x: x.cast("float")).alias("vec")) for c in ("vec", "other"))
+    sparse = lambda d: d.select("id", F.posexplode("vec").alias("idx", "val")).where("val > 0")  # noqa: E731  the positive part, as behind a rectifier
+    top = lambda d: d.select("id", hashing.support(F.col("vec"), 16).alias("vec"))
+    dense = {"simhash": hashing.SimHash(1, 64, 64, 11), "simhash_third": hashing.SimHash(1, 64, 64, 11, sixths=2), "gaussian": hashing.GaussianHash(1, 64, 64, 11), "wta": hashing.WTA(1, 64, 64, 11, m=4)}
+    made = {name: (fam.codes(one, "id", "vec"), fam.codes(two, "id", "vec")) for name, fam in dense.items()}
+    dwta, minhash = hashing.DWTA(1, 64, 64, 11, m=4), hashing.MinHash(1, 32, 0, 11)
+    made["dwta"] = tuple(dwta.codes_sparse(sparse(x)) for x in (one, two))
+    made["minhash"] = tuple(minhash.codes_set(top(x).select("id", F.explode("vec").alias("element")).withColumn("element", F.col("element").cast("string"))) for x in (one, two))
+    sets = top(one).withColumnRenamed("vec", "a").join(top(two).withColumnRenamed("vec", "b"), "id")
+    jaccard = sets.select("id", (F.size(F.array_intersect("a", "b")) / F.size(F.array_union("a", "b"))).alias("like"))
+    out = None
+    for name, (a, b) in made.items():
+        like = (jaccard if name == "minhash" else both).select("id", F.floor(F.least("like", F.lit(0.999999)) * 5).cast("int").alias("sim_bin"))
+        hits = a.join(b.withColumnRenamed("code", "code_b"), ["id", "table_id"]).join(like, "id")
+        rates = hits.groupBy("sim_bin").agg(F.count(F.lit(1)).alias("n"), F.avg((F.col("code") == F.col("code_b")).cast("double")).alias("rate")).select(F.lit(name).alias("family"), "sim_bin", "n", "rate")
+        out = rates if out is None else out.unionByName(rates)
+    return out
 
 
 def tables_sweep(spark: SparkSession, sf_dir: str, ks: tuple[int, ...] = (4, 6, 8), ls: tuple[int, ...] = (5, 20, 50)) -> DataFrame:

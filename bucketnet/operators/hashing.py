@@ -66,6 +66,14 @@ class HashFamily(ABC):
         return h32(*symbols)
 
 
+BROADCAST_ROWS = 2_000_000
+
+
+def small(rows: DataFrame, count: int) -> DataFrame:
+    """rows, of at most count small rows, marked for broadcast where that is few; else joined by a shuffle."""
+    return F.broadcast(rows) if count <= BROADCAST_ROWS else rows
+
+
 @dataclass(frozen=True)
 class SimHash(HashFamily):
     """Signs of projections on ternary directions; a projection of 0 counts as positive.
@@ -111,7 +119,7 @@ class SimHash(HashFamily):
 
     def project_sparse(self, features: DataFrame) -> DataFrame:
         """id, fn, s from features (id, idx, val): only stored coefficients of present features are touched."""
-        rel = F.broadcast(self.relation(features.sparkSession))  # functions x dim small rows
+        rel = small(self.relation(features.sparkSession), self.functions * self.dim * self.sixths // 6)
         q = features.withColumn("q", F.floor(F.col("val").cast("double") * GRID).cast("long"))
         return q.join(rel, "idx").groupBy("id", "fn").agg(F.sum(F.col("q") * F.col("coef")).alias("s"))
 
@@ -201,12 +209,11 @@ class DWTA(HashFamily):
     """WTA for sparse input: ceil(functions * m / dim) permutations, each cut into bins of m places.
 
     One pass over the non-zeros keeps each bin's largest value (of equal ones the first place). An empty
-    bin borrows from bins drawn by (bin, try) until one is filled, at most tries times, else symbol 0; an
+    bin borrows from the first filled one in an order of all bins that is its own, so a bin is never left empty; an
     input without non-zeros has code EMPTY in every table.
     """
 
     m: int = 8
-    tries: int = 3
 
     @property
     def radix(self) -> int:
@@ -234,25 +241,33 @@ class DWTA(HashFamily):
     def symbols(self, vec: Column) -> Column:
         raise NotImplementedError("DWTA hashes sparse rows: use codes_sparse")
 
+    def unit(self, fn: int) -> int:
+        """Bin b is tried by function fn at turn (b - fn) * unit modulo functions: a permutation, as the unit has no common factor with their number."""
+        u = h32_of(self.seed, "probe", fn) % self.functions
+        while math.gcd(u, self.functions) != 1:
+            u += 1
+        return u
+
     def filled(self, features: DataFrame) -> DataFrame:
         """id, fn, symbol of the bins that hold a non-zero."""
-        rel = F.broadcast(self.relation(features.sparkSession))
+        rel = small(self.relation(features.sparkSession), min(self.permutations * self.dim, self.functions * self.m))
         best = F.max_by("pos", F.struct(F.col("val"), -F.col("pos")))
         return features.where("val != 0").join(rel, "idx").groupBy("id", "fn").agg(best.alias("symbol"))
 
     def codes_sparse(self, features: DataFrame, densify: bool = True) -> DataFrame:
         """id, table_id, code from features (id, idx, val), with a row for each id that has any row."""
-        spark = features.sparkSession
         ids = features.select("id").distinct()
-        filled = self.filled(features)
-        by_id = filled.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("fn", "symbol"))).alias("have"))
-        rows = ids.join(by_id, "id", "left").join(F.broadcast(spark.range(self.functions).select(F.col("id").cast("int").alias("fn"))))
-        value = F.element_at("have", F.col("fn"))
+        by_id = self.filled(features).groupBy("id").agg(F.collect_list(F.struct("fn", "symbol")).alias("have"))
+        rows = ids.join(by_id, "id", "left")
+        wanted = F.array(*[F.struct(F.lit(f).alias("fn"), F.lit(self.unit(f)).cast("long").alias("u")) for f in range(self.functions)])
         if densify:
-            value = F.coalesce(value, *[F.element_at("have", (h32(self.seed, "probe", F.col("fn"), F.lit(t)) % self.functions).cast("int")) for t in range(self.tries)])
-        rows = rows.select("id", "fn", F.col("have").isNull().alias("nothing"), F.coalesce(value, F.lit(0)).alias("symbol"))
-        place = F.pow(F.lit(float(self.m)), F.col("fn") % self.k).cast("long")
-        packed = rows.groupBy("id", (F.col("fn") / self.k).cast("int").alias("table_id")).agg(F.sum(F.col("symbol") * place).alias("code"), F.max("nothing").alias("nothing"))
+            turn = lambda f, b: F.struct(F.pmod((b["fn"] - f["fn"]) * f["u"], F.lit(self.functions)).alias("turn"), b["symbol"].alias("symbol"))
+            symbols = F.transform(wanted, lambda f: F.array_min(F.transform("have", lambda b: turn(f, b)))["symbol"])
+        else:
+            symbols = F.transform(wanted, lambda f: F.coalesce(F.array_max(F.transform(F.filter("have", lambda b: b["fn"] == f["fn"]), lambda b: b["symbol"])), F.lit(0)))
+        rows = rows.select("id", F.col("have").isNull().alias("nothing"), symbols.alias("s"))
+        code = lambda t: F.aggregate(F.sequence(F.lit(0), F.lit(self.k - 1)), F.lit(0).cast("long"), lambda a, j: a + F.get("s", t * self.k + j) * F.pow(F.lit(float(self.m)), j).cast("long"))
+        packed = rows.select("id", "nothing", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(self.tables - 1)), lambda t: F.when(~F.col("nothing"), code(t)))).alias("table_id", "code"))
         return packed.select("id", "table_id", F.when(F.col("nothing"), F.lit(EMPTY).cast("long")).otherwise(F.col("code")).alias("code"))
 
 

@@ -113,6 +113,16 @@ class Refresh:
     def __init__(self, kind: str = "decay", n0: float = 50, decay: float = 0.1):
         self.kind, self.n0, self.decay, self.done, self.due = kind, n0, decay, 0, float(n0)
 
+    def next_after(self, iteration: int) -> float:
+        """The first iteration after this one at which a refresh is due."""
+        if self.kind == "never":
+            return math.inf
+        if self.kind == "every":
+            return iteration + 1
+        if self.kind == "fixed":
+            return (iteration // int(self.n0) + 1) * int(self.n0)
+        return max(iteration + 1, math.ceil(self.due - 1e-9))
+
     def fires(self, iteration: int) -> bool:
         if self.kind == "never":
             return False

@@ -16,7 +16,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bucketnet.functions.seeds import h32
-from bucketnet.plans.kernel import NetConf, Snapshot, Trainer
+from bucketnet.operators.index import Refresh
+from bucketnet.plans.kernel import HASHED, NetConf, Snapshot, Tables, Trainer
 
 SNAPSHOT_LIMIT = 8 << 30
 
@@ -61,33 +62,61 @@ class Rows:
         return feats, vals, off, labels, lab_off
 
 
+class Kept:
+    """The tables of a whole run and their calendar: refreshed between rounds, at the very iterations that are due."""
+
+    def __init__(self, conf: NetConf, snapshot: Snapshot):
+        self.tables = Tables(conf, snapshot.w_out) if conf.strategy in HASHED else None
+        self.clock = Refresh(conf.refresh, conf.n0, conf.decay)
+        self.touched = np.zeros(conf.labels, dtype=bool)
+        self.log: list[dict] = []
+
+    def steps(self, step: int, wanted: int) -> int:
+        """How many of the wanted steps come before the next refresh."""
+        return wanted if self.tables is None else int(min(wanted, self.clock.next_after(step) - step))
+
+    def after(self, snapshot: Snapshot, touched: np.ndarray) -> None:
+        if self.tables is None:
+            return
+        self.touched[touched] = True
+        if self.clock.fires(snapshot.step):
+            moved, hashed = self.tables.moved, self.tables.hashed
+            self.tables.refresh(snapshot.w_out, np.flatnonzero(self.touched))
+            self.log.append({"iteration": snapshot.step, "touched": int(self.touched.sum()), "moved": self.tables.moved - moved, "hash_operations": self.tables.hashed - hashed})
+            self.touched[:] = False
+
+
 @dataclass
 class Model:
     conf: NetConf
     snapshot: Snapshot
+    kept: Kept | None = None
 
     def save(self, spark, path: str) -> None:
-        """One Parquet row a weight row."""
+        """One Parquet row a weight row, with its Adam moments, and the step."""
         for name in ("w_in", "w_out"):
-            w = getattr(self.snapshot, name)
-            t = pa.table({"row": pa.array(np.arange(len(w))), "w": pa.array(list(w), pa.list_(pa.float32()))})
+            parts = {"w": getattr(self.snapshot, name), **{x: self.snapshot.moments[f"{name}.{x}"] for x in ("m", "v")}}
+            t = pa.table({"row": pa.array(np.arange(len(parts["w"]))), "step": pa.array(np.full(len(parts["w"]), self.snapshot.step)), **{k: pa.array(list(x), pa.list_(pa.float32())) for k, x in parts.items()}})
             spark.createDataFrame(t).write.mode("overwrite").parquet(f"{path}/{name}")
 
     @classmethod
     def load(cls, spark, path: str, conf: NetConf) -> Model:
-        w = {}
+        w, moments, step = {}, {}, 0
         for name in ("w_in", "w_out"):
             t = spark.read.parquet(f"{path}/{name}").orderBy("row").toArrow()
-            w[name] = np.array(t.column("w").to_pylist(), dtype=np.float32)
-        return cls(conf, Snapshot(w["w_in"], w["w_out"]).with_moments())
+            part = {k: np.array(t.column(k).to_pylist(), dtype=np.float32) for k in ("w", "m", "v")}
+            w[name], step = part["w"], int(t.column("step")[0].as_py())
+            moments |= {f"{name}.{k}": part[k] for k in ("m", "v")}
+        return cls(conf, Snapshot(w["w_in"], w["w_out"], moments, step))
 
 
-def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, resolve: str, weights: np.ndarray | None, turn: int) -> tuple[Snapshot, dict]:
-    """Every partition takes local_steps steps from the snapshot; deltas of touched rows are merged."""
-    if snapshot.size > SNAPSHOT_LIMIT:
-        raise ValueError(f"a snapshot of {snapshot.size} bytes is too large to broadcast; use plans.shards")
+def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, resolve: str, weights: np.ndarray | None, turn: int, tables: Tables | None = None) -> tuple[Snapshot, dict]:
+    """Every partition takes local_steps steps from the snapshot, with the tables given; deltas of touched rows are merged."""
+    size = snapshot.size + (tables.nbytes if tables is not None else 0)
+    if size > SNAPSHOT_LIMIT:
+        raise ValueError(f"a snapshot of {size} bytes is too large to broadcast; use plans.shards")
     spark = df.sparkSession
-    shared = spark.sparkContext.broadcast((snapshot, weights))
+    shared = spark.sparkContext.broadcast((snapshot, weights, tables))
     width = conf.hidden
     cols = [f"d{i}" for i in range(width)]
 
@@ -100,18 +129,14 @@ def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, r
         names = ["layer", "row", "writer", *cols]
         if rows is None or rows.n == 0:
             return
-        start, label_weights = shared.value
-        trainer = Trainer(conf, start.copy(), label_weights)
+        start, label_weights, given = shared.value
+        trainer = Trainer(conf, start.copy(), label_weights, given)
         rng = np.random.default_rng((conf.seed, turn, part))
         loss, touched = 0.0, {"w_in": [], "w_out": []}
         for _ in range(local_steps):
             pick = np.sort(rng.choice(rows.n, size=min(conf.batch, rows.n), replace=False))
-            before = trainer.at.step
-            grads, one = trainer.gradients(*rows.take(pick))
-            trainer.apply(grads)
-            assert trainer.at.step == before + 1
-            loss += one / local_steps
-            for name, (r, _) in grads.items():
+            loss += trainer.step(*rows.take(pick)) / local_steps
+            for name, r in trainer.rows_touched.items():
                 touched[name].append(r)
         for layer, name in enumerate(("w_in", "w_out")):
             r = np.unique(np.concatenate(touched[name])) if touched[name] else np.zeros(0, np.int64)
@@ -146,31 +171,40 @@ def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, r
     new.step += local_steps
     note = d[layer == 9].sum(axis=0) if (layer == 9).any() else np.zeros(max(4, width))
     tasks = max(1.0, note[3])
-    return new, {"loss": note[0] / tasks, "active_mean": note[1] / max(1.0, note[2])}
+    shared.unpersist()
+    return new, {"loss": note[0] / tasks, "active_mean": note[1] / max(1.0, note[2]), "touched": np.unique(row[layer == 1])}
 
 
 def train(df: DataFrame, conf: NetConf, rounds: int, local_steps: int = 1, resolve: str = "mean", start: Snapshot | None = None, test: DataFrame | None = None, eval_every: int = 0, run_id: str = "run") -> tuple[Model, list[dict]]:
     """Rounds of _round over the partitions of df, which are kept (memory and disk); the run log has a row each eval_every rounds.
 
-    local_steps 1 with one partition is plain batch training; more partitions or steps are stale, unsynchronised updates.
+    local_steps 1 with one partition is plain batch training; more partitions or steps are stale, unsynchronised updates. Tables,
+    projections and calendar live as long as the run (Model.kept): a round ends where a refresh is due, and then entries of touched labels move.
     """
     df = df.persist()
     snapshot = start or Snapshot.start(conf)
+    kept = Kept(conf, snapshot)
     weights = None
     if conf.weighted:
         freq = df.select(F.explode("labels").alias("l")).groupBy("l").count().toArrow()
         weights = np.ones(conf.labels)
         weights[freq.column("l").to_numpy()] += freq.column("count").to_numpy()
     log, began, spent = [], time.time(), 0.0
+    part = 0
     for turn in range(rounds):
-        snapshot, info = _round(df, conf, snapshot, local_steps, resolve, weights, turn)
+        left = local_steps
+        while left:
+            n = kept.steps(snapshot.step, left)
+            snapshot, info = _round(df, conf, snapshot, n, resolve, weights, part, kept.tables)
+            kept.after(snapshot, info.pop("touched"))
+            left, part = left - n, part + 1
         if eval_every and test is not None and (turn + 1) % eval_every == 0:
             t = time.time()
             p = accuracy(predict(test, Model(conf, snapshot), 1), test)
             spent += time.time() - t
             log.append({"run_id": run_id, "iteration": snapshot.step, "wall_ms": int(1000 * (time.time() - began - spent)), "p_at_1": p, "active_frac": info["active_mean"] / conf.labels, **info})
     df.unpersist()
-    return Model(conf, snapshot), log
+    return Model(conf, snapshot, kept), log
 
 
 def predict(df: DataFrame, model: Model, k: int, mode: str = "exact") -> DataFrame:
@@ -179,7 +213,7 @@ def predict(df: DataFrame, model: Model, k: int, mode: str = "exact") -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        trainer = Trainer(m.conf, m.snapshot)
+        trainer = Trainer(m.conf, m.snapshot, None, m.kept.tables if m.kept else None)
         for b in batches:
             for i in range(0, b.num_rows, 256):
                 part = b.slice(i, 256)

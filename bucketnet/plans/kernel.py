@@ -28,6 +28,8 @@ class NetConf:
     tables: int = 20
     beta: int = 50
     threshold: int = 2
+    family: str = "simhash"  # or wta, dwta, minhash: k symbols of m values a table
+    m: int = 4
     cap: int | None = None
     policy: str = "reservoir"
     force_labels: bool = True
@@ -80,61 +82,151 @@ class Snapshot:
         return self.w_in.nbytes + self.w_out.nbytes + sum(m.nbytes for m in self.moments.values())
 
 
-class Tables:
-    """Simhash tables over weight vectors, refreshed for touched labels alone."""
+class Functions:
+    """The hash functions of a configuration over dense vectors, for a whole batch at once: codes, one a table."""
 
-    def __init__(self, conf: NetConf, w: np.ndarray):
+    CHUNK = 4096
+
+    def __init__(self, conf: NetConf):
         self.conf = conf
+        if conf.family not in ("simhash", "wta", "dwta", "minhash"):
+            raise ValueError(f"no such family: {conf.family}")
         rng = np.random.default_rng(h32_of(conf.seed, "tables"))
-        self.directions = rng.choice([-1.0, 0.0, 1.0], size=(conf.hidden, conf.k * conf.tables), p=[1 / 3, 1 / 3, 1 / 3]).astype(np.float32)
-        self.projections = w @ self.directions
-        self.seen = w.copy() if conf.incremental else None
-        self.moved = self.hashed = 0
+        n = conf.k * conf.tables
+        self.radix = 2 if conf.family == "simhash" else conf.m
+        self.buckets = self.radix**conf.k
+        if self.buckets * conf.tables >= 1 << 31:
+            raise ValueError("too many buckets: lower k, m or tables")
+        if conf.family == "simhash":
+            self.directions = rng.choice([-1.0, 0.0, 1.0], size=(conf.hidden, n), p=[1 / 3, 1 / 3, 1 / 3]).astype(np.float32)
+        elif conf.family == "minhash":
+            self.ranks = np.argsort(rng.random((n, conf.hidden)), axis=1).astype(np.int32)
+        else:  # permutations cut into bins of m coordinates
+            per = max(1, conf.hidden // conf.m)
+            orders = [rng.permutation(conf.hidden)[: per * conf.m].reshape(per, -1) for _ in range(-(-n // per))]
+            self.bins = np.concatenate(orders)[:n]
+            self.unit = np.array([next(u for u in range(h32_of(conf.seed, "unit", f) % n, 2 * n + 2) if np.gcd(u, n) == 1) for f in range(n)])
+
+    def symbols(self, x: np.ndarray) -> np.ndarray:
+        c = self.conf
+        if c.family == "minhash":  # the set: the places of a quarter of the coordinates, the largest ones
+            t = max(1, c.hidden // 4)
+            member = np.zeros(x.shape, dtype=bool)
+            np.put_along_axis(member, np.argsort(-x, axis=1, kind="stable")[:, :t], True, axis=1)
+            out = np.empty((len(x), len(self.ranks)), dtype=np.int64)
+            for f, r in enumerate(self.ranks):
+                out[:, f] = np.where(member, r, c.hidden).argmin(axis=1) % c.m
+            return out
+        seen = x[:, self.bins]
+        out = seen.argmax(axis=2)
+        if c.family == "dwta":  # a bin of zeros borrows from the first other one in its own order of all bins
+            n = out.shape[1]
+            empty, own = ~seen.any(axis=2), out.copy()
+            i, f = np.nonzero(empty & ~empty.all(axis=1)[:, None])
+            turn = 1
+            inverse = np.array([pow(int(u), -1, n) if n > 1 else 0 for u in self.unit])
+            while len(i):
+                b = (f + turn * inverse[f]) % n
+                hit = ~empty[i, b]
+                out[i[hit], f[hit]] = own[i[hit], b[hit]]
+                i, f, turn = i[~hit], f[~hit], turn + 1
+        return out
+
+    def of_projections(self, projections: np.ndarray) -> np.ndarray:
+        return (projections >= 0).reshape(len(projections), self.conf.tables, self.conf.k) @ (1 << np.arange(self.conf.k))
+
+    def __call__(self, x: np.ndarray) -> np.ndarray:
+        if self.conf.family == "simhash":
+            return self.of_projections(x @ self.directions)
+        weight = self.radix ** np.arange(self.conf.k)
+        out = [self.symbols(x[i : i + self.CHUNK]).reshape(-1, self.conf.tables, self.conf.k) @ weight for i in range(0, len(x), self.CHUNK)]
+        return np.concatenate(out) if out else np.zeros((0, self.conf.tables), dtype=np.int64)
+
+
+class Tables:
+    """Hash tables over weight vectors, kept over a whole run: a refresh moves only entries whose code has changed.
+
+    An entry's word is its bucket above and its rank below: with a cap a bucket holds its first cap entries, by a hash of (entry,
+    insertion) for the reservoir, by the last insertion for FIFO, where a moved entry is inserted anew.
+    """
+
+    def __init__(self, conf: NetConf, w: np.ndarray):
+        self.conf, self.functions = conf, Functions(conf)
+        memo = conf.incremental and conf.family == "simhash"
+        self.seen = w.copy() if memo else None
+        self.projections = w @ self.functions.directions if memo else None
+        self.code = self.functions.of_projections(self.projections) if memo else self.functions(w)
+        self.moved = self.hashed = self.insertion = 0
         self._fill()
 
-    def codes(self, projections: np.ndarray) -> np.ndarray:
-        bits = (projections >= 0).reshape(len(projections), self.conf.tables, self.conf.k)
-        return bits @ (1 << np.arange(self.conf.k))
+    @property
+    def nbytes(self) -> int:
+        return sum(x.nbytes for x in (self.code, self.entry, self.order, self.ids, self.keys, self.seen, self.projections) if x is not None)
+
+    def _words(self, label: np.ndarray, table: np.ndarray) -> np.ndarray:
+        key = (self.code[label, table] + table * self.functions.buckets).astype(np.uint64) << np.uint64(32)
+        if self.conf.cap is not None and self.conf.policy == "reservoir":
+            h = (label * self.conf.tables + table).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(h32_of(self.conf.seed, "priority", self.insertion))
+            h = (h ^ (h >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)
+            return key | (h >> np.uint64(32))
+        return key | (np.uint64(2**32 - 1) - np.uint64(self.insertion * len(self.code)) - label.astype(np.uint64))  # the last insertion first
 
     def _fill(self) -> None:
-        c = self.conf
-        codes = self.codes(self.projections)
-        self.code = codes
-        key = codes + np.arange(c.tables) * (1 << c.k)
-        ids = np.repeat(np.arange(len(codes)), c.tables)
-        key = key.ravel()
-        if c.cap is None:
-            order = np.argsort(key, kind="stable")
-        else:
-            rank_by = np.random.default_rng(c.seed).random(len(key)) if c.policy == "reservoir" else -ids.astype(float)
-            order = np.lexsort((rank_by, key))
-            begin = np.searchsorted(key[order], key[order])
-            order = order[np.arange(len(order)) - begin < c.cap]
-        self.ids = ids[order].astype(np.int64)
-        self.start = np.searchsorted(key[order], np.arange(c.tables * (1 << c.k) + 1))
+        n, t = self.code.shape
+        self.entry = self._words(np.repeat(np.arange(n), t), np.tile(np.arange(t), n))
+        self.order = np.argsort(self.entry, kind="stable")
+        self._bound()
+
+    def _bound(self) -> None:
+        keys = self.entry[self.order] >> np.uint64(32)
+        kept = self.order
+        if self.conf.cap is not None:
+            near = np.arange(len(keys)) - np.searchsorted(keys, keys) < self.conf.cap
+            keys, kept = keys[near], kept[near]
+        self.keys, self.ids = keys.astype(np.int64), kept // self.conf.tables
 
     def refresh(self, w: np.ndarray, touched: np.ndarray) -> None:
-        """Touched labels get new projections: the old ones plus those of the change, or from scratch."""
+        """Touched labels get new codes, from the old projections plus those of the change or from scratch; entries with another code move."""
         if len(touched) == 0:
             return
-        old = self.code[touched]
         if self.seen is not None:
             change = w[touched] - self.seen[touched]
             live = np.flatnonzero(np.any(change != 0, axis=0))
-            self.projections[touched] += change[:, live] @ self.directions[live]
+            self.projections[touched] += change[:, live] @ self.functions.directions[live]
             self.seen[touched] = w[touched]
-            self.hashed += len(touched) * len(live) * self.directions.shape[1]
+            self.hashed += len(touched) * len(live) * self.functions.directions.shape[1]
+            new = self.functions.of_projections(self.projections[touched])
+        elif self.conf.incremental:
+            new = self.functions(w[touched])
+            self.hashed += len(touched) * w.shape[1] * self.conf.k * self.conf.tables
         else:
-            self.projections = w @ self.directions
-            self.hashed += w.size * self.directions.shape[1]
-        self.moved += int((self.codes(self.projections[touched]) != old).sum())
-        self._fill()
+            touched, new = np.arange(len(w)), self.functions(w)
+            self.hashed += w.size * self.conf.k * self.conf.tables
+        row, table = np.nonzero(new != self.code[touched])
+        self.moved += len(row)
+        if len(row) == 0:
+            return
+        label = touched[row]
+        self.code[label, table] = new[row, table]
+        self.insertion += 1
+        if (self.insertion + 1) * len(self.code) >= 2**32:
+            self.insertion = 0  # numbers begin again, in order of label
+            return self._fill()
+        at = label * self.conf.tables + table
+        self.entry[at] = self._words(label, table)
+        gone = np.zeros(len(self.entry), dtype=bool)
+        gone[at] = True
+        rest = self.order[~gone[self.order]]
+        at = at[np.argsort(self.entry[at], kind="stable")]
+        self.order = np.insert(rest, np.searchsorted(self.entry[rest], self.entry[at]), at)
+        return self._bound()
 
     def pairs(self, hidden: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(instance, table, label) of all probed bucket entries."""
         c = self.conf
-        key = self.codes(hidden @ self.directions) + np.arange(c.tables) * (1 << c.k)
-        lo, n = self.start[key].ravel(), (self.start[key + 1] - self.start[key]).ravel()
+        key = (self.functions(hidden) + np.arange(c.tables) * self.functions.buckets).ravel()
+        lo = np.searchsorted(self.keys, key)
+        n = np.searchsorted(self.keys, key + 1) - lo
         total = int(n.sum())
         at = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(total)
         cell = np.repeat(np.arange(key.size), n)
@@ -203,19 +295,23 @@ def _sum_rows(rows: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return k[at], np.add.reduceat(rows[order], at, axis=0) if len(at) else rows[:0]
 
 
+HASHED = ("union", "vanilla", "topk", "threshold", "intersect")
+
+
 class Trainer:
-    """One learner with its own tables: forward, backward, update."""
+    """One learner: forward, backward, update. Its tables are its own, kept by the calendar, or given, and then whoever gave them keeps them."""
 
-    def __init__(self, conf: NetConf, snapshot: Snapshot, label_weights: np.ndarray | None = None):
+    def __init__(self, conf: NetConf, snapshot: Snapshot, label_weights: np.ndarray | None = None, tables: Tables | None = None):
         from bucketnet.operators.index import Refresh
 
         self.conf, self.at, self.weights = conf, snapshot, label_weights
-        hashes = conf.strategy in ("union", "vanilla", "topk", "threshold", "intersect")
-        self.tables = Tables(conf, snapshot.w_out) if hashes else None
-        self.clock = Refresh(conf.refresh, conf.n0, conf.decay)
+        self.tables = tables if tables is not None else Tables(conf, snapshot.w_out) if conf.strategy in HASHED else None
+        self.clock = Refresh(conf.refresh, conf.n0, conf.decay) if tables is None else None
         self.touched = np.zeros(conf.labels, dtype=bool)
         self.active = self.instances = 0
         self.refreshes = 0
+        self.pairs_used: tuple | None = None
+        self.rows_touched: dict[str, np.ndarray] = {}
 
     def hidden(self, feats: np.ndarray, vals: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         out = np.zeros((len(offsets) - 1, self.conf.hidden), dtype=np.float32)
@@ -224,8 +320,8 @@ class Trainer:
             out[has] = np.add.reduceat(self.at.w_in[feats] * vals[:, None], offsets[:-1][has], axis=0)
         return np.maximum(out, 0)
 
-    def gradients(self, feats, vals, offsets, labels, label_offsets) -> tuple[dict[str, tuple[np.ndarray, np.ndarray]], float]:
-        """{layer: (rows, gradient)} of the mean loss of the batch over touched rows, and that loss."""
+    def gradients(self, feats, vals, offsets, labels, label_offsets, pairs: tuple | None = None) -> tuple[dict[str, tuple[np.ndarray, np.ndarray]], float]:
+        """{layer: (rows, gradient)} of the mean loss of the batch over touched rows, and that loss. pairs: the active set of an earlier call, taken again and not counted."""
         conf, b = self.conf, len(offsets) - 1
         h = self.hidden(feats, vals, offsets)
         own = np.repeat(np.arange(b), np.diff(label_offsets)), labels
@@ -239,14 +335,18 @@ class Trainer:
             loss = -(share[own[0]] * np.log(p[own] + 1e-30)).sum() / b
             p[own] -= share[own[0]]
             p /= b
-            self.active += b * conf.labels
-            self.instances += b
+            if pairs is None:
+                self.active += b * conf.labels
+                self.instances += b
+            self.pairs_used = ()
             back = (p @ w) * (h > 0)
             rows_out, g_out = np.arange(conf.labels), p.T @ h
         else:
-            inst, lab, incl = choose(conf, self.tables, h, w, own, self.at.step, self.weights, True)
-            self.active += len(inst)
-            self.instances += b
+            if pairs is None:
+                pairs = choose(conf, self.tables, h, w, own, self.at.step, self.weights, True)
+                self.active += len(pairs[0])
+                self.instances += b
+            inst, lab, incl = self.pairs_used = pairs
             z = np.einsum("pd,pd->p", w[lab], h[inst])
             if incl is not None:
                 z = z - np.log(incl[lab])
@@ -288,7 +388,7 @@ class Trainer:
             m[rows] = 0.9 * m[rows] + 0.1 * g
             v[rows] = 0.999 * v[rows] + 0.001 * g * g
             w[rows] -= conf.rate * (m[rows] / (1 - 0.9**s.step)) / (np.sqrt(v[rows] / (1 - 0.999**s.step)) + 1e-8)
-        if self.tables is not None and "w_out" in grads:
+        if self.tables is not None and self.clock is not None and "w_out" in grads:
             self.touched[grads["w_out"][0]] = True
             if self.clock.fires(s.step):
                 self.tables.refresh(s.w_out, np.flatnonzero(self.touched))
@@ -296,30 +396,36 @@ class Trainer:
                 self.refreshes += 1
 
     def step(self, feats, vals, offsets, labels, label_offsets) -> float:
-        """One batch. propagate after: the output layer moves before errors go through it."""
+        """One batch; its touched rows by layer stay in rows_touched. propagate after: the output layer moves before errors go through it, over the same active set."""
         grads, loss = self.gradients(feats, vals, offsets, labels, label_offsets)
         if self.conf.propagate == "after" and grads:
             self.apply({"w_out": grads["w_out"]})
-            again, _ = self.gradients(feats, vals, offsets, labels, label_offsets)
+            again, _ = self.gradients(feats, vals, offsets, labels, label_offsets, self.pairs_used)
             self.at.step -= 1
             self.apply({"w_in": again["w_in"]})
         else:
             self.apply(grads)
+        self.rows_touched = {name: r for name, (r, _) in grads.items()}
         return loss
 
     def predict(self, feats, vals, offsets, k: int, sampled: bool = False) -> tuple[np.ndarray, np.ndarray]:
         """The k best labels of each instance and their logits; sampled: among active labels alone (-1 where there are fewer)."""
         h = self.hidden(feats, vals, offsets)
-        if not sampled or self.tables is None:
-            z = h @ self.at.w_out.T
-        else:
+        b = len(h)
+        if sampled and self.tables is not None:  # the retrieved pairs alone are ranked
             none = np.zeros(0, dtype=np.int64)
             inst, lab, _ = choose(self.conf, self.tables, h, self.at.w_out, (none, none), 0, None, False)
-            z = np.full((len(h), self.conf.labels), -np.inf, dtype=np.float32)
-            z[inst, lab] = np.einsum("pd,pd->p", self.at.w_out[lab], h[inst])
+            z = np.einsum("pd,pd->p", self.at.w_out[lab], h[inst])
+            order = np.lexsort((lab, -z, inst))
+            inst, lab, z = inst[order], lab[order], z[order]
+            rank = np.arange(len(inst)) - np.searchsorted(inst, inst)
+            top, value = np.full((b, k), -1, dtype=np.int64), np.full((b, k), -np.inf, dtype=np.float32)
+            near = rank < k
+            top[inst[near], rank[near]], value[inst[near], rank[near]] = lab[near], z[near]
+            return top, value
+        z = h @ self.at.w_out.T
         k = min(k, z.shape[1])
         top = np.argpartition(-z, k - 1, axis=1)[:, :k]
         value = np.take_along_axis(z, top, axis=1)
         order = np.argsort(-value, axis=1, kind="stable")
-        top, value = np.take_along_axis(top, order, axis=1), np.take_along_axis(value, order, axis=1)
-        return np.where(np.isfinite(value), top, -1), value
+        return np.take_along_axis(top, order, axis=1), np.take_along_axis(value, order, axis=1)

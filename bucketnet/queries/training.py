@@ -573,3 +573,89 @@ def q_tables_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     from bucketnet import experiments
 
     return experiments.tables_sweep(spark, sf_dir)
+
+
+@query("SELECT t, at_iteration FROM (SELECT t, CAST(ceil(sum(50 * exp(0.1 * (t - 1))) OVER (ORDER BY t) - 1e-9) AS BIGINT) AS at_iteration FROM (SELECT range AS t FROM range(1, 60))) WHERE at_iteration <= 180")
+def q_train_refreshes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The iterations at which the tables of a real run were refreshed are those of the calendar."""
+    from bucketnet import experiments
+
+    return experiments.refresh_log(spark, sf_dir).select("t", "at_iteration")
+
+
+@query()
+def q_train_families(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from bucketnet import experiments
+
+    return experiments.family_arms(spark, sf_dir).drop("wall_ms")
+
+
+@query()
+def q_train_share_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from bucketnet import experiments
+
+    return experiments.share_sweep(spark, sf_dir).drop("wall_ms")
+
+
+@query()
+def q_train_word_tagging(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Many labels an instance."""
+    from bucketnet import experiments
+
+    return experiments.trained_workload(spark, sf_dir, "word_tagging", 2).drop("wall_ms")
+
+
+@query()
+def q_train_copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parts to parts."""
+    from bucketnet import experiments
+
+    return experiments.trained_workload(spark, sf_dir, "copurchase", 2).drop("wall_ms")
+
+
+@query()
+def q_train_roles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Roles of conversations."""
+    from bucketnet import experiments
+
+    return experiments.trained_workload(spark, sf_dir, "role", 2).drop("wall_ms")
+
+
+@query()
+def q_update_heuristics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W13."""
+    from bucketnet import experiments
+
+    return experiments.update_heuristics(spark, sf_dir, 2, 30).drop("wall_ms")
+
+
+@query()
+def q_batch_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W7, C18."""
+    from bucketnet import experiments
+
+    return experiments.batch_sweep(spark, sf_dir, rounds=2, local_steps=20).drop("wall_ms")
+
+
+@query()
+def q_asynchrony(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W15."""
+    from bucketnet import experiments
+
+    return experiments.asynchrony(spark, sf_dir, 2, 20).drop("wall_ms")
+
+
+@query()
+def q_strategy_times(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Times are of the machine; recall and mean product are not."""
+    from bucketnet import experiments
+
+    return experiments.strategy_times(spark, sf_dir).select("strategy", "beta", "mean_chosen", "recall", "mean_product")
+
+
+@query()
+def q_run_time_to_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W5, C3-C5 of real runs, one seed."""
+    from bucketnet import experiments
+
+    return experiments.time_to_accuracy(spark, sf_dir, seeds=(1,), rounds=4).select("run_id", "iteration", "best_p_at_1")

@@ -3,7 +3,7 @@ from dataclasses import replace
 import numpy as np
 import pytest
 
-from bucketnet.plans.kernel import NetConf, Snapshot, Tables, Trainer, choose
+from bucketnet.plans.kernel import Functions, NetConf, Snapshot, Tables, Trainer, choose
 
 CONF = NetConf(30, 6, 12, strategy="dense", rate=0.01, batch=8)
 
@@ -60,7 +60,7 @@ def test_strategies_against_plain_loops():
     none = np.zeros(0, np.int64)
     conf = NetConf(1, 8, 200, strategy="union", k=3, tables=5, beta=15, threshold=2)
     t = Tables(conf, w)
-    cw, ch = t.codes(w @ t.directions), t.codes(h @ t.directions)
+    cw, ch = t.code, t.functions(h)
     freq = (cw[None] == ch[:, None]).sum(axis=2)
     pairs = lambda s: set(zip(*[x.tolist() for x in choose(replace(conf, strategy=s), t, h, w, (none, none), 3, None, False)[:2]], strict=True))
     assert pairs("union") == set(zip(*np.nonzero(freq > 0), strict=True))
@@ -87,14 +87,88 @@ def test_refresh_touched_only_is_complete():
     w2[[3, 7]] += rng.normal(size=(2, 8)).astype(np.float32)
     t.refresh(w2, np.array([3, 7]))
     fresh = Tables(conf, w2)
-    assert (t.codes(t.projections) == fresh.codes(fresh.projections)).mean() > 0.99
+    assert (t.code == fresh.code).mean() > 0.99
+    assert set(zip(t.keys.tolist(), t.ids.tolist(), strict=True)) == {(int(t.code[i, j]) + j * 8, i) for i in range(50) for j in range(4)}
+    before = t.moved
+    t.refresh(w2, np.arange(50))
+    assert t.moved == before
+
+
+@pytest.mark.parametrize("family", ["simhash", "wta", "dwta", "minhash"])
+@pytest.mark.parametrize("change", [{}, {"cap": 5, "policy": "reservoir"}, {"cap": 5, "policy": "fifo"}, {"incremental": False}])
+def test_moved_tables_are_new_tables(family, change):
+    """After any refreshes entries stand where a sort of all of them would put them."""
+    rng = np.random.default_rng(5)
+    w = rng.normal(size=(80, 16)).astype(np.float32)
+    conf = NetConf(1, 16, 80, k=2, tables=3, family=family, **change)
+    t = Tables(conf, w.copy())
+    for _ in range(6):
+        touched = np.unique(rng.integers(0, 80, 20))
+        w[touched] += rng.normal(0, 0.6, (len(touched), 16)).astype(np.float32)
+        t.refresh(w, touched)
+        entry, keys, ids = t.entry.copy(), t.keys.copy(), t.ids.copy()
+        order = np.argsort(entry, kind="stable")
+        assert (entry[t.order] == entry[order]).all()
+        t._bound()
+        assert (t.keys == keys).all() and (t.ids == ids).all()
+        assert (t.code == t.functions(w)).mean() > 0.99
+    assert t.moved > 0
+    if "cap" in change:
+        assert np.unique(t.keys, return_counts=True)[1].max() <= 5
+
+
+def test_last_inserted_stay_in_a_fifo_bucket():
+    conf = NetConf(1, 4, 10, k=1, tables=1, cap=3, policy="fifo")
+    w = np.ones((10, 4), dtype=np.float32)
+    t = Tables(conf, w.copy())
+    assert sorted(t.ids.tolist()) == [7, 8, 9]
+    there = w.copy()
+    there[2] *= -1
+    t.refresh(there, np.array([2]))
+    t.refresh(w, np.array([2]))  # back again: the last to come
+    assert 2 in t.ids.tolist() or t.moved == 0
+
+
+def test_dwta_borrows_from_filled_bins():
+    conf = NetConf(1, 64, 5, k=2, tables=8, family="dwta", m=4)
+    f = Functions(conf)
+    x = np.zeros((3, 64), dtype=np.float32)
+    x[0, :5], x[1, 7] = [3, 1, 2, 5, 4], 1
+    s = f.symbols(x)
+    for i in (0, 1):
+        seen = x[i][f.bins]
+        filled = {b for b in range(16) if seen[b].any()}
+        for b in range(16):
+            src = b if b in filled else min(filled, key=lambda y, b=b: (y - b) * int(f.unit[b]) % 16) if filled else None
+            assert src is None or s[i, b] == seen[src].argmax()
+    assert (s[2] == 0).all()
+
+
+def test_sampled_inference_ranks_retrieved_pairs():
+    conf = replace(CONF, strategy="union", k=2, tables=4)
+    tr = Trainer(conf, Snapshot.start(conf))
+    data = batch(3)
+    top, value = tr.predict(*data[:3], 4, True)
+    h = tr.hidden(*data[:3])
+    none = np.zeros(0, np.int64)
+    inst, lab, _ = choose(conf, tr.tables, h, tr.at.w_out, (none, none), 0, None, False)
+    for i in range(len(h)):
+        mine = sorted(lab[inst == i].tolist(), key=lambda x: -float(tr.at.w_out[x] @ h[i]))[:4]
+        assert top[i][top[i] >= 0].tolist() == mine
+
+
+def test_propagate_after_uses_one_active_set():
+    conf = replace(CONF, strategy="vanilla", k=2, tables=3, beta=4, propagate="after", refresh="every")
+    tr = Trainer(conf, Snapshot.start(conf))
+    tr.step(*batch(2))
+    assert tr.instances == 5 and tr.at.step == 1
 
 
 @pytest.mark.parametrize("policy", ["reservoir", "fifo"])
 def test_buckets_are_bounded(policy):
     conf = NetConf(1, 4, 100, k=1, tables=3, cap=7, policy=policy)
     t = Tables(conf, np.ones((100, 4), dtype=np.float32))
-    assert np.diff(t.start).max() == 7
+    assert np.unique(t.keys, return_counts=True)[1].max() == 7
     if policy == "fifo":
         assert set(t.ids.tolist()) == set(range(93, 100))
 
