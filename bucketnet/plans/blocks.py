@@ -110,7 +110,7 @@ class Model:
         return cls(conf, Snapshot(w["w_in"], w["w_out"], moments, step))
 
 
-def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, resolve: str, weights: np.ndarray | None, turn: int, tables: Tables | None = None) -> tuple[Snapshot, dict]:
+def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, resolve: str, weights: np.ndarray | None, turn: int, tables: Tables | None = None, alone: bool = False) -> tuple[Snapshot, dict]:
     """Every partition takes local_steps steps from the snapshot, with the tables given; deltas of touched rows are merged."""
     size = snapshot.size + (tables.nbytes if tables is not None else 0)
     if size > SNAPSHOT_LIMIT:
@@ -148,7 +148,9 @@ def _round(df: DataFrame, conf: NetConf, snapshot: Snapshot, local_steps: int, r
         yield pa.RecordBatch.from_arrays([pa.array(np.array([9], dtype=np.int32)), pa.array(np.array([0])), pa.array(np.array([part], dtype=np.int32)), *[pa.array([float(x)]) for x in note]], names)
 
     deltas = df.mapInArrow(run, "layer int, row long, writer int, " + ", ".join(f"{c} double" for c in cols))
-    if resolve == "random_one":
+    if alone:  # one learner: nothing to merge
+        merged = deltas
+    elif resolve == "random_one":
         pick = F.max_by(F.struct(*cols), F.struct(h32(conf.seed, turn, F.col("writer"), F.col("row")), "writer")).alias("s")
         sums = [F.sum(c).alias(f"s{i}") for i, c in enumerate(cols)]
         merged = deltas.groupBy("layer", "row").agg(pick, *sums)
@@ -183,7 +185,7 @@ def train(df: DataFrame, conf: NetConf, rounds: int, local_steps: int = 1, resol
     """
     df = df.persist()
     snapshot = start or Snapshot.start(conf)
-    kept = Kept(conf, snapshot)
+    kept, alone = Kept(conf, snapshot), df.rdd.getNumPartitions() == 1
     weights = None
     if conf.weighted:
         freq = df.select(F.explode("labels").alias("l")).groupBy("l").count().toArrow()
@@ -195,7 +197,7 @@ def train(df: DataFrame, conf: NetConf, rounds: int, local_steps: int = 1, resol
         left = local_steps
         while left:
             n = kept.steps(snapshot.step, left)
-            snapshot, info = _round(df, conf, snapshot, n, resolve, weights, part, kept.tables)
+            snapshot, info = _round(df, conf, snapshot, n, resolve, weights, part, kept.tables, alone)
             kept.after(snapshot, info.pop("touched"))
             left, part = left - n, part + 1
         if eval_every and test is not None and (turn + 1) % eval_every == 0:
