@@ -254,6 +254,13 @@ class DWTA(HashFamily):
         best = F.max_by("pos", F.struct(F.col("val"), -F.col("pos")))
         return features.where("val != 0").join(rel, "idx").groupBy("id", "fn").agg(best.alias("symbol"))
 
+    def tries(self, features: DataFrame) -> DataFrame:
+        """id, tries: how many other bins the empty bins of an input ask before they borrow, for inputs with a filled bin."""
+        wanted = F.array(*[F.struct(F.lit(f).alias("fn"), F.lit(self.unit(f)).cast("long").alias("u")) for f in range(self.functions)])
+        have = self.filled(features).groupBy("id").agg(F.collect_list("fn").alias("have"))
+        turns = F.transform(wanted, lambda f: F.array_min(F.transform("have", lambda b: F.pmod((b - f["fn"]) * f["u"], F.lit(self.functions)))))
+        return have.select("id", F.aggregate(turns, F.lit(0).cast("long"), lambda a, x: a + x).alias("tries"))
+
     def codes_sparse(self, features: DataFrame, densify: bool = True) -> DataFrame:
         """id, table_id, code from features (id, idx, val), with a row for each id that has any row."""
         ids = features.select("id").distinct()

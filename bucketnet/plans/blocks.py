@@ -44,10 +44,9 @@ class Rows:
     """A partition's instances as flat arrays, read batch by batch."""
 
     def __init__(self, batches: list[pa.RecordBatch]):
-        t = pa.Table.from_batches(batches).combine_chunks()
-        b = t.to_batches()[0] if t.num_rows else None
-        self.n = t.num_rows
+        self.n = sum(b.num_rows for b in batches)
         if self.n:
+            b = pa.Table.from_batches(batches).combine_chunks().to_batches()[0]
             self.feats, self.vals, self.off = flat(b, ("feats", "vals"))
             self.labels, self.lab_off = flat(b, ("labels", ""))
 

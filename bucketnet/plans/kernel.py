@@ -150,12 +150,12 @@ class Tables:
     insertion) for the reservoir, by the last insertion for FIFO, where a moved entry is inserted anew.
     """
 
-    def __init__(self, conf: NetConf, w: np.ndarray):
+    def __init__(self, conf: NetConf, w: np.ndarray, code: np.ndarray | None = None):
         self.conf, self.functions = conf, Functions(conf)
-        memo = conf.incremental and conf.family == "simhash"
+        memo = conf.incremental and conf.family == "simhash" and code is None
         self.seen = w.copy() if memo else None
         self.projections = w @ self.functions.directions if memo else None
-        self.code = self.functions.of_projections(self.projections) if memo else self.functions(w)
+        self.code = self.functions.of_projections(self.projections) if memo else self.functions(w) if code is None else code
         self.moved = self.hashed = self.insertion = 0
         self._fill()
 
@@ -295,6 +295,20 @@ def _sum_rows(rows: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return k[at], np.add.reduceat(rows[order], at, axis=0) if len(at) else rows[:0]
 
 
+def descend(conf: NetConf, step: int, w: np.ndarray, m: np.ndarray, v: np.ndarray, rows: np.ndarray, g: np.ndarray) -> None:
+    """SGD or Adam: rows of w and its moments move by their gradients, in place; step counts from 1."""
+    if conf.optimizer == "sgd":
+        w[rows] -= conf.rate * g
+        return
+    if not conf.lazy:
+        full = np.zeros_like(w)
+        full[rows] = g
+        rows, g = slice(None), full
+    m[rows] = 0.9 * m[rows] + 0.1 * g
+    v[rows] = 0.999 * v[rows] + 0.001 * g * g
+    w[rows] -= conf.rate * (m[rows] / (1 - 0.9**step)) / (np.sqrt(v[rows] / (1 - 0.999**step)) + 1e-8)
+
+
 HASHED = ("union", "vanilla", "topk", "threshold", "intersect")
 
 
@@ -376,18 +390,7 @@ class Trainer:
         conf, s = self.conf, self.at
         s.step += 1
         for name, (rows, g) in grads.items():
-            w = getattr(s, name)
-            if conf.optimizer == "sgd":
-                w[rows] -= conf.rate * g
-                continue
-            m, v = s.moments[f"{name}.m"], s.moments[f"{name}.v"]
-            if not conf.lazy:
-                full = np.zeros_like(w)
-                full[rows] = g
-                rows, g = slice(None), full
-            m[rows] = 0.9 * m[rows] + 0.1 * g
-            v[rows] = 0.999 * v[rows] + 0.001 * g * g
-            w[rows] -= conf.rate * (m[rows] / (1 - 0.9**s.step)) / (np.sqrt(v[rows] / (1 - 0.999**s.step)) + 1e-8)
+            descend(conf, s.step, getattr(s, name), s.moments[f"{name}.m"], s.moments[f"{name}.v"], rows, g)
         if self.tables is not None and self.clock is not None and "w_out" in grads:
             self.touched[grads["w_out"][0]] = True
             if self.clock.fires(s.step):

@@ -107,10 +107,11 @@ SPARSE_DIM, DWTA_M, TRIES = 512, 8, 3  # tries: of one-permutation Minhash
 _dw = hashing.DWTA(K, L, SPARSE_DIM, SEED, m=DWTA_M)
 COUNTED = f"""w AS (SELECT doc_id AS id, unnest(regexp_split_to_array(lower(text), '[^\\p{{L}}\\p{{N}}]+')) AS word FROM documents),
 feats AS (SELECT id, {h32_sql('word')} % {SPARSE_DIM} AS idx, CAST(count(*) AS DOUBLE) AS val FROM w WHERE word <> '' GROUP BY 1, 2)"""
-DWTA_SQL = f"""WITH {COUNTED},
-o AS (SELECT perm, idx, row_number() OVER (PARTITION BY perm ORDER BY h, idx) - 1 AS place FROM
+DWTA_REL = f"""o AS (SELECT perm, idx, row_number() OVER (PARTITION BY perm ORDER BY h, idx) - 1 AS place FROM
     (SELECT p.range AS perm, i.range AS idx, {h32_sql(str(SEED), 'p.range', 'i.range')} AS h FROM range({_dw.permutations}) p, range({SPARSE_DIM}) i)),
-rel AS (SELECT idx, perm * {_dw.bins} + place // {DWTA_M} AS fn, place % {DWTA_M} AS pos FROM o WHERE place < {_dw.bins * DWTA_M} AND perm * {_dw.bins} + place // {DWTA_M} < {K * L}),
+rel AS (SELECT idx, perm * {_dw.bins} + place // {DWTA_M} AS fn, place % {DWTA_M} AS pos FROM o WHERE place < {_dw.bins * DWTA_M} AND perm * {_dw.bins} + place // {DWTA_M} < {K * L})"""
+DWTA_SQL = f"""WITH {COUNTED},
+{DWTA_REL},
 b AS (SELECT id, fn, pos AS symbol FROM (SELECT id, fn, pos, row_number() OVER (PARTITION BY id, fn ORDER BY val DESC, pos) AS r FROM feats JOIN rel USING (idx)) WHERE r = 1),
 ids AS (SELECT DISTINCT id FROM feats),
 g AS (SELECT id, range AS fn FROM ids, range({K * L})),
@@ -140,6 +141,22 @@ def q_dwta_dense_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _dw.codes_sparse(_counted(spark, sf_dir), densify=True).withColumnRenamed("id", "doc_id")
 
 
+_filled = DWTA_SQL[: DWTA_SQL.index("<fill>")]
+
+
+@query(f"""{_filled}u AS (SELECT * FROM (VALUES {', '.join(f'({f}, {_dw.unit(f)})' for f in range(K * L))}) AS t(fn, u)),
+y AS (SELECT g.id, g.fn, min({_turn}) AS turn FROM g JOIN u ON u.fn = g.fn JOIN b ON b.id = g.id GROUP BY g.id, g.fn)
+SELECT (SELECT count(*) FROM feats JOIN rel USING (idx)) AS dwta_one_pass, (SELECT CAST(coalesce(sum(turn), 0) AS BIGINT) FROM y) AS dwta_borrowing,
+(SELECT count(*) FROM ids) * {K * L * DWTA_M} AS wta_dense""")
+def q_hash_ops(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counted operations of hashing the documents: places that DWTA's pass over non-zeros looks at, bins that its empty bins ask, and what WTA on dense copies compares."""
+    feats = _counted(spark, sf_dir)
+    one = feats.join(F.broadcast(_dw.relation(spark)), "idx").agg(F.count(F.lit(1)).alias("dwta_one_pass"))
+    asked = _dw.tries(feats).agg(F.coalesce(F.sum("tries"), F.lit(0)).alias("dwta_borrowing"))
+    ids = feats.select("id").distinct().agg((F.count(F.lit(1)) * K * L * DWTA_M).alias("wta_dense"))
+    return one.join(F.broadcast(asked)).join(F.broadcast(ids))  # one row each
+
+
 MK, ML, P31 = 2, 4, 2**31 - 1
 WORD_SETS = f"WITH w AS (SELECT DISTINCT doc_id AS id, unnest(regexp_split_to_array(lower(text), '[^\\p{{L}}\\p{{N}}]+')) AS element FROM documents), h AS (SELECT id, {h32_sql(str(SEED), 'element')} AS h FROM w WHERE element <> '')"
 _min = ", ".join(f"min(((h % {P31}) * {1 + h32_of(SEED, 'a', f) % (P31 - 1)} + {h32_of(SEED, 'b', f) % P31}) % {P31}) AS m{f}" for f in range(MK * ML))
@@ -416,6 +433,50 @@ n AS (SELECT id, count(*) AS n FROM bs GROUP BY 1)
 SELECT bs.id AS item_id, ds.id AS doc_id, {r6_sql('CAST(count(*) AS DOUBLE) / any_value(n.n)')} AS containment FROM bs JOIN ds USING (e) JOIN n ON n.id = bs.id GROUP BY 1, 2"""
 
 
+# windows of 32 shingles, one each 16; a passage is found where one of its windows meets one of a document's in a table
+SPAN, STRIDE, GRID = 32, 16, ((1, 8), (2, 8), (4, 8))
+_seq = lambda table, key: f"SELECT {key} AS id, list_filter(regexp_split_to_array(lower(text), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '') AS w FROM {table}"
+_min_of = lambda k, n: ", ".join(f"min(((h % {P31}) * {1 + h32_of(SEED, 'a', f) % (P31 - 1)} + {h32_of(SEED, 'b', f) % P31}) % {P31}) AS m{f}" for f in range(k * n))
+_codes_of = lambda k, n: " UNION ALL ".join(f"SELECT side, id, win, {t} AS t, {h32_sql(*[f'm{t * k + j}' for j in range(k)])} AS code FROM m_{k}" for t in range(n))
+_met = lambda k, n: f"""m_{k} AS (SELECT side, id, win, {_min_of(k, n)} FROM x GROUP BY 1, 2, 3), c_{k} AS MATERIALIZED ({_codes_of(k, n)}),
+f_{k} AS (SELECT DISTINCT a.id AS item_id, b.id AS doc_id FROM c_{k} a JOIN c_{k} b ON a.side = 1 AND b.side = 0 AND a.t = b.t AND a.code = b.code)"""
+_row = lambda k, n: f"SELECT {k} AS k, {n} AS l, (SELECT count(*) FROM truth) AS planted, (SELECT count(*) FROM f_{k} JOIN truth USING (item_id, doc_id)) AS found, (SELECT count(*) FROM f_{k}) AS candidates"
+
+
+def _windows(df: DataFrame, key: str) -> DataFrame:
+    """id, win, element, once each: the 5-word shingles of each window."""
+    w = F.filter(F.split(F.lower("text"), workloads.SPLIT), lambda x: x != "")
+    rows = df.select(F.col(key).alias("id"), w.alias("w")).where(F.size("w") >= 5)
+    rows = rows.select("id", "w", F.posexplode(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.array_join(F.slice("w", i, 5), " "))).alias("place", "element"))
+    at = F.floor(F.col("place") / STRIDE)
+    return rows.select("id", F.explode(F.filter(F.array(at, at - 1), lambda x: x >= 0)).alias("win"), "element")
+
+
+@query(f"""WITH s AS (SELECT 0 AS side, * FROM ({_seq('documents', 'doc_id')}) UNION ALL SELECT 1, * FROM ({_seq('benchmark', 'item_id')})),
+e AS (SELECT side, id, place, array_to_string(w[place + 1:place + 5], ' ') AS element FROM (SELECT side, id, w, unnest(range(0, len(w) - 4)) AS place FROM s WHERE len(w) >= 5)),
+x AS MATERIALIZED (SELECT side, id, place // {STRIDE} - o.range AS win, {h32_sql(str(SEED), 'element')} AS h FROM e, range(2) o WHERE place // {STRIDE} >= o.range),
+z AS (SELECT DISTINCT side, id, element FROM e), n AS (SELECT id, count(*) AS n FROM z WHERE side = 1 GROUP BY 1),
+truth AS MATERIALIZED (SELECT a.id AS item_id, b.id AS doc_id FROM z a JOIN z b ON a.side = 1 AND b.side = 0 AND a.element = b.element JOIN n ON n.id = a.id GROUP BY 1, 2 HAVING count(*) >= 0.8 * any_value(n.n)),
+{', '.join(_met(*g) for g in GRID)} {' UNION ALL '.join(_row(*g) for g in GRID)}""")
+def q_planted_by_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """k, l: benchmark passages that a document holds (four fifths of their shingles at least), how many of them Minhash tables over windows find, and how many pairs they name."""
+    held = q_planted_retrieval(spark, sf_dir)
+    docs, items = load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")
+    size = workloads.shingles(items, "item_id", 5).groupBy(F.col("id").alias("s_id")).agg(F.count(F.lit(1)).alias("n"))
+    held = held.join(size, F.col("item_id") == F.col("s_id")).where(F.round(F.col("containment") * F.col("n")) >= 0.8 * F.col("n")).select(F.col("item_id").alias("t_item"), F.col("doc_id").alias("t_doc"))
+    out = None
+    for k, n in GRID:
+        family = hashing.MinHash(k, n, 0, SEED)
+        a, b = (family.codes_set(_windows(d, key).select(F.struct("id", "win").alias("id"), "element")) for d, key in ((items, "item_id"), (docs, "doc_id")))
+        b = b.select(F.col("id.id").alias("doc_id"), F.col("table_id").alias("t"), F.col("code").alias("c")).distinct()
+        pairs = a.select(F.col("id.id").alias("item_id"), "table_id", "code").distinct().join(b, (F.col("table_id") == F.col("t")) & (F.col("code") == F.col("c"))).select("item_id", "doc_id").distinct()
+        both = pairs.join(held, (F.col("item_id") == F.col("t_item")) & (F.col("doc_id") == F.col("t_doc")), "full")
+        row = both.agg(F.count("t_item").alias("planted"), F.count(F.when(F.col("item_id").isNotNull() & F.col("t_item").isNotNull(), 1)).alias("found"), F.count("item_id").alias("candidates"))
+        row = row.select(F.lit(k).alias("k"), F.lit(n).alias("l"), "planted", "found", "candidates")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 # ---- what the tables give, seen from other sides ----
 @query(f"{PROBES} SELECT query_id, id AS vec_id, freq FROM f")
 def q_bucket_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -416,14 +416,6 @@ def q_param_count(spark: SparkSession, sf_dir: str) -> DataFrame:
     return n.w_in.agg(F.count(F.lit(1)).alias("params")).withColumn("layer", F.lit("in")).unionByName(n.w_out.agg(F.count(F.lit(1)).alias("params")).withColumn("layer", F.lit("out")))
 
 
-@query(f"""{NET} SELECT CAST((SELECT count(*) FROM feats) * {K * L} * 8 / {DIMS} AS BIGINT) AS dwta_by_nonzeros, (SELECT count(*) FROM documents) * {K * L * 8} AS wta_dense""")
-def q_hash_ops(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Comparisons of one-pass sparse hashing (non-zeros x functions x m / dims, m = 8) against hashing dense copies."""
-    n = Net(spark, sf_dir)
-    a = n.features.agg((F.count(F.lit(1)) * K * L * 8 / DIMS).alias("x"))
-    return a.select(F.round("x").cast("long").alias("dwta_by_nonzeros"), F.lit(n.count * K * L * 8).cast("long").alias("wta_dense"))
-
-
 @query(f"""{NET}, f AS (SELECT instance_id, count(*) AS n FROM feats GROUP BY 1)
 SELECT count(*) AS instances, (SELECT count(DISTINCT idx) FROM feats) AS features, {r6_sql('avg(n)')} AS mean_nonzeros, {r6_sql(f'avg(n) / {DIMS}')} AS density, (SELECT count(DISTINCT neuron_id) FROM lab) AS labels FROM f""")
 def q_dataset_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -553,6 +545,21 @@ def q_train_async(spark: SparkSession, sf_dir: str) -> DataFrame:
     return experiments.run_arms(spark, sets, {"learners_4": arm}, 3, 20, learners=4, logs=1).drop("wall_ms")
 
 
+@query()
+def q_train_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Plan C on the known-item workload: eight steps with the output layer in four shards, dense and by threshold."""
+    from bucketnet import experiments
+    from bucketnet.plans import shards
+    from bucketnet.plans.kernel import NetConf
+
+    rows, _, labels = experiments.known_item_sets(spark, sf_dir)
+    logs = []
+    for arm in ("dense", "threshold"):
+        conf = NetConf(experiments.DIMS, 32, labels, strategy=arm, k=4, tables=12, rate=0.01, n0=4)
+        logs += [(arm, x["iteration"], x["loss"], x["active_mean"] / labels, x["refreshed"]) for x in shards.train(rows, conf, 8, 4)[1]]
+    return spark.createDataFrame(logs, "run_id string, iteration long, loss double, active_frac double, refreshed boolean")
+
+
 @query()
 def q_train_languages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Four labels, dense output."""

@@ -21,20 +21,45 @@ def stream_table(spark: SparkSession, path: str, schema: str, files_per_trigger:
 
 
 class OnlineTrainer:
-    """A foreachBatch sink that trains on each micro-batch once: a batch id that was done is passed over when it comes again."""
+    """A foreachBatch sink that trains on each micro-batch once: a batch id that was done is passed over when it comes again.
 
-    def __init__(self, conf: NetConf, start: Snapshot | None = None, local_steps: int = 1):
-        self.conf, self.snapshot, self.local_steps = conf, start or Snapshot.start(conf), local_steps
-        self.done: set[int] = set()
+    path: a shared folder for the model. It is written after each batch, and its mark after it, so a new trainer on the same
+    folder and stream checkpoint goes on where the last whole batch ended; of a batch cut off in between nothing stays. The two last models are kept.
+    Without a path the model lives with the object alone. Tables are built anew for each micro-batch.
+    """
+
+    def __init__(self, conf: NetConf, start: Snapshot | None = None, local_steps: int = 1, path: str | None = None):
+        self.conf, self.snapshot, self.local_steps, self.path = conf, start or Snapshot.start(conf), local_steps, path
+        self.last, self.known = -1, path is None
         self.log: list[dict] = []
 
+    def _folder(self, spark: SparkSession, name: str) -> tuple:
+        place = spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+        return place.getFileSystem(spark._jsc.hadoopConfiguration()), place
+
+    def recover(self, spark: SparkSession) -> None:
+        """The model of the newest mark, if there is any."""
+        self.known = True
+        fs, place = self._folder(spark, "marks")
+        if fs.exists(place):
+            newest = spark.read.schema("batch_id long").parquet(f"{self.path}/marks").agg(F.max("batch_id")).first()[0]
+            if newest is not None:
+                self.last, self.snapshot = newest, blocks.Model.load(spark, f"{self.path}/model-{newest}", self.conf).snapshot
+
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id in self.done:
+        spark = batch.sparkSession
+        if not self.known:
+            self.recover(spark)
+        if batch_id <= self.last:
             return
         rows = batch.select("instance_id", "feats", "vals", "labels").coalesce(1)  # a micro-batch is one learner's batch
         model, _ = blocks.train(rows, self.conf, rounds=1, local_steps=self.local_steps, start=self.snapshot)
-        self.snapshot = model.snapshot
-        self.done.add(batch_id)
+        if self.path is not None:
+            model.save(spark, f"{self.path}/model-{batch_id}")
+            spark.range(1).select(F.lit(batch_id).cast("long").alias("batch_id")).coalesce(1).write.mode("append").parquet(f"{self.path}/marks")
+            fs, old = self._folder(spark, f"model-{batch_id - 2}")
+            fs.delete(old, True)
+        self.snapshot, self.last = model.snapshot, batch_id
         self.log.append({"batch_id": batch_id, "step": self.snapshot.step})
 
 

@@ -56,8 +56,9 @@ def test_shards_equal_a_dense_step(spark, parts):
     rng = np.random.default_rng(0)
     w, h = rng.normal(size=(30, 5)).astype(np.float32), np.abs(rng.normal(size=(4, 5))).astype(np.float32)
     labels = [[1], [2, 9], [29], [0]]
-    conf = NetConf(1, 5, 30, strategy="dense", rate=0.1)
-    new, back = shards.shard_step(shards.as_params(spark, w, parts), conf, h, labels)
+    conf = NetConf(1, 5, 30, strategy="dense", rate=0.1, optimizer="sgd")
+    flat = np.concatenate(labels), np.array([0, 1, 3, 4, 5])
+    new, back, _ = shards.shard_step(shards.as_params(spark, w, parts, conf), conf, h, *flat)
     z = h @ w.T
     p = np.exp(z - z.max(axis=1, keepdims=True))
     p /= p.sum(axis=1, keepdims=True)
@@ -68,7 +69,45 @@ def test_shards_equal_a_dense_step(spark, parts):
     assert np.allclose(np.array([got[i] for i in range(30)]), w - 0.1 * p.T @ h, atol=1e-5)
     assert np.allclose(back, p @ w, atol=1e-5)
     with pytest.raises(ValueError):
-        shards.shard_step(shards.as_params(spark, w, 1), NetConf(1, 5, 30, strategy="topk"), h, labels)
+        shards.shard_step(shards.as_params(spark, w, 1, conf), NetConf(1, 5, 30, strategy="topk"), h, *flat)
+
+
+@pytest.mark.parametrize("parts,conf", [
+    (3, NetConf(100, 8, 60, strategy="dense", batch=32, rate=0.01)),
+    (1, NetConf(100, 8, 60, strategy="threshold", k=2, tables=6, batch=32, rate=0.01, n0=3, incremental=False)),
+    (3, NetConf(100, 8, 60, strategy="union", k=3, tables=4, batch=32, rate=0.5, optimizer="sgd", n0=3, incremental=False)),
+])
+def test_training_in_shards_equals_one_learner(spark, parts, conf):
+    spark.dataSource.register(synthetic.SyntheticSparse)
+    d = spark.read.format("synthetic_sparse").options(rows=150, dims=100, labels=60, nonzeros=10, partitions=2).load().persist()
+    model, log = shards.train(d, conf, 8, parts, cut_every=5)
+    one = Snapshot.start(conf)
+    one.w_out[:] = shards.first_weights(conf, np.arange(60))
+    learner = Trainer(conf, one)
+    losses = []
+    while one.step < 8:
+        rows = shards.draw(d, conf, one.step, min(shards.AHEAD, 8 - one.step))
+        losses += [learner.step(*rows.take(np.arange(a, min(a + 32, rows.n)))) for a in range(0, rows.n, 32)]
+    got = {r.label: r.w for r in model.params.collect()}
+    assert sorted(got) == list(range(60)) and len(log) == 8 == model.inner.at.step
+    assert np.allclose([x["loss"] for x in log], losses, atol=1e-4)
+    assert np.abs(np.array([got[i] for i in range(60)]) - one.w_out).max() < 2e-3
+    assert np.abs(model.inner.at.w_in - one.w_in).max() < 2e-3
+    assert [x["iteration"] for x in log if x["refreshed"]] == ([] if conf.strategy == "dense" else [3, 7])
+    rows = shards.draw(d, conf, 0, 2)
+    best = {(r.i, r.rank): r.label for r in model.top(rows, 2).collect()}
+    feats, vals, off, _, _ = rows.take(np.arange(rows.n))
+    top, _ = learner.predict(feats, vals, off, 2)
+    assert np.mean([best[i, j + 1] == top[i, j] for i in range(rows.n) for j in range(2)]) > 0.97
+    assert 0 <= model.p_at_1(rows) <= 1
+    assert shards.train(d.where("false"), conf, 3, 2)[1] == []
+
+
+def test_first_weights_do_not_depend_on_shards(spark):
+    conf = NetConf(1, 4, 9000, strategy="dense")
+    for parts in (1, 7):
+        got = {r.label: r.w for r in shards.start(spark, conf, parts).collect()}
+        assert np.array_equal(np.array([got[i] for i in range(9000)], dtype=np.float32), shards.first_weights(conf, np.arange(9000)))
 
 
 def test_choice_of_plan():

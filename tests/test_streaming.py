@@ -103,3 +103,23 @@ def test_online_training_and_repeated_batches(spark, tmp_path):
     w = trainer.snapshot.w_out.copy()
     trainer(d, 0)  # comes again after a failure
     assert (trainer.snapshot.w_out == w).all() and np.isfinite(w).all()
+
+
+def test_online_model_survives_a_restart(spark, tmp_path):
+    spark.dataSource.register(synthetic.SyntheticSparse)
+    conf, schema = NetConf(100, 8, 8, strategy="dense", batch=50), "instance_id long, feats array<int>, vals array<float>, labels array<int>"
+    d = spark.read.format("synthetic_sparse").options(rows=200, dims=100, labels=8, nonzeros=10, partitions=2).load().persist()
+
+    def go(trainer, cp):
+        online.train_stream(online.stream_table(spark, str(tmp_path / "t"), schema), trainer, str(tmp_path / cp)).awaitTermination()
+        return trainer
+
+    d.where("instance_id % 2 = 0").coalesce(1).write.parquet(str(tmp_path / "t"))
+    go(online.OnlineTrainer(conf, local_steps=3, path=str(tmp_path / "m")), "cp")
+    d.where("instance_id % 2 = 1").coalesce(1).write.mode("append").parquet(str(tmp_path / "t"))
+    second = go(online.OnlineTrainer(conf, local_steps=3, path=str(tmp_path / "m")), "cp")
+    assert [x["batch_id"] for x in second.log] == [1] and second.snapshot.step == 6
+    third = online.OnlineTrainer(conf, local_steps=3, path=str(tmp_path / "m"))
+    third(d, 1)  # the batch comes again to a trainer that has just begun
+    assert third.log == [] and third.snapshot.step == 6
+    assert np.array_equal(third.snapshot.w_out, second.snapshot.w_out) and np.array_equal(third.snapshot.moments["w_in.v"], second.snapshot.moments["w_in.v"])
