@@ -40,3 +40,11 @@ def test_entry_gives_rows(spark):
     import __spark_entry__
 
     assert __spark_entry__.entry(spark).count() > 0
+
+
+def test_changes_lie_on_the_grid(spark):
+    from bucketnet.functions.vector import GRID
+    from bucketnet.queries import retrieval
+
+    steps = [r.val * GRID for r in retrieval._delta(spark, SMALL).collect()]
+    assert steps and all(x == int(x) and -GRID // 2 <= x < GRID // 2 for x in steps)
