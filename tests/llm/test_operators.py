@@ -1011,3 +1011,17 @@ def test_types_of_contract_columns(spark):
     want = {"op2_sharding": {"doc_id": T.LongType(), "size": T.LongType(), "text_crc32": T.LongType(), "law": T.StringType(), "shard": T.IntegerType(), "slot": T.LongType(), "grown_shard": T.IntegerType()}}
     got = {f.name: f.dataType for f in queries.op2_sharding(spark, SMALL).schema.fields}
     assert got == want["op2_sharding"]
+
+
+def test_a_link_behind_nearer_candidates(spark, monkeypatch):
+    """Documents 0 and 1 are alike in words, but each has 30 candidates nearer in bits, all unlike."""
+    base = 0x0123456789ABCDEF
+    other = base ^ 0b1111
+    fps = [(0, base), (1, other)] + [(2 + i, base ^ (1 << (20 + i))) for i in range(30)] + [(32 + i, other ^ (1 << (20 + i))) for i in range(30)]
+    shared = [f"w{i}" for i in range(60)]
+    texts = [" ".join(shared), " ".join([*shared, "end"])] + [" ".join(f"d{k}x{i}" for i in range(60)) for k in range(60)]
+    table = spark.createDataFrame([(i, fp, 77) for i, fp in fps], "f_id long, fp0 long, fp1 long")
+    monkeypatch.setattr(neardup, "fingerprints", lambda d, *_: d.join(table, d.doc_id == table.f_id).select("doc_id", "th", "fp0", "fp1"))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.head_id for r in neardup.group_similar(docs).collect()}
+    assert got == {i: i for i in range(62)} | {1: 0}
