@@ -48,3 +48,19 @@ def test_changes_lie_on_the_grid(spark):
 
     steps = [r.val * GRID for r in retrieval._delta(spark, SMALL).collect()]
     assert steps and all(x == int(x) and -GRID // 2 <= x < GRID // 2 for x in steps)
+
+
+def test_price_band_counts_prices(spark, tmp_path):
+    """Prices at exactly 5 apart, equal ones and a repeated key; as many partner rows as a pair join would make never arise."""
+    rows = [(1, "a", 10.0), (2, "a", 15.0), (3, "a", 15.0), (4, "a", 20.01), (4, "a", 20.02), (5, "b", 12.0), (6, "a", 5.0), (7, "a", 0.1), (8, "a", 5.1), (9, None, 5.1), (10, "a", None), (11, "a", -5.0)]
+    spark.createDataFrame(rows, "p_partkey long, p_brand string, p_retailprice double").coalesce(1).write.parquet(str(tmp_path / "part.parquet"))
+    df = queries.QUERIES["q_price_band_join"](spark, str(tmp_path))
+    con = duckdb.connect()
+    con.execute(f"create view part as select * from '{tmp_path}/part.parquet/*.parquet'")
+    want = sorted(con.execute(queries.ORACLES["q_price_band_join"]).fetchall())
+    assert sorted((r.part, r.near) for r in df.collect()) == want
+    many = spark.range(3000).selectExpr("id as p_partkey", "'a' as p_brand", "cast(id % 3 as double) as p_retailprice")
+    many.coalesce(1).write.parquet(str(tmp_path / "many/part.parquet"))
+    big = queries.QUERIES["q_price_band_join"](spark, str(tmp_path / "many"))
+    assert {r.near for r in big.collect()} == {2999}
+    assert "Window" in big._jdf.queryExecution().toString()
