@@ -64,3 +64,8 @@ def test_price_band_counts_prices(spark, tmp_path):
     big = queries.QUERIES["q_price_band_join"](spark, str(tmp_path / "many"))
     assert {r.near for r in big.collect()} == {2999}
     assert "Window" in big._jdf.queryExecution().toString()
+
+
+@pytest.mark.parametrize("name", ["q_early_stop", "q_runlog_lag", "q_speedup", "q_time_to_accuracy"])
+def test_reads_the_events(spark, name):
+    assert any("events" in f for f in queries.QUERIES[name](spark, SMALL).inputFiles())
