@@ -69,3 +69,9 @@ def test_price_band_counts_prices(spark, tmp_path):
 @pytest.mark.parametrize("name", ["q_early_stop", "q_runlog_lag", "q_speedup", "q_time_to_accuracy"])
 def test_reads_the_events(spark, name):
     assert any("events" in f for f in queries.QUERIES[name](spark, SMALL).inputFiles())
+
+
+@pytest.mark.parametrize("name", ["q_iteration_asof_refresh", "q_probabilities", "q_rehash_schedule", "q_schedule_recursive", "q_schedule_variants"])
+def test_reads_a_given_table(spark, name):
+    plan = queries.QUERIES[name](spark, SMALL)._jdf.queryExecution().optimizedPlan().toString()
+    assert "parquet" in plan
