@@ -124,3 +124,13 @@ def test_instances_from_rows(spark):
     assert (r.instance_id, r.feats, r.labels) == (1, [2, 4], [3, 7])
     assert np.allclose(r.vals, [0.8, 0.6])
     assert blocks.as_instances(f.where(F.lit(False)), lab).count() == 0
+
+
+def test_a_run_leaves_no_snapshots_on_the_disk(spark, data, monkeypatch):
+    import os
+
+    made, sc = [], spark.sparkContext
+    send = sc.broadcast
+    monkeypatch.setattr(sc, "broadcast", lambda x: made.append(send(x)) or made[-1])
+    blocks.train(data.coalesce(1), NetConf(400, 8, 40, strategy="dense", batch=64), rounds=2, test=data, eval_every=1)
+    assert len(made) == 4 and not any(os.path.exists(b._path) for b in made)
