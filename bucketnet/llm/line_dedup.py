@@ -16,7 +16,8 @@ document too. A line that goes has an equal one at an earlier place, and the fir
 
 Lines travel as 64-bit hashes. A chunk's key is made of its first line's hash, its number of lines and the sum of the hashes of its neighbouring
 lines, a difference of two running sums; only chunks whose key repeats are read as text, and compared byte by byte. All steps before that work on a row per line,
-so time grows with the number of lines, and a document's chunks are at most 3 rows a line.
+so time grows with the number of lines, and a document's chunks are at most 3 rows a line. Texts are shuffled only of documents that have such a chunk, or
+lose a line (a bitmap of their hashes tells most others apart, and a join all of them).
 
 Null texts stay null; empty texts and texts without a repeated chunk are unchanged; rows with equal doc_id
 and text are one document and change alike; a document can end empty, and stays. An empty table gives no rows. A task holds a document's lines and, as text,
@@ -32,6 +33,7 @@ from pyspark.sql.window import Window
 from bucketnet.llm.common import columns_of, cut, free_shuffles, fresh
 
 LONG_LINE, MIN_WORDS, SPACING, PASSAGE_WORDS = 50, 20, 2, 51
+BITS = 1 << 26  # 8 MB
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
@@ -73,11 +75,28 @@ def chunks_of(lines: DataFrame, long_line: int, min_words: int, spacing: int, pa
     return placed.select("id", "th", F.explode(F.filter(found, lambda c: c["counts"])).alias("c")).select("id", "th", "c.a", "c.b", "c.key")
 
 
+def told_apart(rows: DataFrame, first: str, second: str, keys: DataFrame, k_first: str, k_second: str) -> tuple[DataFrame, DataFrame]:
+    """rows in two: those whose (first, second) may be one of keys, which a join must still settle, and those whose is none of them.
+
+    A broadcast bitmap of the hashes of keys, 16 bits a key up to BITS bits, and more rows in the first part beyond that.
+    """
+    bits = 1 << max(10, min(BITS.bit_length() - 1, (16 * keys.count()).bit_length()))
+    slot = lambda a, b: F.pmod(F.xxhash64(a, b), F.lit(bits))
+    w, bit, all_words = "__w", "__bit", "__words"
+    words = keys.select(slot(k_first, k_second).alias(bit)).select(F.shiftright(bit, 6).alias(w), F.expr(f"shiftleft(1L, cast({bit} & 63 as int))").alias(bit)).groupBy(w).agg(F.bit_or(bit).alias(bit))
+    each = rows.sparkSession.range(bits // 64).join(words, F.col("id") == F.col(w), "left").select(F.struct("id", F.coalesce(bit, F.lit(0).cast("long")).alias(bit)).alias(w))
+    bitmap = cut(each.agg(F.sort_array(F.collect_list(w)).alias(w)).select(F.transform(w, lambda x: x[bit]).alias(all_words)))
+    at = slot(first, second)
+    held = F.get(all_words, F.shiftright(at, 6).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("long"), at.bitwiseAND(F.lit(63)).cast("int"))) != 0
+    marked = rows.crossJoin(F.broadcast(bitmap))
+    return marked.where(held).select(*columns_of(rows)), marked.where(~held).select(*columns_of(rows))
+
+
 def chunk_texts(docs: DataFrame, parts: DataFrame, keys: DataFrame) -> DataFrame:
     """key, t (text), id, th, a, b of the chunks in parts whose key is in keys (again); rows of docs that repeat give theirs again."""
-    spans = parts.join(keys, F.col("key") == F.col("again"), "left_semi").groupBy("id", "th").agg(F.collect_set(F.struct("a", "b", "key")).alias("spans"))
+    spans = cut(parts.join(keys, F.col("key") == F.col("again"), "left_semi").groupBy("id", "th").agg(F.collect_set(F.struct("a", "b", "key")).alias("spans")))
     texts = docs.select(F.col("doc_id").alias("d_id"), F.xxhash64("text").alias("d_th"), "text")
-    texts = texts.join(spans, F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th"))).withColumn("lines", F.split("text", "\n", -1))
+    texts = told_apart(texts, "d_id", "d_th", spans, "id", "th")[0].join(spans, F.col("d_id").eqNullSafe(F.col("id")) & (F.col("d_th") == F.col("th"))).withColumn("lines", F.split("text", "\n", -1))
     as_text = F.transform("spans", lambda c: c.withField("t", F.array_join(F.slice("lines", c["a"] + 1, c["b"] - c["a"] + 1), "\n")))
     return texts.select("id", "th", F.explode(as_text).alias("c")).select("c.key", "c.t", "id", "th", "c.a", "c.b")
 
@@ -118,8 +137,9 @@ def dedup_lines(docs: DataFrame, long_line: int = LONG_LINE, min_words: int = MI
     count, removed = fresh(docs, "_lines", "_lines_removed")
     by = repeated_lines(docs.select("doc_id", "text"), long_line, min_words, spacing, passage_words)
     by = by.select(F.col("id").alias(g_id), F.col("th").alias(g_th), F.col("gone").alias(gone))
-    rows = docs.withColumn(th, F.xxhash64("text"))
-    rows = rows.join(by, F.col("doc_id").eqNullSafe(F.col(g_id)) & (F.col(th) == F.col(g_th)), "left").withColumn(lines, F.split("text", "\n", -1))
+    rows, whole = told_apart(docs.withColumn(th, F.xxhash64("text")), "doc_id", th, by, g_id, g_th)
+    rows = rows.join(by, F.col("doc_id").eqNullSafe(F.col(g_id)) & (F.col(th) == F.col(g_th)), "left").drop(g_id, g_th)
+    rows = rows.union(whole.withColumn(gone, F.lit(None).cast("array<int>"))).withColumn(lines, F.split("text", "\n", -1))
     kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), gone)
     text: Column = F.array_join(F.transform(kept, lambda i: F.get(lines, i)), "\n")
     number = F.coalesce(F.size(lines), F.lit(0)).cast("long")

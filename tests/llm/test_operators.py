@@ -405,6 +405,32 @@ def test_line_dedup(docs):
     assert any(n for _, n in got.values())
 
 
+def shuffled(spark) -> int:
+    """Bytes of shuffles written by all stages so far."""
+    sc = spark.sparkContext
+    none = sc._jvm.java.util.ArrayList()
+    stages = sc._jsc.sc().statusStore().stageList(none, False, False, sc._gateway.new_array(sc._jvm.double, 0), none)
+    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+
+def test_line_dedup_shuffles_repeated_texts_alone(spark, monkeypatch):
+    """Two of 50 long texts share a passage; a bitmap too small for its keys lets more texts through and loses none."""
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=8))
+    texts = ["\n".join(" ".join(word() for _ in range(30)) for _ in range(400)) for _ in range(50)]
+    shared = "\n".join(" ".join(word() for _ in range(30)) for _ in range(4))
+    texts[7], texts[31] = f"{texts[7]}\n{shared}", f"{shared}\n{texts[31]}"
+    d = spark.createDataFrame(list(enumerate([*texts, None])), "doc_id long, text string").repartition(4).localCheckpoint()
+    before = shuffled(spark)
+    got = {r.doc_id: r.text for r in line_dedup.dedup_lines(d).collect()}
+    assert shuffled(spark) - before < 0.8 * sum(len(x) for x in texts)
+    assert got == dict(enumerate([*texts, None])) | {31: texts[31][len(shared) + 1 :]}
+    monkeypatch.setattr(line_dedup, "BITS", 1 << 10)
+    keys = spark.range(0, 300, 3).select(F.col("id").alias("k"), (-F.col("id")).alias("k2"))
+    may, none = line_dedup.told_apart(spark.range(300).select("id", (-F.col("id")).alias("n")), "id", "n", keys, "k", "k2")
+    assert {r.id for r in may.collect()} >= set(range(0, 300, 3)) and none.count() > 100 and may.count() + none.count() == 300
+
+
 def test_line_dedup_sql(spark):
     import duckdb
 
