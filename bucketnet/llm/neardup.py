@@ -22,7 +22,8 @@ takes a pair as a candidate if all 128 bits differ in at most SPREAD places; a l
 similarity of at least 0.8, counted exactly. At first each row names, per table, the nearest of its candidates before and after it, in an order
 by hash. Candidates are counted in order of nearness, and those inside one component by then are passed over, so a large group of near copies costs about
 a comparison a member, not one a pair. A second walk through the same tables then gives all other candidate pairs whose rows are still in two components and whose
-sets are near enough in size, and those are counted too: no candidate is left out.
+sets may be alike enough, and those are counted too. They may if that is so at the most shingles that two sets can share, given their sizes and their
+512-bit parities: a place in which the parities differ is a shingle at least that only one of the sets has. This never leaves out a link.
 
 A text is read whole; one longer than a run (2 MB) is a run of its own, and a task then holds its shingle hashes (8 bytes a word and 64 while bits are counted).
 """
@@ -49,6 +50,8 @@ LEAF = 32
 PAIRS = 1 << 16
 RUN = 1 << 16
 BUDGET, REACH, SPREAD = 8, 22, 38  # bits: never missed in a fingerprint's tables, followed in them, of both fingerprints together
+PARITY = 512  # bits; a multiple of 64
+PARITY_COLUMNS = [f"p{i}" for i in range(PARITY // 64)]
 TURNS = (2,)  # candidates a row has counted before the next look at components
 
 
@@ -344,25 +347,26 @@ def near_candidates(classes: DataFrame, budget: int = BUDGET, reach: int = REACH
     return both.select(F.xxhash64("a0", "a1").alias("a"), F.xxhash64("b0", "b1").alias("b"), "bits").where("a != b").distinct()
 
 
-def other_candidates(classes: DataFrame, tables_for: int, least: float, budget: int = BUDGET, reach: int = REACH, spread: int = SPREAD) -> DataFrame:
-    """u > v (numbers of classes): all candidates of classes (distinct fp0, fp1; root; n, the size of its set) of unlike root, sizes at least this share of each other.
+def other_candidates(classes: DataFrame, tables_for: int, similarity: float, measure: str, budget: int = BUDGET, reach: int = REACH, spread: int = SPREAD) -> DataFrame:
+    """u > v (numbers of classes): all candidates of classes (distinct fp0, fp1; root; n, the size of its set; PARITY_COLUMNS) of unlike root that may be so alike.
 
     The tables are those of near_candidates over tables_for classes; any class with a candidate in them has to be among these.
     """
 
     def of(first: str, second: str) -> DataFrame:
-        rows, masks = dealt(classes.select(F.col(first).alias("fp"), F.col(second).alias("more"), "root", "n"), budget, 2048, tables_for)
+        rows, masks = dealt(classes.select(F.col(first).alias("fp"), F.col(second).alias("more"), "root", "n", *PARITY_COLUMNS), budget, 2048, tables_for)
 
         def join(unit: np.ndarray, cols: list[np.ndarray]) -> Iterator[list[np.ndarray]]:
-            x, y, root, n = cols[1].view(np.uint64), cols[2].view(np.uint64), cols[3], cols[4]
+            x, y, root, n, parity = cols[1].view(np.uint64), cols[2].view(np.uint64), cols[3], cols[4], [c.view(np.uint64) for c in cols[5:]]
             one, two = (cols[1], cols[2]) if first == "fp0" else (cols[2], cols[1])
             held: list[np.ndarray] = []
 
             def found(i: np.ndarray, j: np.ndarray, bits: np.ndarray) -> None:
                 far = (root[i] != root[j]) & (bits + np.bitwise_count(y[i] ^ y[j]) <= spread)
                 i, j = i[far], j[far]
-                sized = np.minimum(n[i], n[j]) >= least * np.maximum(n[i], n[j]) - 1e-6
-                held.append(np.stack([i[sized], j[sized]]).astype(np.int32))
+                apart = sum((np.bitwise_count(p[i] ^ p[j]).astype(np.int64) for p in parity), np.zeros(len(i), np.int64))
+                may = most_alike(n[i], n[j], apart, measure) >= similarity - 1e-9
+                held.append(np.stack([i[may], j[may]]).astype(np.int32))
 
             trie_join(unit, x, cols[0] & 3, reach, found)
             for pairs in held:
@@ -436,6 +440,31 @@ def shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
     return texts.mapInArrow(words.tidy(run), "node long, s array<int>")
 
 
+def parities(sets: DataFrame) -> DataFrame:
+    """node, n (size of s) and PARITY_COLUMNS of sets: bit b of 512 tells whether an odd number of hashes in s end in b."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sizes = batch.column("s").value_lengths()
+            flat, per = batch.column("s").flatten().to_numpy() & (PARITY - 1), sizes.to_numpy()
+            for lo in range(0, batch.num_rows, 1024):
+                begin, of = per[:lo].sum(), per[lo : lo + 1024]
+                at = np.repeat(np.arange(len(of)) * PARITY, of) + flat[begin : begin + of.sum()]
+                odd = (np.bincount(at, minlength=len(of) * PARITY) & 1).astype(np.uint8).reshape(-1, PARITY)
+                bits = np.packbits(odd, axis=1, bitorder="little").view("<i8")
+                yield pa.RecordBatch.from_arrays([batch.column("node")[lo : lo + 1024], sizes[lo : lo + 1024].cast(pa.int64()), *[pa.array(c) for c in bits.T.copy()]], ["node", "n", *PARITY_COLUMNS])
+
+    return sets.select("node", "s").mapInArrow(words.tidy(run), ", ".join(f"{c} long" for c in ("node", "n", *PARITY_COLUMNS)))
+
+
+def most_alike(a: np.ndarray, b: np.ndarray, apart: np.ndarray, measure: str) -> np.ndarray:
+    """The largest likeness of sets of a and b elements of which at least apart are in one alone."""
+    shared = np.minimum((a + b - apart) // 2, np.minimum(a, b))
+    if measure == "cosine":
+        return shared / np.sqrt(a.astype(float) * b)
+    return shared / (a + b - shared)
+
+
 def likeness(a: Column, b: Column, measure: str) -> Column:
     """Of two sets: cosine, shared / root of the product of sizes, or jaccard, shared / all."""
     shared = F.size(F.array_intersect(a, b))
@@ -497,9 +526,8 @@ def group_similar(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, me
     rooted = classes if comp is None else classes.join(comp, F.col("id") == F.col("node"), "left")
     rooted = rooted.withColumn("root", F.lit(None).cast("long") if comp is None else F.col("root")).withColumn("root", F.coalesce("root", "id"))
     rooted = rooted.select("id", "fp0", "fp1", "first", "root")
-    sizes = sets.select(F.col("node").alias("s_node"), F.size("s").cast("long").alias("n"))
-    named = rooted.join(sizes, F.col("id") == F.col("s_node")).select("fp0", "fp1", "root", "n")
-    rest = other_candidates(cut(named), worded.count(), similarity**2 if measure == "cosine" else similarity)
+    named = rooted.join(parities(sets).withColumnRenamed("node", "s_node"), F.col("id") == F.col("s_node")).select("fp0", "fp1", "root", "n", *PARITY_COLUMNS)
+    rest = other_candidates(cut(named), worded.count(), similarity, measure)
     rest = rest.join(ranked.select("u", "v").distinct(), ["u", "v"], "left_anti")
     more = cut(alike(rest))
     free_shuffles(docs.sparkSession)

@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -960,6 +961,33 @@ def test_a_large_group_of_near_copies(spark):
     assert [r.doc_id for r in neardup.keep_one(d).collect()] == [0]
 
 
+@pytest.mark.parametrize("measure", ["cosine", "jaccard"])
+def test_few_pairs_of_unlike_near_copies_are_counted(spark, measure):
+    """Edited copies of a text, most of them too unlike to link: the second walk gives all pairs that link, and few others."""
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(150)]
+    texts = [" ".join(f"e{c}x{i}" if i in at else w for i, w in enumerate(base)) for c in range(120) for at in [set(rng.sample(range(150), rng.randint(1, 12)))]]
+    hashes, upto = neardup.shingle_hashes(*words.text_bytes(pa.array(texts)), 5, 42)
+    sets = [set((hashes[a:b] >> np.uint64(32)).astype(np.uint32).view(np.int32).tolist()) for a, b in zip(upto, upto[1:], strict=False)]
+    fp0, fp1 = (neardup.simhash(h, upto).view(np.int64).tolist() for h in (hashes, words.mix(hashes + np.uint64(1))))
+    made = neardup.parities(spark.createDataFrame(list(enumerate(map(sorted, sets))), "node long, s array<int>"))
+    names = spark.createDataFrame(list(zip(range(120), fp0, fp1, strict=True)), "root long, fp0 long, fp1 long")
+    classes = names.join(made, F.col("root") == F.col("node")).select("fp0", "fp1", "root", "n", *neardup.PARITY_COLUMNS).localCheckpoint()
+    number = {r.id: r.root for r in classes.select(F.xxhash64("fp0", "fp1").alias("id"), "root").collect()}
+
+    def of(least: float) -> set:
+        return {tuple(sorted((number[r.u], number[r.v]))) for r in neardup.other_candidates(classes, 120, least, measure).collect()}
+
+    def like(i: int, j: int) -> float:
+        shared = len(sets[i] & sets[j])
+        return shared / (len(sets[i]) * len(sets[j])) ** 0.5 if measure == "cosine" else shared / len(sets[i] | sets[j])
+
+    every, got = of(0.0), of(0.8)
+    linked = {p for p in every if like(*p) >= 0.8}
+    assert len(every) > 2000 and linked and linked <= got <= every
+    assert len(got) - len(linked) < 0.25 * len(every)
+
+
 def test_near_copies_of_five_words(spark):
     """Copies with few changed words go, others stay."""
     rng = random.Random(9)
