@@ -134,3 +134,44 @@ def test_a_run_leaves_no_snapshots_on_the_disk(spark, data, monkeypatch):
     monkeypatch.setattr(sc, "broadcast", lambda x: made.append(send(x)) or made[-1])
     blocks.train(data.coalesce(1), NetConf(400, 8, 40, strategy="dense", batch=64), rounds=2, test=data, eval_every=1)
     assert len(made) == 4 and not any(os.path.exists(b._path) for b in made)
+
+
+@pytest.mark.parametrize("change", [{"strategy": "topk", "beta": 12, "n0": 4}, {"strategy": "static", "beta": 9, "weighted": True}])
+def test_a_single_learner_is_one_task(spark, data, change, monkeypatch):
+    """The run log of train on one partition; what a task is sent are the rows of its batches, what the driver holds are weights without moments."""
+    conf = NetConf(400, 8, 40, k=3, tables=8, batch=16, rate=1e-2, **change)
+    rows = data.repartition(1).sortWithinPartitions("instance_id").persist()
+    model, want = blocks.train(rows, conf, rounds=4, local_steps=3, test=data, eval_every=2)
+    made, sc, picked, pick = [], spark.sparkContext, [], blocks.pick
+    send = sc.broadcast
+    monkeypatch.setattr(sc, "broadcast", lambda x: made.append(x) or send(x))
+    monkeypatch.setattr(blocks, "pick", lambda *a: picked.append(pick(*a)) or picked[0])
+    ((name, log, done),) = blocks.train_one(rows, {"run": conf}, 4, 3, data, 2)
+    assert name == "run" and [x["iteration"] for x in log] == [6, 12]
+    for a, b in zip(log, want, strict=True):
+        assert all(abs(a[k] - b[k]) < 1e-3 for k in ("p_at_1", "loss", "active_mean", "active_frac"))
+    assert [r["iteration"] for r in done["refreshes"]] == [r["iteration"] for r in model.kept.log]
+    if model.kept.tables:
+        assert (done["moved"], done["hash_operations"]) == (model.kept.tables.moved, model.kept.tables.hashed)
+    assert not any(isinstance(x, Snapshot) or any(isinstance(y, Snapshot) for y in x) for x in made)
+    assert 0 < picked[0].count() <= 12 * 16 < data.count()
+
+
+def test_rows_are_picked_by_their_number(spark, data):
+    rows = data.repartition(5, "instance_id").where("instance_id % 3 != 0").persist()
+    sizes = blocks.sizes_of(rows)
+    assert sizes.sum() == rows.count() and len(sizes) <= 5
+    every = blocks.pick(rows, sizes, np.arange(sizes.sum()))
+    one = {(tuple(r.feats), tuple(r.labels)) for r in every.collect()}
+    assert one == {(tuple(r.feats), tuple(r.labels)) for r in rows.collect()}
+    some = blocks.pick(rows, sizes, np.array([0, 7, sizes.sum() - 1]))
+    assert sorted(r.place for r in some.collect()) == [0, 7, sizes.sum() - 1] and some.rdd.getNumPartitions() == 1
+    assert list(blocks.train_one(rows.where("false"), {"x": NetConf(400, 8, 40)}, 1)) == []
+
+
+def test_hit_rate_is_accuracy_of_predictions(spark, data):
+    conf = NetConf(400, 8, 40, strategy="dense", batch=64, rate=1e-2)
+    model, _ = blocks.train(data.coalesce(1), conf, rounds=1, local_steps=20)
+    shared = spark.sparkContext.broadcast((model.snapshot.w_in, model.snapshot.w_out))
+    assert abs(blocks.hit_rate(data, conf, shared) - blocks.accuracy(blocks.predict(data, model, 1), data)) < 1e-9
+    assert blocks.hit_rate(data.where("false"), conf, shared) == 0

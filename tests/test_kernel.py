@@ -3,7 +3,7 @@ from dataclasses import replace
 import numpy as np
 import pytest
 
-from bucketnet.plans.kernel import Functions, NetConf, Snapshot, Tables, Trainer, choose
+from bucketnet.plans.kernel import Functions, NetConf, Snapshot, Tables, Trainer, choose, choose_block
 
 CONF = NetConf(30, 6, 12, strategy="dense", rate=0.01, batch=8)
 
@@ -201,3 +201,40 @@ def test_loss_falls():
     data = batch(5)
     losses = [tr.step(*data) for _ in range(60)]
     assert losses[-1] < losses[0] / 3
+
+
+@pytest.mark.parametrize("change", [
+    {"strategy": "static", "beta": 7}, {"strategy": "static", "beta": 7, "weighted": True, "correct": True}, {"strategy": "static", "beta": 5, "force_labels": False},
+    {"strategy": "dropout"}, {"strategy": "dropout", "dropout": 0.95, "force_labels": False},
+])
+def test_a_block_is_the_pairs_of_its_strategy(change):
+    """Static sampling and dropout as a masked product: the sets of choose, none of which becomes a pair with its own row."""
+    conf = NetConf(50, 6, 40, k=2, tables=4, batch=8, **change)
+    rng = np.random.default_rng(3)
+    own = np.repeat(np.arange(8), 2), rng.integers(0, 40, 16)
+    weights = rng.integers(1, 9, 40).astype(float)
+    w = rng.normal(size=(40, 6)).astype(np.float32)
+    inst, lab, incl = choose(conf, None, np.zeros((8, 6), np.float32), w, own, 4, weights, True)
+    cols, mask, again = choose_block(conf, 8, own, 4, weights)
+    i, at = np.nonzero(mask)
+    assert np.array_equal(inst, i) and np.array_equal(lab, np.arange(40)[cols][at])
+    assert (incl is None and again is None) or np.array_equal(incl, again)
+
+
+def test_hits_are_those_of_all_logits():
+    rng = np.random.default_rng(1)
+    conf = NetConf(30, 4, 3000, strategy="dense")
+    tr = Trainer(conf, Snapshot.start(conf))
+    tr.at.w_out[2000] = tr.at.w_out[5]  # two best labels: the smaller counts
+    off = np.arange(0, 601, 3)
+    feats, vals = rng.integers(0, 30, 600), rng.random(600).astype(np.float32)
+    vals[:30] = 0  # no hidden unit lives: all logits are equal
+    h = tr.hidden(feats, vals, off)
+    z = h @ tr.at.w_out.T
+    best = z.argmax(axis=1)
+    own = np.where(np.arange(200) % 3 == 0, best, rng.integers(0, 3000, 200))
+    own[:2], own[3] = 0, 2999
+    labels, lab_off = np.stack([own, (own + 7) % 3000], axis=1).ravel(), np.arange(0, 401, 2)
+    want = sum(b in (a, (a + 7) % 3000) for a, b in zip(own, best, strict=True))
+    assert tr.hits(feats, vals, off, labels, lab_off) == want
+    assert tr.hits(feats[:0], vals[:0], np.zeros(1, np.int64), labels[:0], np.zeros(1, np.int64)) == 0
