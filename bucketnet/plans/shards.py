@@ -29,6 +29,7 @@ STRATEGIES = ("union", "threshold", "dense")
 BLOCK = 4096  # labels whose first weights come from one seed
 AHEAD = 16  # batches drawn by one look at the instances
 ROWS = 1 << 16
+PAIRS = 1 << 20  # of instances and labels that a shard looks at together
 
 
 def _lists(x: np.ndarray) -> pa.Array:
@@ -57,20 +58,23 @@ class Layer:
             at = slice(a, a + ROWS)
             yield pa.RecordBatch.from_arrays([pa.array(self.ids[at]), *[_lists(x[at]) for x in (self.w, self.m, self.v, self.code)]], ["label", "w", "m", "v", "code"])
 
-    def active(self, conf: NetConf, h: np.ndarray, labels: np.ndarray, offsets: np.ndarray, step: int) -> tuple[tuple | None, tuple]:
-        """Active pairs (None: all) and the (instance, place, share) of true labels that are here."""
+    def active(self, conf: NetConf, h: np.ndarray, labels: np.ndarray, offsets: np.ndarray, step: int) -> Iterator[tuple[int, np.ndarray, tuple | None, tuple]]:
+        """By blocks of instances, each of about PAIRS pairs at most: the first instance, their hidden vectors, active pairs (None: all) and the (instance, place, share) of true labels that are here."""
         order = np.argsort(self.ids, kind="stable")
         ids = self.ids[order]
         inst = np.repeat(np.arange(len(h)), np.diff(offsets))
         at = np.minimum(np.searchsorted(ids, labels), len(ids) - 1)
         here = ids[at] == labels
         inst, place = inst[here], order[at[here]]
-        own = inst, place, 1.0 / np.diff(offsets)[inst]
-        if conf.strategy == "dense":
-            return None, own
-        local = replace(conf, labels=len(ids))
-        found = choose(local, Tables(local, self.w, self.code), h, self.w, own[:2], step, None, True)
-        return found[:2], own
+        share = 1.0 / np.diff(offsets)[inst]
+        local, n = replace(conf, labels=len(ids)), len(ids)
+        tables = None if conf.strategy == "dense" else Tables(local, self.w, self.code)
+        seen = n if tables is None else n * conf.tables // tables.functions.buckets  # entries that an instance meets
+        size = max(1, PAIRS // max(1, seen))
+        for a in range(0, len(h), size):
+            part, mine = h[a : a + size], (inst >= a) & (inst < a + size)
+            own = inst[mine] - a, place[mine], share[mine]
+            yield a, part, None if tables is None else choose(local, tables, part, self.w, own[:2], step, None, True)[:2], own
 
     def logits(self, h: np.ndarray, pairs: tuple | None) -> np.ndarray:
         return (h @ self.w.T if pairs is None else np.einsum("pd,pd->p", self.w[pairs[1]], h[pairs[0]])).astype(np.float64)
@@ -83,44 +87,56 @@ def _held(batches: Iterator[pa.RecordBatch]) -> Layer | None:
 
 def _measure(conf: NetConf, layer: Layer, h: np.ndarray, labels: np.ndarray, offsets: np.ndarray, step: int) -> list[np.ndarray]:
     """Instances, their largest logit here and the sum of exponentials under it."""
-    pairs, _ = layer.active(conf, h, labels, offsets, step)
-    z = layer.logits(h, pairs)
-    if pairs is None:
-        top = z.max(axis=1)
-        return [np.arange(len(h)), top, np.exp(z - top[:, None]).sum(axis=1)]
-    at = np.flatnonzero(np.diff(pairs[0], prepend=-1))
-    if len(at) == 0:
-        return [np.zeros(0, np.int64), np.zeros(0), np.zeros(0)]
-    top = np.maximum.reduceat(z, at)
-    size = np.diff(np.append(at, len(z)))
-    return [pairs[0][at], top, np.add.reduceat(np.exp(z - np.repeat(top, size)), at)]
+    out = [[np.zeros(0, np.int64), np.zeros(0), np.zeros(0)]]
+    for a, part, pairs, _ in layer.active(conf, h, labels, offsets, step):
+        z = layer.logits(part, pairs)
+        if pairs is None:
+            top = z.max(axis=1)
+            out.append([np.arange(a, a + len(part)), top, np.exp(z - top[:, None]).sum(axis=1)])
+        elif len(z):
+            at = np.flatnonzero(np.diff(pairs[0], prepend=-1))
+            top = np.maximum.reduceat(z, at)
+            size = np.diff(np.append(at, len(z)))
+            out.append([pairs[0][at] + a, top, np.add.reduceat(np.exp(z - np.repeat(top, size)), at)])
+    return [np.concatenate(x) for x in zip(*out, strict=True)]
 
 
 def _move(conf: NetConf, layer: Layer, h: np.ndarray, labels: np.ndarray, offsets: np.ndarray, step: int, highest: np.ndarray, norm: np.ndarray) -> tuple[np.ndarray, np.ndarray, float, int]:
     """The layer takes its step; instances reached, their back-messages, the part of the loss and the number of pairs."""
     b, n = len(h), len(layer.ids)
-    pairs, (inst, place, share) = layer.active(conf, h, labels, offsets, step)
-    z = layer.logits(h, pairs)
-    if pairs is None:
-        p = np.exp(z - highest[:, None]) / norm[:, None]
-        loss = -(share * np.log(p[inst, place] + 1e-30)).sum() / b
-        p[inst, place] -= share
-        p = (p / b).astype(np.float32)
-        reached, back, rows, g, count = np.arange(b), p @ layer.w, np.arange(n), p.T @ h, b * n
-    else:
-        i, lab = pairs
-        if len(i) == 0:
-            return i, np.zeros((0, h.shape[1]), np.float32), 0.0, 0
-        p = np.exp(z - highest[i]) / norm[i]
-        key, mine = i * n + lab, inst * n + place
-        at = np.minimum(np.searchsorted(key, mine), len(key) - 1)
-        there = key[at] == mine
-        loss = -(share[there] * np.log(p[at[there]] + 1e-30)).sum() / b
-        p[at[there]] -= share[there]
-        p = (p / b).astype(np.float32)
-        first = np.flatnonzero(np.diff(i, prepend=-1))
-        reached, back, count = i[first], np.add.reduceat(p[:, None] * layer.w[lab], first, axis=0), len(i)
-        rows, g = _sum_rows(p[:, None] * h[i], lab)
+    g, met, loss, count = np.zeros_like(layer.w), np.zeros(n, dtype=bool), 0.0, 0
+    reached, back = [np.zeros(0, np.int64)], [np.zeros((0, h.shape[1]), np.float32)]
+    for a, part, pairs, (inst, place, share) in layer.active(conf, h, labels, offsets, step):
+        z, high, total = layer.logits(part, pairs), highest[a : a + len(part)], norm[a : a + len(part)]
+        if pairs is None:
+            p = np.exp(z - high[:, None]) / total[:, None]
+            loss -= (share * np.log(p[inst, place] + 1e-30)).sum() / b
+            p[inst, place] -= share
+            p = (p / b).astype(np.float32)
+            reached.append(np.arange(a, a + len(part)))
+            back.append(p @ layer.w)
+            g += p.T @ part
+            met[:] = True
+            count += len(part) * n
+        elif len(z):
+            i, lab = pairs
+            p = np.exp(z - high[i]) / total[i]
+            key, mine = i * n + lab, inst * n + place
+            at = np.minimum(np.searchsorted(key, mine), len(key) - 1)
+            there = key[at] == mine
+            loss -= (share[there] * np.log(p[at[there]] + 1e-30)).sum() / b
+            p[at[there]] -= share[there]
+            p = (p / b).astype(np.float32)
+            first = np.flatnonzero(np.diff(i, prepend=-1))
+            reached.append(i[first] + a)
+            back.append(np.add.reduceat(p[:, None] * layer.w[lab], first, axis=0))
+            rows, sums = _sum_rows(p[:, None] * part[i], lab)
+            g[rows] += sums
+            met[rows] = True
+            count += len(i)
+    rows = np.flatnonzero(met)
+    g = g if len(rows) == n else g[rows]
+    reached, back = np.concatenate(reached), np.concatenate(back)
     descend(conf, step + 1, layer.w, layer.m, layer.v, rows, g)
     return reached, back, float(loss), count
 

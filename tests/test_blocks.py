@@ -175,3 +175,25 @@ def test_hit_rate_is_accuracy_of_predictions(spark, data):
     shared = spark.sparkContext.broadcast((model.snapshot.w_in, model.snapshot.w_out))
     assert abs(blocks.hit_rate(data, conf, shared) - blocks.accuracy(blocks.predict(data, model, 1), data)) < 1e-9
     assert blocks.hit_rate(data.where("false"), conf, shared) == 0
+
+
+@pytest.mark.parametrize("strategy", ["dense", "threshold", "union"])
+def test_a_shard_looks_at_few_pairs_together(strategy, monkeypatch):
+    """Blocks of instances give the step of the whole batch, and no product is larger than a block's."""
+    conf = NetConf(10, 6, 500, strategy=strategy, k=2, tables=6, rate=0.01)
+    rng = np.random.default_rng(2)
+    h, labels, off = np.abs(rng.normal(size=(40, 6))).astype(np.float32), rng.integers(0, 500, 80), np.arange(0, 81, 2)
+    w, seen, logits = rng.normal(size=(500, 6)).astype(np.float32), [], shards.Layer.logits
+    monkeypatch.setattr(shards.Layer, "logits", lambda *a: seen.append(z := logits(*a)) or z)
+    got = []
+    for most in (1 << 20, 3000):
+        monkeypatch.setattr(shards, "PAIRS", most)
+        seen.clear()
+        layer = shards.Layer.fresh(conf, np.arange(500), w.copy())
+        i, top, s = shards._measure(conf, layer, h, labels, off, 0)
+        highest, norm = np.zeros(40), np.ones(40)
+        highest[i], norm[i] = top, s
+        got.append((i, top, s, *shards._move(conf, layer, h, labels, off, 0, highest, norm), layer.w, layer.m, layer.v))
+        assert max(z.size for z in seen) <= max(most, 3000) and (len(seen) > 8) == (most == 3000)
+    for a, b in zip(*got, strict=True):
+        assert np.allclose(a, b, atol=1e-5)
