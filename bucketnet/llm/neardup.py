@@ -14,7 +14,7 @@ holds two chunks whatever the key holds. Links become a spanning forest where th
 what leaves a task is a link per fingerprint at most.
 
 Components: alternating large-star and small-star rounds over the links, written to the checkpoint
-folder each round; nothing but counts reaches the driver.
+folder each round, or one task where the links are few; nothing but counts reaches the driver.
 
 group_near stops at the fingerprints: a link is a budget of bits. group_similar confirms: it takes two
 fingerprints, lets the tries of the same tables go further than their keys promise (reach) and
@@ -49,6 +49,7 @@ FEW = 50_000  # hot keys that may be broadcast
 LEAF = 32
 PAIRS = 1 << 16
 RUN = 1 << 16
+ONE_TASK = 2_000_000  # links whose components one task finds (about 150 bytes a link)
 BUDGET, REACH, SPREAD = 8, 22, 38  # bits: never missed in a fingerprint's tables, followed in them, of both fingerprints together
 PARITY = 512  # bits; a multiple of 64
 PARITY_COLUMNS = [f"p{i}" for i in range(PARITY // 64)]
@@ -380,6 +381,30 @@ def other_candidates(classes: DataFrame, tables_for: int, similarity: float, mea
     return both.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct()
 
 
+def components_in_one(links: DataFrame) -> DataFrame:
+    """components by a single task, which holds all links: the same rows without a round of jobs for each halving."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [[b.column(c).to_numpy() for c in ("u", "v")] for b in batches if b.num_rows]
+        if not held:
+            return
+        u, v = (np.concatenate(x) for x in zip(*held, strict=True))
+        nodes = np.unique(np.concatenate([u, v]))  # ascending: the smallest place is the smallest node
+        a, b, parent = np.searchsorted(nodes, u), np.searchsorted(nodes, v), np.arange(len(nodes))
+        del u, v, held
+        while len(a):
+            np.minimum.at(parent, np.maximum(a, b), np.minimum(a, b))
+            while not np.array_equal(parent, up := parent[parent]):  # halves all depths, however long a chain is
+                parent = up
+            a, b = parent[a], parent[b]
+            a, b = a[a != b], b[a != b]
+        root = nodes[parent]
+        for a in range(0, len(nodes), RUN):
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[a : a + RUN]), pa.array(root[a : a + RUN])], ["node", "root"])
+
+    return links.select("u", "v").coalesce(1).mapInArrow(words.tidy(run), "node long, root long")
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, root (its component's smallest node) for every node in links (u > v)."""
 
@@ -388,6 +413,8 @@ def components(links: DataFrame) -> DataFrame:
 
     e = cut(links)
     seen = mark(e)
+    if seen[0] <= ONE_TASK:
+        return components_in_one(e)
     while seen[0]:
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         # written, so that a node of many links is a hot key of exchanges, which Spark can split

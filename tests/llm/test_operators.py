@@ -1079,3 +1079,21 @@ def test_a_link_behind_nearer_candidates(spark, monkeypatch):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = {r.doc_id: r.head_id for r in neardup.group_similar(docs).collect()}
     assert got == {i: i for i in range(62)} | {1: 0}
+
+
+def test_few_links_are_one_task(spark, monkeypatch):
+    """Rounds of jobs over small tables filled the driver's memory; few links take no round, and give what the rounds give."""
+    rng = np.random.default_rng(8)
+    ends = rng.permutation(3000)[rng.integers(0, 3000, (2500, 2))] - 1500
+    chain = np.stack([np.arange(1, 4000), np.arange(0, 3999)], axis=1) + 10_000
+    links = [(int(max(a, b)), int(min(a, b))) for a, b in np.concatenate([ends, chain]) if a != b]
+    table = spark.createDataFrame(links, "u long, v long")
+    cuts, cut = [], neardup.cut
+    monkeypatch.setattr(neardup, "cut", lambda df: cuts.append(1) or cut(df))
+    got = sorted(map(tuple, neardup.components(table).collect()))
+    assert len(cuts) == 1 and len(got) == len({x for p in links for x in p})
+    assert {r for n, r in got if n >= 10_000} == {10_000}
+    monkeypatch.setattr(neardup, "ONE_TASK", 0)
+    random = spark.createDataFrame(links[: -len(chain)], "u long, v long")
+    assert sorted(map(tuple, neardup.components(random).collect())) == [x for x in got if x[0] < 10_000] and len(cuts) > 4
+    assert neardup.components(random.where("false")).count() == 0
