@@ -238,3 +238,32 @@ def test_hits_are_those_of_all_logits():
     want = sum(b in (a, (a + 7) % 3000) for a, b in zip(own, best, strict=True))
     assert tr.hits(feats, vals, off, labels, lab_off) == want
     assert tr.hits(feats[:0], vals[:0], np.zeros(1, np.int64), labels[:0], np.zeros(1, np.int64)) == 0
+
+
+def test_long_instances_are_gathered_in_blocks(monkeypatch):
+    """Hidden sums and input gradients are the same by blocks, and a block bounds what is held, however long the instances are."""
+    import tracemalloc
+
+    from bucketnet.plans import kernel
+
+    rng = np.random.default_rng(4)
+    conf = NetConf(2000, 16, 4, strategy="dense")
+    n = np.array([0, 1500, 3, 0, 2000, *[400] * 200, 0])
+    off = np.concatenate([[0], np.cumsum(n)])
+    feats = np.concatenate([np.sort(rng.choice(2000, k, replace=False)) for k in n])
+    vals, labels = rng.random(len(feats)).astype(np.float32), rng.integers(0, 4, len(n))
+    got = []
+    for most in (1 << 30, 16 * 2500, 16):
+        monkeypatch.setattr(kernel, "GATHERED", most)
+        t = Trainer(conf, Snapshot.start(conf))
+        tracemalloc.start()
+        h = t.hidden(feats, vals, off)
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        rows, g = t.gradients(feats, vals, off, labels, np.arange(len(n) + 1))[0]["w_in"]
+        got.append((h, rows, g))
+        assert (peak < 2**20) == (most < 1 << 30)
+    for x in got[1:]:
+        assert all(np.array_equal(a, b) for a, b in zip(x, got[0], strict=True))
+    plain = np.stack([(Snapshot.start(conf).w_in[feats[a:b]] * vals[a:b, None]).sum(axis=0) for a, b in zip(off, off[1:], strict=False)])
+    assert np.allclose(got[0][0], np.maximum(plain, 0), atol=1e-3)
