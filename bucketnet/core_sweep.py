@@ -30,7 +30,7 @@ def one(sf_dir: str, cores: int, arm: str, rounds: int, local_steps: int) -> dic
     sets = experiments.known_item_sets(spark, sf_dir)
     arms = experiments.main_arms(sets[2], max(20, sets[2] // 200))
     began = int(1000 * time.time())
-    row = experiments.run_arms(spark, sets, {arm: arms[arm]}, rounds, local_steps, learners=cores, logs=1).first()
+    row = experiments.run_arms(spark, sets, {arm: arms[arm]}, rounds, local_steps, learners=cores, logs=1, spread=True).first()
     tasks = eventlog.read_event_log(spark, str(next(Path(logs).iterdir()))).where(f"begin >= {began}")
     use = eventlog.core_utilisation(tasks, cores).first()
     split = eventlog.stage_breakdown(tasks).groupBy().sum("cpu_ms", "gc_ms", "fetch_wait_ms", "deserialize_ms", "scheduler_ms").first().asDict()

@@ -198,3 +198,45 @@ def test_a_shard_looks_at_few_pairs_together(strategy, monkeypatch):
         assert max(z.size for z in seen) <= max(most, 3000) and (len(seen) > 8) == (most == 3000)
     for a, b in zip(*got, strict=True):
         assert np.allclose(a, b, atol=1e-5)
+
+
+@pytest.mark.parametrize("resolve", ["mean", "sum", "random_one"])
+@pytest.mark.parametrize("change", [{"strategy": "topk", "beta": 12, "n0": 4}, {"strategy": "dense"}])
+def test_stale_learners_are_one_task(spark, data, resolve, change, monkeypatch):
+    """The run log of train on a partition a learner; the driver gets no snapshot, no tables and no change of a row."""
+    conf = NetConf(400, 8, 40, k=3, tables=8, batch=16, rate=1e-2, **change)
+    rows = data.repartition(1).sortWithinPartitions("instance_id").persist()
+    rows.count()
+    model, want = blocks.train(rows.repartition(3, "instance_id"), conf, rounds=4, local_steps=3, resolve=resolve, test=data, eval_every=2)
+    made, sc = [], spark.sparkContext
+    send = sc.broadcast
+    monkeypatch.setattr(sc, "broadcast", lambda x: made.append(x) or send(x))
+    ((name, log, done),) = blocks.train_apart(rows, {"run": blocks.Run(conf, 3, resolve)}, 4, 3, data, 2)
+    assert name == "run" and [x["iteration"] for x in log] == [6, 12]
+    for a, b in zip(log, want, strict=True):
+        assert all(abs(a[k] - b[k]) < 1e-4 for k in ("p_at_1", "loss", "active_mean", "active_frac"))
+    assert [r["iteration"] for r in done["refreshes"]] == [r["iteration"] for r in model.kept.log]
+    if model.kept.tables:
+        assert (done["moved"], done["hash_operations"]) == (model.kept.tables.moved, model.kept.tables.hashed)
+    assert all(isinstance(x, bytes) or isinstance(x[0], dict) for x in made) and made
+
+
+def test_runs_side_by_side_are_those_alone(spark, data, monkeypatch):
+    """As many runs in a job as their weights and tables leave room for, with the same results."""
+    rows = data.repartition(1).sortWithinPartitions("instance_id").persist()
+    confs = {s: NetConf(400, 8, 40, strategy=s, k=3, tables=8, batch=16, rate=1e-2) for s in ("topk", "dense", "static")}
+    alone = {n: (log, done) for n, log, done in blocks.train_one(rows, confs, 2, 3, data, 1)}
+    made, learner = [], blocks._learner
+    monkeypatch.setattr(blocks, "_learner", lambda *a: made.append(a[0].conf.strategy) or learner(*a))
+    size = max(blocks.Run(c).size for c in confs.values())
+    for most, first in ((3 * size, 3), (2 * size, 2), (size // 2, 1)):
+        monkeypatch.setattr(blocks, "ABREAST", most)
+        made.clear()
+        got = {}
+        for n, log, done in blocks.train_one(rows, confs, 2, 3, data, 1, abreast=True):
+            assert got or len(made) == first
+            got[n] = log, done
+        assert list(got) == list(confs)
+        for n, (log, done) in got.items():
+            assert done == alone[n][1]
+            assert [{k: v for k, v in x.items() if k != "wall_ms"} for x in log] == [{k: v for k, v in x.items() if k != "wall_ms"} for x in alone[n][0]]

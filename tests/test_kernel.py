@@ -267,3 +267,53 @@ def test_long_instances_are_gathered_in_blocks(monkeypatch):
         assert all(np.array_equal(a, b) for a, b in zip(x, got[0], strict=True))
     plain = np.stack([(Snapshot.start(conf).w_in[feats[a:b]] * vals[a:b, None]).sum(axis=0) for a, b in zip(off, off[1:], strict=False)])
     assert np.allclose(got[0][0], np.maximum(plain, 0), atol=1e-3)
+
+
+def test_a_large_net_is_kept_in_files():
+    """Weights, moments and tables of many labels are mapped; what is made beside them is small, and the codes are those of the whole product."""
+    import tracemalloc
+
+    conf = NetConf(64, 16, 200_000, strategy="topk", k=12, tables=20, n0=1, beta=50)
+    rng = np.random.default_rng(conf.seed)
+    whole = [rng.normal(0, 0.25, (n, 16)).astype(np.float32) for n in (64, 200_000)]
+    projections = whole[1] @ Functions(conf).directions
+    tracemalloc.start()
+    try:
+        tr = Trainer(replace(conf, batch=8), Snapshot.start(conf))
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert peak < 160 << 20  # the projections alone are 192 MB, their bits as numbers were 384 MB
+    assert np.array_equal(tr.at.w_in, whole[0]) and np.array_equal(tr.at.w_out, whole[1])
+    assert (tr.tables.code == ((projections >= 0).reshape(-1, 20, 12) @ (1 << np.arange(12)))).mean() > 0.9999
+
+
+def test_dense_blocks_are_the_whole_softmax(monkeypatch):
+    """Blocks of labels give the gradients and the loss of all labels at once, and no product is larger than a block's."""
+    from bucketnet.plans import kernel
+
+    conf = replace(CONF, strategy="dense")
+    data, got = batch(7), []
+    for most in (1 << 20, 12):
+        monkeypatch.setattr(kernel, "LOGITS", most)
+        grads, loss = Trainer(conf, Snapshot.start(conf)).gradients(*data)
+        got.append((loss, *[x for name in ("w_out", "w_in") for x in grads[name]]))
+    for a, b in zip(*got, strict=True):
+        assert np.allclose(a, b, atol=1e-6)
+
+
+def test_codes_from_scratch_are_those_of_kept_projections(monkeypatch):
+    """Tables too large to keep their projections hash touched labels anew, with the same codes."""
+    rng = np.random.default_rng(3)
+    w = rng.normal(size=(60, 8)).astype(np.float32)
+    conf = NetConf(1, 8, 60, k=3, tables=4)
+    kept = Tables(conf, w.copy())
+    monkeypatch.setattr(Tables, "MEMO", 0)
+    anew = Tables(conf, w.copy())
+    assert anew.projections is None and kept.projections is not None
+    for _ in range(4):
+        touched = np.unique(rng.integers(0, 60, 20))
+        w[touched] += rng.normal(0, 0.5, (len(touched), 8)).astype(np.float32)
+        for t in (kept, anew):
+            t.refresh(w, touched)
+        assert np.array_equal(kept.code, anew.code) and np.array_equal(kept.entry, anew.entry) and kept.moved == anew.moved

@@ -100,3 +100,36 @@ def test_workers_elsewhere_get_the_package():
     code = f"import sys; sys.path.insert(0, {str(root)!r}); from bucketnet.session import local_session; s = local_session(1, 1, '1g'); import __spark_entry__ as e; assert e.entry(s).count() > 0"
     env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
     assert subprocess.run([sys.executable, "-c", code], cwd="/tmp", env=env, timeout=120, check=False).returncode == 0
+
+
+def test_h32_of_many_texts_is_h32():
+    import numpy as np
+
+    from bucketnet.functions.md5 import h32_many
+    from bucketnet.functions.seeds import h32_of
+
+    texts = ["", "a", "wört", *("x" * n for n in (43, 44, 54, 55, 56, 64, 300)), *(f"w{i}" for i in range(9000))]
+    raw = [x.encode() for x in texts]
+    data, size = np.frombuffer(b"".join(raw), np.uint8), np.array([len(x) for x in raw])
+    at = np.cumsum(size) - size
+    assert h32_many(data, at, size).tolist() == [h32_of(x) for x in texts]
+    prefix = np.frombuffer(b"".join(f"11|-1|{i % 90 + 10}|".encode() for i in range(len(raw))), np.uint8).reshape(len(raw), -1)
+    assert h32_many(data, at, size, prefix).tolist() == [h32_of(11, -1, i % 90 + 10, x) for i, x in enumerate(texts)]
+
+
+def test_known_item_instances_of_odd_texts(spark, tmp_path):
+    """Empty and null texts, ids of other lengths and words longer than a block; no word goes through a lambda of a row."""
+    from pyspark.sql import functions as F
+
+    from bucketnet import workloads
+
+    odd = [(7, "A b a b"), (123456, "c " + "long" * 40), (8, ""), (9, None), (None, "x y"), (10, "  ...x, X! ünï 东京"), (11, " ".join(f"w{i}" for i in range(3000))), (70, "A b a b")]
+    spark.createDataFrame(odd, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    made = workloads.known_item_instances(spark, str(tmp_path), 64)
+    want = workloads.known_item(spark, str(tmp_path), 64).groupBy("instance_id", "view").agg(F.sort_array(F.collect_set("idx")).alias("feats"), F.min("label").alias("label")).collect()
+    got = {(r.instance_id, r.view): r for r in made.collect()}
+    assert len(got) == len(want) > 0
+    for r in want:
+        x = got[r.instance_id, r.view]
+        assert x.feats == r.feats and x.labels == [r.label] and len(x.vals) == len(x.feats)
+    assert "lambdafunction" not in spark._jvm.PythonSQLUtils.explainString(made._jdf.queryExecution(), "simple")
